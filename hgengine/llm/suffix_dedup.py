@@ -5,14 +5,15 @@ positions in a row. Triggers lie at most 46 apart, and the 46s in a string of 10
 the string occurs the phrases between these are the same. The order of the corpus follows from the dictionary and the parse:
 
 1. the dictionary: phrases sorted by content; only those that occur twice can lie in a repeated string;
-2. the parse: runs of such phrases in a document, cut into blocks at triggers; equal blocks sorted by content and
-   position stand together, and all but the first start repeated strings throughout;
-3. the first of each block is opened into its strings of 100 bytes, which are sorted by content and position: the first
-   of each is kept, the others start earlier elsewhere.
+2. the parse: runs of such phrases in a document, cut into blocks, the strings of 100 bytes whose own triggers begin
+   with the same phrase; blocks sorted by phrase, content and position stand together, and all but the first of equal
+   ones start repeated strings throughout;
+3. first blocks that share a phrase are opened into their strings, sorted by content and position: the first of each is
+   kept, the others start earlier elsewhere.
 
-Each step is one sort of hashes over the cluster, read as a stream: a group of any size takes constant memory. Step 3
-sees each distinct block once, so highly repetitive text costs phrases, not bytes. Whole copies are set aside first.
-Content of blocks and strings is compared by 128 bits of hash.
+Each step is one sort over the cluster, read as a stream. A phrase with very many different blocks is opened by one
+more sort of its strings over the cluster. Highly repetitive text costs phrases, not bytes. Whole copies are set aside
+first. Blocks are compared by their bytes, strings by 128 bits of hash.
 
 Null texts are empty. Texts under 100 bytes are kept whole. Repeated texts keep the copy of the smallest doc_id.
 doc_id must be unique. An empty table gives no rows.
@@ -28,11 +29,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hgengine.llm.common import MIX, cut, encoded, mixed, signed, small
+from hgengine.llm.common import MIX, cut, encoded, mixed, signed
 from hgengine.llm.copies import distinct_texts, texts_of, with_first
 
 LENGTH, GRAM, SPAN = 100, 8, 46
 GRAMS = LENGTH - GRAM + 1
+#: First blocks of a phrase that are opened within one task.
+MOST_BLOCKS = 20_000
 _BASES = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
@@ -127,101 +130,143 @@ def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if held and held[3]:
             out[0] = False  # given before
         held = (p[-1], d[-1], at[-1], bool(keep[-1]))
-        yield pa.RecordBatch.from_arrays([pa.array(d[out]), pa.array(at[out])], ["doc_id", "place"])
+        yield pa.RecordBatch.from_arrays([pa.array(x[out]) for x in (p, d, at)], ["phrase", "doc_id", "place"])
 
 
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of repeated phrases sorted by doc_id and place: doc_id, lo, hi and inner triggers of runs that can hold a string."""
-    held: list = [np.zeros(0, np.int64)] * 2
+    """Of repeated phrases sorted by doc_id and place: doc_id, hi of runs of them, and for each phrase its hash, the first
+    start of its strings and its first trigger."""
+    held: list = [np.zeros(0, np.int64)] * 3
 
-    def found(d: np.ndarray, place: np.ndarray) -> pa.RecordBatch:
+    def found(phrase: np.ndarray, d: np.ndarray, place: np.ndarray) -> pa.RecordBatch:
         lo = place >> 18
         a = lo + (place >> 12 & 63)
         b = a + (place >> 6 & 63)
         hi = b + (place & 63)
         heads = np.nonzero(np.concatenate([[True], (d[1:] != d[:-1]) | (a[1:] != b[:-1])]))[0]
-        tails = np.concatenate([heads[1:], [len(d)]]) - 1
+        tails = np.append(heads[1:], len(d)) - 1
         long = hi[tails] - lo[heads] >= LENGTH
         heads, tails = heads[long], tails[long]
-        inner = [np.concatenate([a[x : y + 1], b[y : y + 1]]) for x, y in zip(heads, tails, strict=True)]
-        offsets = np.cumsum([0, *map(len, inner)]).astype(np.int32)
-        cuts = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([*inner, np.zeros(0, np.int64)])))
-        return pa.RecordBatch.from_arrays([pa.array(d[heads]), pa.array(lo[heads]), pa.array(hi[tails]), cuts], ["doc_id", "lo", "hi", "cuts"])
+        sizes = tails - heads + 1
+        rows = np.repeat(heads - np.concatenate([[0], np.cumsum(sizes)])[:-1], sizes) + np.arange(sizes.sum())
+        offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
+        lists = [pa.ListArray.from_arrays(offsets, pa.array(x[rows])) for x in (phrase, lo)]
+        return pa.RecordBatch.from_arrays([pa.array(d[heads]), pa.array(hi[tails]), *lists], ["doc_id", "hi", "phrases", "starts"])
 
     for batch in batches:
-        d, place = (np.concatenate([h, batch.column(i).to_numpy()]) for i, h in enumerate(held))
+        phrase, d, place = (np.concatenate([h, batch.column(i).to_numpy()]) for i, h in enumerate(held))
         if not len(d):
             continue
         at = int(np.searchsorted(d, d[-1]))
         if at:
-            yield found(d[:at], place[:at])
-        held = [d[at:], place[at:]]
+            yield found(phrase[:at], d[:at], place[:at])
+        held = [phrase[at:], d[at:], place[at:]]
     if len(held[0]):
         yield found(*held)
 
 
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Blocks of string starts: 128 bits of the bytes they cover, doc_id, first start, and the bytes."""
+    """Blocks, the strings whose own triggers begin with a phrase's: phrase, the bytes they cover, doc_id, first start."""
     for batch in batches:
-        out: list[list] = [[], [], [], [], []]
+        out: list[list] = [[], [], [], []]
         for doc, text, runs in zip(batch.column(0), batch.column(1), batch.column(2), strict=True):
-            raw, starts, ends = encoded(text.as_py()), [], []
+            raw, doc = encoded(text.as_py()), doc.as_py()
             for run in runs.as_py():
-                last = run["hi"] - LENGTH
-                edges = [run["lo"], *(c + 1 for c in run["cuts"] if run["lo"] <= c < last), last + 1]
-                starts += edges[:-1]
-                ends += [e - 1 + LENGTH for e in edges[1:]]
-            a, b = np.array(starts, np.int64), np.array(ends, np.int64)
-            g = grams(raw)
-            for which in (0, 1):
-                out[which].append(signed(between(sums(g, which), a, b - GRAM + 1, which)))
-            out[2].append(np.full(len(a), doc.as_py(), np.int64))
-            out[3].append(a)
-            out[4] += [raw[x:y] for x, y in zip(starts, ends, strict=True)]
-        if out[0]:
-            yield pa.RecordBatch.from_arrays([*(pa.array(np.concatenate(x)) for x in out[:4]), pa.array(out[4], pa.binary())], ["k1", "k2", "doc_id", "start", "bytes"])
-
-
-def _again(last: list, k1: np.ndarray, k2: np.ndarray) -> np.ndarray:
-    """Whether each of the sorted rows has the key of the row before; last is that of the batch before."""
-    again = np.zeros(len(k1), bool)
-    again[1:] = (k1[1:] == k1[:-1]) & (k2[1:] == k2[:-1])
-    again[0] = bool(last) and last[0] == k1[0] and last[1] == k2[0]
-    last[:] = k1[-1], k2[-1]
-    return again
+                stop = run["hi"] - LENGTH + 1
+                starts = [x for x in run["starts"] if x < stop]
+                for phrase, x, y in zip(run["phrases"], starts, [*starts[1:], stop], strict=False):
+                    out[0].append(phrase)
+                    out[1].append(raw[x : y - 1 + LENGTH])
+                    out[3].append(x)
+                out[2] += [doc] * len(starts)
+        yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int64())], ["phrase", "bytes", "doc_id", "start"])
+
+
+def _strings(pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(piece, step, and 128 bits) of each string of the pieces."""
+    n = np.fromiter(map(len, pieces), np.int64, len(pieces)) - LENGTH + 1
+    row = np.repeat(np.arange(len(pieces)), n)
+    step = np.arange(len(row)) - np.repeat(np.concatenate([[0], np.cumsum(n)])[:-1], n)
+    at = np.concatenate([[0], np.cumsum(n + LENGTH - 1)])[:-1][row] + step
+    g = grams(b"".join(pieces))
+    return row, step, *(signed(between(sums(g, i), at, at + GRAMS, i)) if len(at) else np.zeros(0, np.int64) for i in (0, 1))
+
+
+def _starts(k1: np.ndarray, k2: np.ndarray, doc: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(doc_id, start, n): runs of string starts that are not the first of their key."""
+    order = np.lexsort((start, doc, k2, k1))
+    k1, k2 = k1[order], k2[order]
+    again = order[1:][(k1[1:] == k1[:-1]) & (k2[1:] == k2[:-1])]
+    again = again[np.lexsort((start[again], doc[again]))]
+    d, s = doc[again], start[again]
+    heads = np.nonzero(np.concatenate([[True], (d[1:] != d[:-1]) | (s[1:] != s[:-1] + 1)]))[0] if len(d) else np.zeros(0, np.int64)
+    return d[heads], s[heads], np.diff(np.append(heads, len(d)))
 
 
 def _opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of sorted blocks: repeats as n starts (no key), firsts as one row for each string with its key."""
-    last: list = []
+    """Of blocks sorted by phrase, bytes and position: runs of n starts of strings that start earlier (no key).
+
+    A repeat of a block is one throughout. Equal strings of different blocks have the same phrase, so the first blocks
+    of a phrase are opened together; of a phrase with more blocks than MOST_BLOCKS the strings are given by their keys,
+    for a sort over the cluster."""
+    last: tuple = (None, None)
+    big = None
+    held: list[tuple] = []
+
+    def given(keys, doc, start, n) -> pa.RecordBatch:
+        k1, k2 = keys or (pa.nulls(len(doc), pa.int64()),) * 2
+        return pa.RecordBatch.from_arrays([k1, k2, pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(n, pa.int64())], ["k1", "k2", "doc_id", "start", "n"])
+
+    def keyed(rows: list[tuple]) -> tuple:
+        row, step, k1, k2 = _strings([r[1] for r in rows])
+        doc, start = (np.array([r[i] for r in rows], np.int64)[row] for i in (2, 3))
+        return k1, k2, doc, start + step
+
+    def resolved(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+        # a phrase with one first block has no strings to compare
+        several = [r for i, r in enumerate(rows) if i and rows[i - 1][0] == r[0] or i + 1 < len(rows) and rows[i + 1][0] == r[0]]
+        if several:
+            yield given(None, *_starts(*keyed(several)))
+
+    def spilled(rows: list[tuple]) -> pa.RecordBatch:
+        k1, k2, doc, start = keyed(rows)
+        return given((pa.array(k1), pa.array(k2)), doc, start, np.ones(len(doc), np.int64))
+
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        k1, k2, doc, start = (batch.column(i).to_numpy() for i in range(4))
-        again = _again(last, k1, k2)
-        pieces = batch.column(4).to_pylist()
-        n = np.fromiter(map(len, pieces), np.int64, len(pieces)) - LENGTH + 1
-        new = np.nonzero(~again)[0]
-        raw = b"".join(pieces[i] for i in new)
-        g = grams(raw)
-        offsets = np.concatenate([[0], np.cumsum(n[new] + LENGTH - 1)])[:-1]
-        row = np.repeat(np.arange(len(new)), n[new])
-        step = np.arange(len(row)) - np.repeat(np.concatenate([[0], np.cumsum(n[new])])[:-1], n[new])
-        at = offsets[row] + step
-        w = [signed(between(sums(g, i), at, at + GRAMS, i)) for i in (0, 1)] if len(at) else [np.zeros(0, np.int64)] * 2
-        gone = pa.nulls(int(again.sum()), pa.int64())
-        yield pa.RecordBatch.from_arrays(
-            [pa.concat_arrays([gone, pa.array(w[0])]), pa.concat_arrays([gone, pa.array(w[1])]), pa.array(np.concatenate([doc[again], doc[new][row]])), pa.array(np.concatenate([start[again], start[new][row] + step])), pa.array(np.concatenate([n[again], np.ones(len(row), np.int64)]))],
-            ["k1", "k2", "doc_id", "start", "n"],
-        )
+        again: list[tuple] = []
+        fresh: list[tuple] = []
+        for phrase, piece, doc, start in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+            if (phrase, piece) == last:
+                again.append((doc, start, len(piece) - LENGTH + 1))
+                continue
+            last = (phrase, piece)
+            (fresh if phrase == big else held).append((phrase, piece, doc, start))
+            if phrase != big and big is not None:
+                big = None
+        if again:
+            yield given(None, *map(list, zip(*again, strict=True)))
+        if fresh:
+            yield spilled(fresh)
+        if held:
+            at = next((i for i in range(len(held) - 1, -1, -1) if held[i][0] != held[-1][0]), -1) + 1
+            yield from resolved(held[:at])
+            held = held[at:]
+            if len(held) > MOST_BLOCKS:
+                big = held[0][0]
+                yield spilled(held)
+                held = []
+    if held:
+        yield from resolved(held)
 
 
 def _later(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of sorted strings, those that start earlier elsewhere."""
-    last: list = []
+    """Of strings sorted by key and position, those that start earlier elsewhere."""
+    last = None
     for batch in batches:
         if batch.num_rows:
-            again = _again(last, batch.column(0).to_numpy(), batch.column(1).to_numpy())
+            k1, k2 = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            again = np.concatenate([[last == (k1[0], k2[0])], (k1[1:] == k1[:-1]) & (k2[1:] == k2[:-1])])
+            last = (k1[-1], k2[-1])
             yield pa.RecordBatch.from_arrays([pa.array(batch.column(i).to_numpy()[again]) for i in (2, 3, 4)], ["doc_id", "start", "n"])
 
 
@@ -237,7 +282,7 @@ def _spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             continue
         d, a, n = (batch.column(i).to_numpy() for i in range(3))
         b = a + n - 1 + LENGTH
-        # starts and ends both rise within a document only if blocks do not overlap in it, which they do not
+        # blocks do not overlap, so ends rise with starts
         new = np.concatenate([[True], (d[1:] != d[:-1]) | (a[1:] > b[:-1])])
         heads = np.nonzero(new)[0]
         tails = np.concatenate([heads[1:], [len(d)]]) - 1
@@ -257,12 +302,12 @@ def repeated_spans(docs: DataFrame, firsts: DataFrame) -> DataFrame:
     """doc_id, start, end: maximal runs of bytes covered by strings that start earlier, in the first of each text."""
     texts = distinct_texts(docs, firsts)
     phrases = texts.mapInArrow(_phrases, "phrase long, doc_id long, place long").repartition("phrase").sortWithinPartitions("phrase")
-    repeated = phrases.mapInArrow(_repeated, "doc_id long, place long")
-    runs = cut(repeated.repartition("doc_id").sortWithinPartitions("doc_id", "place").mapInArrow(_runs, "doc_id long, lo long, hi long, cuts array<long>"))
+    repeated = phrases.mapInArrow(_repeated, "phrase long, doc_id long, place long")
+    runs = cut(repeated.repartition("doc_id").sortWithinPartitions("doc_id", "place").mapInArrow(_runs, "doc_id long, hi long, phrases array<long>, starts array<long>"))
     ids = cut(runs.select("doc_id").distinct())
-    by_doc = runs.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi", "cuts")).alias("runs"))
-    blocks = texts_of(docs, ids).join(by_doc, "doc_id").mapInArrow(_blocks, "k1 long, k2 long, doc_id long, start long, bytes binary")
-    opened = cut(blocks.repartition("k1", "k2").sortWithinPartitions("k1", "k2", "doc_id", "start").mapInArrow(_opened, "k1 long, k2 long, doc_id long, start long, n long"))
+    by_doc = runs.groupBy("doc_id").agg(F.collect_list(F.struct("hi", "phrases", "starts")).alias("runs"))
+    blocks = texts_of(docs, ids).join(by_doc, "doc_id").mapInArrow(_blocks, "phrase long, bytes binary, doc_id long, start long")
+    opened = cut(blocks.repartition("phrase").sortWithinPartitions("phrase", "bytes", "doc_id", "start").mapInArrow(_opened, "k1 long, k2 long, doc_id long, start long, n long"))
     strings = opened.where("k1 is not null").repartition("k1", "k2").sortWithinPartitions("k1", "k2", "doc_id", "start")
     starts = opened.where("k1 is null").select("doc_id", "start", "n").unionByName(strings.mapInArrow(_later, "doc_id long, start long, n long"))
     return starts.repartition("doc_id").sortWithinPartitions("doc_id", "start").mapInArrow(_spans, "doc_id long, start long, end long")
