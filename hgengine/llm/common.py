@@ -2,19 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hgengine.session import ship
+from hgengine.session import cut, scratch, ship, small
 
-#: Most rows that a broadcast side may have; counted before the hint is given.
-BROADCAST_ROWS = 200_000
 #: Rows of an Arrow batch: long texts make large batches.
 BATCH_ROWS = 512
 
@@ -30,34 +25,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or in tests, where it is unset, one made here."""
-    path = spark.conf.get("spark.checkpoint.dir", None)
-    if not path:
-        path = getattr(shared_dir, "made", None) or tempfile.mkdtemp(prefix="shared-")
-        shared_dir.made = path
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(path)
-    return path
-
-
-def scratch(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and read it back: the lineage ends there, and a lost executor loses nothing."""
-    spark = df.sparkSession
-    path = scratch(spark, "cut")
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """Hint a broadcast of df (cut before) if its counted rows are within the bound; else leave it to a shuffled join."""
-    return F.broadcast(df) if df.count() <= rows else df
-
-
 def filtered(docs: DataFrame, keeps) -> DataFrame:
     """docs of which keeps, called with the list of a batch's texts, is true: one pass, no join and no shuffle."""
     at = docs.columns.index("text")
@@ -143,3 +110,6 @@ def components(edges: DataFrame) -> DataFrame:
             return labels
 
 
+
+
+__all__ = ["cut", "scratch", "small"]
