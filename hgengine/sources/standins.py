@@ -62,7 +62,7 @@ def words(spark: SparkSession, d: str, ids: bool = True) -> HyperFrame:
 
 
 def nation(spark: SparkSession, d: str) -> HyperFrame:
-    return HyperFrame.from_table(load(spark, d, "customer", ["c_custkey", "c_nationkey"]), "c_custkey", "c_nationkey")
+    return HyperFrame.from_table(load(spark, d, "customer", ["c_custkey", "c_nationkey"]), "c_custkey", F.col("c_nationkey").cast("long"))
 
 
 def sparse(spark: SparkSession, d: str) -> HyperFrame:

@@ -1,0 +1,159 @@
+"""Hyperedges from streams: windows, sessions, late data, joins, state, and warm-started ranks by micro-batches.
+
+Each query reads the events as a file stream until it is exhausted and returns what the sink holds.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from hgengine.algorithms import pagerank
+from hgengine.model import HyperFrame
+from hgengine.registry import query
+from hgengine.session import cut, scratch, ship
+from hgengine.sources.tables import load
+
+S = SparkSession
+EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+#: Seconds of the default watermark.
+DAY = 86_400
+
+
+def events(spark: S, d: str, delay: str | None = "1 day") -> DataFrame:
+    """A stream of the events; ts is a timestamp, which watermarks need."""
+    ship(spark)
+    stream = spark.readStream.schema(EVENTS).option("pathGlobFilter", "events.parquet*").option("recursiveFileLookup", "true").parquet(d)
+    stream = stream.withColumn("ts", F.col("ts").cast("timestamp"))
+    return stream.withWatermark("ts", delay) if delay else stream
+
+
+def drained(stream: DataFrame, mode: str = "append", label: str = "stream") -> DataFrame:
+    """Run to the end of the input; append goes to Parquet, other modes to a last table of the final batch."""
+    spark = stream.sparkSession
+    out, state = scratch(spark, label), scratch(spark, f"{label}-state")
+    if mode == "append":
+        stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", state).outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    else:
+        stream.writeStream.foreachBatch(lambda df, i: df.write.mode("overwrite").parquet(out)).option("checkpointLocation", state).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(out)
+
+
+_CLOSED = "{end} <= (select epoch(max(ts))::bigint from events) - 86400"
+_SECONDS = "epoch_us(ts) // 1000000"
+
+
+@query("s_window_tumbling", f"select * from (select {_SECONDS} // 3600 * 3600 as hid, user_id as vid, count(*) as n from events group by all) where " + _CLOSED.format(end="hid + 3600"))
+def s_window_tumbling(spark: S, d: str) -> DataFrame:
+    grouped = events(spark, d).groupBy(F.window("ts", "1 hour").alias("w"), F.col("user_id").alias("vid")).agg(F.count("*").alias("n"))
+    return drained(grouped.select(F.unix_seconds("w.start").alias("hid"), "vid", "n"))
+
+
+@query("s_window_sliding", f"select * from (select {_SECONDS} // 3600 * 3600 - 3600 * k as start, count(*) as n, round(sum(value), 4) as total from events, range(6) t(k) group by 1) where " + _CLOSED.format(end="start + 21600"))
+def s_window_sliding(spark: S, d: str) -> DataFrame:
+    grouped = events(spark, d).groupBy(F.window("ts", "6 hours", "1 hour").alias("w")).agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total"))
+    return drained(grouped.select(F.unix_seconds("w.start").alias("start"), "n", "total"))
+
+
+_SESSIONS = """
+with g as (select user_id, epoch_us(ts) as us, case when epoch_us(ts) - lag(epoch_us(ts)) over (partition by user_id order by ts) < 21600000000 then 0 else 1 end as fresh from events),
+s as (select user_id, us, sum(fresh) over (partition by user_id order by us rows unbounded preceding) as session from g)
+select user_id, min(us) // 1000000 as start, count(*) as n from s group by user_id, session having max(us) + 21600000000 <= (select epoch_us(max(ts)) from events) - 86400000000"""
+
+
+@query("s_session", _SESSIONS)
+def s_session(spark: S, d: str) -> DataFrame:
+    grouped = events(spark, d).groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return drained(grouped.select("user_id", F.unix_seconds("w.start").alias("start"), "n"))
+
+
+@query("s_dedup", "select distinct user_id, event_type from events")
+def s_dedup(spark: S, d: str) -> DataFrame:
+    """First sights: the delay covers the whole stream, so state is never dropped."""
+    return drained(events(spark, d, "60 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type"))
+
+
+@query("s_running_cardinality", f"select {_SECONDS} // 3600 * 3600 as hid, count(*) as n from events group by 1")
+def s_running_cardinality(spark: S, d: str) -> DataFrame:
+    grouped = events(spark, d).groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n"))
+    return drained(grouped.select(F.unix_seconds("w.start").alias("hid"), "n"), "complete")
+
+
+@query("s_late_data", f"select {_SECONDS} // 86400 * 86400 as start, count(*) as n from events where ts >= timestamp '2024-01-20' and ts < timestamp '2024-01-28' group by 1")
+def s_late_data(spark: S, d: str) -> DataFrame:
+    """Two batches; the second brings older events than the watermark admits, and they are dropped."""
+    rows = load(spark, d, "events").where("ts < timestamp_ntz '2024-01-28 00:00:00'")
+    path = scratch(spark, "late")
+    new = rows.where("ts >= timestamp_ntz '2024-01-20 00:00:00'")
+    new.coalesce(1).write.parquet(path)
+    stream = spark.readStream.schema(EVENTS).parquet(path).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
+    daily = stream.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")
+    out, state = scratch(spark, "late-out"), scratch(spark, "late-state")
+
+    def start():
+        return daily.writeStream.format("parquet").option("path", out).option("checkpointLocation", state).outputMode("append").trigger(availableNow=True).start().awaitTermination()
+
+    start()
+    rows.where("ts < timestamp_ntz '2024-01-19 00:00:00'").coalesce(1).write.mode("append").parquet(path)
+    start()
+    # a last event closes the windows
+    rows.limit(1).withColumn("ts", F.expr("timestamp_ntz '2024-02-10 00:00:00'")).coalesce(1).write.mode("append").parquet(path)
+    start()
+    return spark.read.schema(daily.schema).parquet(out)
+
+
+@query("s_stream_static", "select c_mktsegment as segment, count(*) as n from events join customer on user_id = c_custkey group by 1")
+def s_stream_static(spark: S, d: str) -> DataFrame:
+    joined = events(spark, d, None).join(load(spark, d, "customer", ["c_custkey", "c_mktsegment"]), F.col("user_id") == F.col("c_custkey"))
+    return drained(joined.groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count("*").alias("n")), "complete")
+
+
+@query("s_stream_stream", "select v.event_id as view_id, p.event_id as purchase_id from events v join events p on v.user_id = p.user_id and v.event_type = 'view' and p.event_type = 'purchase' and p.ts >= v.ts and p.ts <= v.ts + interval 1 hour")
+def s_stream_stream(spark: S, d: str) -> DataFrame:
+    v = events(spark, d).where("event_type = 'view'").select(F.col("event_id").alias("view_id"), F.col("user_id").alias("u"), F.col("ts").alias("at"))
+    p = events(spark, d).where("event_type = 'purchase'").select(F.col("event_id").alias("purchase_id"), "user_id", "ts")
+    return drained(v.join(p, F.expr("u = user_id and ts >= at and ts <= at + interval 1 hour")).select("view_id", "purchase_id"))
+
+
+@query("s_foreach_batch_pagerank")
+def s_foreach_batch_pagerank(spark: S, d: str) -> DataFrame:
+    """Memberships grow by micro-batches; each batch starts from the last ranks and needs few rounds."""
+    out = scratch(spark, "ranks")
+    held: dict = {}
+
+    def merge(batch: DataFrame, i: int) -> None:
+        new = batch.select("user_id", "ts").withColumns({"vid": F.col("user_id"), "hid": F.unix_timestamp(F.date_trunc("hour", "ts"))}).select("vid", "hid")
+        inc = cut((new if "inc" not in held else held["inc"].unionByName(new)).distinct())
+        hf = HyperFrame(inc.select("vid").distinct(), inc.select("hid").distinct().withColumn("weight", F.lit(1.0)), inc.withColumn("multiplicity", F.lit(1)))
+        ready = pagerank.prepared(hf)
+        if "ranks" in held:
+            warm = held["ranks"].withColumnRenamed("rank", "_was")
+            ready = HyperFrame(ready.vertices.join(warm, "vid", "left").withColumn("rank", F.coalesce("_was", "rank")).drop("_was"), ready.hyperedges, ready.incidence)
+        ranks = pagerank.iterate(ready, *pagerank.programs(0.15), 30, tol=("rank", 1e-6)).frame.vertices.select("vid", "rank")
+        held.update(inc=inc, ranks=cut(ranks))
+
+    stream = events(spark, d, None)
+    stream.writeStream.foreachBatch(merge).option("checkpointLocation", scratch(spark, "ranks-state")).trigger(availableNow=True).start().awaitTermination()
+    held["ranks"].select("vid", F.round("rank", 3).alias("rank")).write.parquet(out)
+    return spark.read.parquet(out)
+
+
+@query("s_stateful_last_seen", "select user_id, max(epoch_us(ts)) // 1000000 as last_seen, count(*) as n from events group by 1")
+def s_stateful_last_seen(spark: S, d: str) -> DataFrame:
+    """Own state of each user: time of the last event, and how many there were."""
+    from pyspark.sql.streaming.state import GroupState
+
+    def seen(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        last, n = state.get if state.exists else (0, 0)
+        for pdf in batches:
+            last, n = max(last, int(pdf["at"].max())), n + len(pdf)
+        state.update((last, n))
+        yield pd.DataFrame({"user_id": [key[0]], "last_seen": [last], "n": [n]})
+
+    rows = events(spark, d, None).select("user_id", F.unix_seconds("ts").alias("at"))
+    found = rows.groupBy("user_id").applyInPandasWithState(seen, "user_id long, last_seen long, n long", "last long, n long", "update", "NoTimeout")
+    updates = drained(found, "update")
+    return updates.groupBy("user_id").agg(F.max("last_seen").alias("last_seen"), F.max("n").alias("n"))
