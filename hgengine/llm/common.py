@@ -2,16 +2,17 @@
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hgengine.session import cut, scratch, ship, small
 
-#: Rows of an Arrow batch: long texts make large batches.
-BATCH_ROWS = 512
+#: Most bytes of an Arrow batch: long texts make few rows, ids many.
+BATCH_BYTES = "8m"
 
 #: Bytes [\x20\x09-\x0D] as a pattern of Spark's regular expressions.
 SPACE = r"[\x20\x09-\x0D]"
@@ -20,7 +21,7 @@ NOT_SPACE = r"[^\x20\x09-\x0D]"
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     ship(spark)
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
 
@@ -36,21 +37,6 @@ def filtered(docs: DataFrame, keeps) -> DataFrame:
     return docs.mapInArrow(run, docs.schema)
 
 
-class WordHashes(dict):
-    """64-bit hashes of byte words, kept for the words of late."""
-
-    MOST = 400_000
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= self.MOST:
-            self.clear()
-        value = self[word] = xxhash.xxh3_64_intdigest(word)
-        return value
-
-    def of(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
-
-
 MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -78,9 +64,52 @@ def encoded(text: str | None) -> bytes:
     return b"" if text is None else text.encode("utf-8", "surrogatepass")
 
 
-def space_words(text: str | None) -> list[bytes]:
-    r"""Words [^\x20\x09-\x0D]+ with A-Z in lower case, as UTF-8 (bytes.lower and bytes.split treat ASCII alone)."""
-    return encoded(text).lower().split()
+_BASE = 0xD1342543DE82EF95
+_BLOCK = 1 << 22
+_ANY_SPACE = re.compile(rb"[\x20\x09-\x0D]")
+_SPACES = np.isin(np.arange(256), [32, *range(9, 14)])
+#: A value of each byte; A-Z have those of a-z.
+_VALUES = np.random.default_rng(20240101).integers(1, 1 << 63, 256, dtype=np.uint64)
+_VALUES[65:91] = _VALUES[97:123]
+_powers: list[np.ndarray] = []
+
+
+def _power(n: int) -> list[np.ndarray]:
+    """Powers of the base and of its inverse modulo 2 ** 64, at least n of them."""
+    if not _powers or len(_powers[0]) < n:
+        tables = []
+        for x in (_BASE, pow(_BASE, -1, 1 << 64)):
+            table = np.full(1 << max(16, int(n).bit_length()), x, np.uint64)
+            table[0] = 1
+            tables.append(np.multiply.accumulate(table))
+        _powers[:] = tables
+    return _powers
+
+
+def hashed_words(text: str | None) -> np.ndarray:
+    r"""64-bit hashes of the words [^\x20\x09-\x0D]+ of a text, A-Z as a-z, in order: no word becomes an object."""
+    raw = encoded(text)
+    if len(raw) > _BLOCK:  # in blocks that end at a space
+        parts, at = [], 0
+        while at < len(raw):
+            m = _ANY_SPACE.search(raw, at + _BLOCK)
+            end = m.start() if m else len(raw)
+            parts.append(_hashed(raw[at:end]))
+            at = end
+        return np.concatenate(parts)
+    return _hashed(raw)
+
+
+def _hashed(raw: bytes) -> np.ndarray:
+    x = np.frombuffer(raw, np.uint8)
+    gaps = np.ones(len(x) + 2, np.int8)
+    gaps[1:-1] = _SPACES[x]
+    steps = np.diff(gaps)
+    starts, ends = np.nonzero(steps == -1)[0], np.nonzero(steps == 1)[0]
+    forth, back = _power(len(x) + 1)
+    sums = np.zeros(len(x) + 1, np.uint64)
+    np.cumsum(_VALUES[x] * forth[: len(x)], out=sums[1:])
+    return mixed((sums[ends] - sums[starts]) * back[starts] + (ends - starts).astype(np.uint64))
 
 
 def signed(x: np.ndarray) -> np.ndarray:

@@ -1,17 +1,24 @@
 """N-gram Jaccard join with count vectors in an R-tree.
 
-Shingles are hashed into groups and each text becomes the point of its group counts. The overlap of two texts is at
-most the sum of the smaller of each coordinate, so the boxes of an R-tree over these points give a bound for whole
-subtrees, and only pairs that pass the bound of the points themselves have their sets compared.
+Shingles are hashed into groups and each text becomes the point of its group counts. Counts stop at 1, so that many
+groups fit a point; the overlap of two texts is then at most the size of either less the groups that it has and the
+other lacks. The boxes of an R-tree over the points (the groups that any member has, and the range of sizes) bound
+whole subtrees alike, and only pairs that pass the bound of the points themselves have their sets compared.
 
 At scale one tree over all texts would compare everything with everything, so the forest has one tree for each
-shingle that two texts can share first: with an overlap of at least ceil(0.8 n), the first n - ceil(0.8 n) + 1
-shingles of both, in any one order, have a member in common. The order puts shingles of many texts last, so trees
-stay small; a tree that is large nevertheless is dealt out as pairs of blocks. No link is lost: the order decides the
-cost alone.
+shingle of a prefix: with an overlap of at least ceil(0.8 n), the first n - ceil(0.8 n) + k shingles of both texts, in
+any one order, have k members in common, and pairs must meet in as many trees. The order puts shingles of many texts
+last, so trees stay small; a tree that is large nevertheless is dealt out as pairs of blocks. No link is lost: the
+order decides the cost alone.
+
+Pairs are never listed within a group of similar texts. First each tree links its smallest member to those within the
+bound; what hangs together is a family. Then trees look for pairs of different families alone, and families that such
+a pair joins become one. Every pair that passes is then within a family, and families are verified in pairs of chunks,
+each text travelling once for each of them: a chunk compares sets of texts that are not yet connected.
 
 Equal sets are joined by their digest first and stand in the search as one representative.
-Null or empty texts and texts without words have the empty set and link with nothing.
+Null or empty texts and texts without words have the empty set and link with nothing. Extra columns do not matter. An
+empty table gives no rows. doc_id must be unique.
 """
 
 from __future__ import annotations
@@ -24,14 +31,18 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hgengine.llm.common import WordHashes, components, cut, shingles, signed, small, space_words
+from hgengine.llm.common import components, cut, hashed_words, shingles, signed, small
+from hgengine.llm.copies import texts_of
 
-GROUPS = 128
+GROUPS = 1024
 #: A shingle of so many texts goes to the end of the order; at most so many are told apart.
 COMMON, MOST_COMMON = 48, 1_000_000
 #: Members of a tree beyond which it is dealt out as pairs of blocks.
 BLOCK = 2_000
-LEAF = 16
+#: Texts of a family that are verified against as many others at once, and their shingles at most.
+CHUNK, CHUNK_SHINGLES = 512, 1_000_000
+#: Children of a node; a tree of no more points is one node, compared at once.
+LEAF = 48
 
 
 def overlap_needed(n: np.ndarray | int, m: np.ndarray | int, percent: int) -> np.ndarray:
@@ -39,45 +50,56 @@ def overlap_needed(n: np.ndarray | int, m: np.ndarray | int, percent: int) -> np
     return -(-percent * (n + m) // (100 + percent))
 
 
+def shared_least(n):
+    """Shingles of the prefix that a text of n shingles must share with another (of the two texts, the smaller number)."""
+    return 1 + n // 20
+
+
 def prefix_length(n: int, percent: int) -> int:
-    return n - -(-percent * n // 100) + 1
+    return n - -(-percent * n // 100) + shared_least(n)
 
 
 class CountVectorTree:
-    """R-tree over count vectors, packed by set size; boxes keep coordinate maxima and the range of sizes."""
+    """R-tree over points of bits, packed by set size; boxes keep the bits of any member and the range of sizes."""
 
-    def __init__(self, sizes: np.ndarray, vectors: np.ndarray, percent: int) -> None:
+    def __init__(self, sizes: np.ndarray, points: np.ndarray, percent: int) -> None:
         self.order = np.argsort(sizes, kind="stable")
-        self.sizes, self.vectors, self.percent = sizes[self.order].astype(np.int64), vectors[self.order], percent
+        self.sizes, self.points, self.percent = sizes[self.order].astype(np.int64), points[self.order], percent
         starts = np.arange(0, len(sizes), LEAF)
-        self.levels = [(np.maximum.reduceat(self.vectors, starts, axis=0), np.minimum.reduceat(self.sizes, starts), np.maximum.reduceat(self.sizes, starts))]
+        self.levels = [(np.bitwise_or.reduceat(self.points, starts, axis=0), np.minimum.reduceat(self.sizes, starts), np.maximum.reduceat(self.sizes, starts))]
         while len(self.levels[-1][0]) > LEAF:
             top, low, high = self.levels[-1]
             starts = np.arange(0, len(top), LEAF)
-            self.levels.append((np.maximum.reduceat(top, starts, axis=0), np.minimum.reduceat(low, starts), np.maximum.reduceat(high, starts)))
+            self.levels.append((np.bitwise_or.reduceat(top, starts, axis=0), np.minimum.reduceat(low, starts), np.maximum.reduceat(high, starts)))
 
-    def _bounded(self, vector: np.ndarray, n: int, vectors: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
-        fits = (100 * high >= self.percent * n) & (self.percent * low <= 100 * n)
-        at = np.nonzero(fits)[0]
-        bound = np.minimum(vectors[at], vector).sum(axis=1, dtype=np.int64)
-        return at[bound >= overlap_needed(n, np.maximum(low[at], -(-self.percent * n // 100)), self.percent)]
-
-    def query(self, vector: np.ndarray, n: int) -> np.ndarray:
+    def query(self, point: np.ndarray, n: int) -> np.ndarray:
         """Positions, in the order given, of members that the bound cannot rule out."""
-        nodes = np.arange(len(self.levels[-1][0]))
+        nodes, p = np.arange(len(self.levels[-1][0])), self.percent
         for depth in range(len(self.levels) - 1, -1, -1):
-            top, low, high = self.levels[depth]
-            nodes = nodes[self._bounded(vector, n, top[nodes], low[nodes], high[nodes])]
+            top, low, high = (x[nodes] for x in self.levels[depth])
+            least = overlap_needed(n, np.maximum(low, -(-p * n // 100)), p)
+            fits = (100 * high >= p * n) & (p * low <= 100 * n) & (n - missing(point, top) >= least)
             width = len(self.levels[depth - 1][0]) if depth else len(self.sizes)
-            nodes = (nodes[:, None] * LEAF + np.arange(LEAF)).ravel()
+            nodes = (nodes[fits][:, None] * LEAF + np.arange(LEAF)).ravel()
             nodes = nodes[nodes < width]
-        nodes = nodes[self._bounded(vector, n, self.vectors[nodes], self.sizes[nodes], self.sizes[nodes])]
-        return self.order[nodes]
+        return self.order[nodes[admitted(point, n, self.points[nodes], self.sizes[nodes], p)]]
+
+
+def missing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Groups that a has and b lacks."""
+    return np.bitwise_count(a & ~b).sum(axis=-1, dtype=np.int64)
+
+
+def admitted(point: np.ndarray, n: np.ndarray | int, points: np.ndarray, sizes: np.ndarray, percent: int) -> np.ndarray:
+    """Whether the bound admits each pair."""
+    fits = (100 * sizes >= percent * n) & (percent * sizes <= 100 * n)
+    bound = np.minimum(n - missing(point, points), sizes - missing(points, point))
+    return fits & (bound >= overlap_needed(n, sizes, percent))
 
 
 def _common(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, held, size = WordHashes(), [], 0
+        held, size = [], 0
 
         def counted() -> pa.RecordBatch:
             values, counts = np.unique(np.concatenate(held), return_counts=True)
@@ -86,7 +108,7 @@ def _common(k: int):
 
         for batch in batches:
             for text in batch.column(0):
-                if len(s := np.unique(shingles(words.of(space_words(text.as_py())), k))):
+                if len(s := np.unique(shingles(hashed_words(text.as_py()), k))):
                     held.append(s)
                     size += len(s)
                 if size >= 3_000_000:
@@ -105,17 +127,27 @@ def common_shingles(docs: DataFrame, k: int) -> np.ndarray:
     return np.sort(rows.column(0).to_numpy().astype(np.int64).view(np.uint64))
 
 
+def point_of(members: np.ndarray) -> bytes:
+    has = np.zeros(GROUPS, np.uint8)
+    has[(members & np.uint64(GROUPS - 1)).astype(np.int64)] = 1
+    return np.packbits(has).tobytes()
+
+
+def points_of(column: list[bytes]) -> np.ndarray:
+    return np.frombuffer(b"".join(column), np.uint64).reshape(-1, GROUPS // 64)
+
+
 def _sets(k: int, percent: int, common):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, often = WordHashes(), common.value
+        often = common.value
         for batch in batches:
             ids, sizes, keys, vectors, prefixes = [], [], [], [], []
             for doc, text in zip(batch.column(0), batch.column(1), strict=True):
-                s = np.unique(shingles(words.of(space_words(text.as_py())), k))
+                s = np.unique(shingles(hashed_words(text.as_py()), k))
                 ids.append(doc.as_py())
                 sizes.append(len(s))
                 keys.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
-                vectors.append(np.minimum(np.bincount((s & np.uint64(GROUPS - 1)).astype(np.int64), minlength=GROUPS), 65535).astype(np.uint16).tobytes())
+                vectors.append(point_of(s))
                 length = prefix_length(len(s), percent) if len(s) else 0
                 if len(often) and length:
                     at = np.searchsorted(often, s).clip(max=len(often) - 1)
@@ -126,121 +158,198 @@ def _sets(k: int, percent: int, common):
             flat = np.concatenate([*prefixes, np.zeros(0, np.int64)])
             yield pa.RecordBatch.from_arrays(
                 [pa.array(ids, pa.int64()), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary()), pa.array(vectors, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))],
-                ["doc_id", "n_shingles", "set_key", "counts", "prefix"],
+                ["doc_id", "n_shingles", "set_key", "point", "prefix"],
             )
 
     return run
 
 
-def _candidates(percent: int):
-    def pairs(rows: dict[str, np.ndarray], seen: set) -> tuple[list, list]:
-        ids, sizes, vectors, left = rows["doc_id"], rows["n_shingles"], rows["counts"], rows["left"]
-        right = rows["right"]
-        a, b = [], []
-        build, probe = (np.nonzero(left)[0], np.nonzero(right)[0]) if not (left & right).all() else (np.arange(len(ids)),) * 2
-        if not len(build) or not len(probe):
-            return a, b
-        tree = CountVectorTree(sizes[build], vectors[build], percent)
-        for i in probe:
-            for j in build[tree.query(vectors[i], int(sizes[i]))]:
-                x, y = int(ids[i]), int(ids[j])
-                if x == y:
-                    continue
-                pair = (x, y) if x < y else (y, x)
-                if pair not in seen:
-                    seen.add(pair)
-                    a.append(pair[0])
-                    b.append(pair[1])
-        return a, b
+def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by shingle, those whose shingle another row has."""
+    held: list = []  # the last shingle, its row, and whether that was given
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        s, d = (batch.column(i).to_numpy() for i in range(2))
+        if held:
+            s, d = np.append(held[0], s), np.append(held[1], d)
+        same = s[1:] == s[:-1]
+        keep = np.append(False, same) | np.append(same, False)
+        last = [s[-1], d[-1], bool(keep[-1]) or bool(held and held[2] and len(s) == 1)]
+        if held and held[2]:
+            keep[0] = False
+        held = last
+        yield pa.RecordBatch.from_arrays([pa.array(s[keep]), pa.array(d[keep])], ["shingle", "doc_id"])
+
+
+KEYS = ("shingle", "i", "j")
+
+
+def _trees(find):
+    """Apply find(doc_id, n_shingles, points, left, right, family) -> pairs to each tree of rows sorted by KEYS; give the
+    pairs and in how many trees they met."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: set = set()
-        kept: list[pa.Table] = []
-        names = ["doc_id", "n_shingles", "counts", "left", "right"]
-
-        def flushed(parts: pa.Table) -> Iterator[pa.RecordBatch]:
-            columns = {n: parts.column(n).to_numpy() for n in names if n != "counts"}
-            columns["counts"] = np.frombuffer(b"".join(parts.column("counts").to_pylist()), np.uint16).reshape(-1, GROUPS)
-            keys = np.stack([parts.column(n).to_numpy() for n in ("shingle", "i", "j")])
+        def found(rows: pa.Table) -> Iterator[pa.RecordBatch]:
+            columns = [rows.column("doc_id").to_numpy(), rows.column("n_shingles").to_numpy(), points_of(rows.column("point").to_pylist()), rows.column("left").to_numpy(), rows.column("right").to_numpy(), rows.column("family").to_numpy()]
+            keys = np.stack([rows.column(n).to_numpy() for n in KEYS])
             cuts = np.nonzero(np.any(keys[:, 1:] != keys[:, :-1], axis=0))[0] + 1
-            a, b = [], []
-            for lo, hi in zip([0, *cuts], [*cuts, parts.num_rows], strict=True):
-                if hi - lo > 1:
-                    x, y = pairs({n: v[lo:hi] for n, v in columns.items()}, seen)
-                    a += x
-                    b += y
-                if len(seen) > 500_000:
-                    seen.clear()
-            if a:
-                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
-
-        # rows come sorted by key; the last key of what is held may go on in the next batch
+            pairs = [find(*(c[lo:hi] for c in columns)) for lo, hi in zip([0, *cuts], [*cuts, rows.num_rows], strict=True) if hi - lo > 1]
+            if pairs:
+                both, n = np.unique(np.sort(np.concatenate(pairs), axis=1), axis=0, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), pa.array(n)], ["a", "b", "n"])
+
+        held: list[pa.Table] = []  # the last tree, which may go on in the next batch
         for batch in batches:
             if not batch.num_rows:
                 continue
-            kept.append(pa.Table.from_batches([batch]))
-            last = [batch.column(n)[-1].as_py() for n in ("shingle", "i", "j")]
-            first = [batch.column(n)[0].as_py() for n in ("shingle", "i", "j")]
+            held.append(pa.Table.from_batches([batch]))
+            first, last = ([held[i].column(n)[i].as_py() for n in KEYS] for i in (0, -1))
             if first == last:
                 continue
-            whole = pa.concat_tables(kept)
-            keys = np.stack([whole.column(n).to_numpy() for n in ("shingle", "i", "j")])
+            whole = pa.concat_tables(held)
+            keys = np.stack([whole.column(n).to_numpy() for n in KEYS])
             at = int(np.nonzero(np.any(keys != np.array(last)[:, None], axis=0))[0][-1]) + 1
-            yield from flushed(whole.slice(0, at))
-            kept = [whole.slice(at)]
-        if kept:
-            yield from flushed(pa.concat_tables(kept))
+            yield from found(whole.slice(0, at))
+            held = [whole.slice(at)]
+        if held:
+            yield from found(pa.concat_tables(held))
 
     return run
 
 
+def _stars(percent: int):
+    def find(ids, sizes, points, left, right, family) -> np.ndarray:
+        """The smallest member with all that the bound admits."""
+        i = int(np.argmin(ids))
+        fits = admitted(points[i], int(sizes[i]), points, sizes, percent) & (ids != ids[i])
+        return np.stack([np.full(int(fits.sum()), ids[i]), ids[fits]], axis=1)
+
+    return find
+
+
+def _strangers(percent: int):
+    def find(ids, sizes, points, left, right, family) -> np.ndarray:
+        """Pairs of left and right from different families that the bound admits."""
+        none = np.zeros((0, 2), np.int64)
+        if (family == family[0]).all():
+            return none
+        if len(ids) <= LEAF:
+            a, b = np.nonzero(np.triu((left[:, None] & right | right[:, None] & left) & (family[:, None] != family), 1))
+            fits = admitted(points[a], sizes[a], points[b], sizes[b], percent)
+            return np.stack([ids[a[fits]], ids[b[fits]]], axis=1)
+        build, probe = np.nonzero(left)[0], np.nonzero(right)[0]
+        if not len(build) or not len(probe):
+            return none
+        tree = CountVectorTree(sizes[build], points[build], percent)
+        met = [(np.full(len(at), i), build[at]) for i in probe for at in [tree.query(points[i], int(sizes[i]))]]
+        a, b = (np.concatenate([m[i] for m in met]) for i in (0, 1))
+        apart = (family[a] != family[b]) & ((ids[a] < ids[b]) | ~(right[b] & left[a]))
+        return np.stack([ids[a[apart]], ids[b[apart]]], axis=1)
+
+    return find
+
+
 def _members(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = WordHashes()
         for batch in batches:
-            sets = [signed(np.unique(shingles(words.of(space_words(t.as_py())), k))) for t in batch.column(1)]
-            offsets = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([*sets, np.zeros(0, np.int64)])))], ["doc_id", "members"])
+            sets = [np.unique(shingles(hashed_words(t.as_py()), k)).tobytes() for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], ["doc_id", "members"])
+
+    return run
+
+
+def _verified(percent: int, every: bool):
+    """Of sets sorted by pair of chunks: links, all of them or as many as connect what is connected."""
+
+    def links(ids: list[int], chunks: list[int], sets: list[np.ndarray]) -> Iterator[tuple[int, int, int]]:
+        sizes, points = np.fromiter(map(len, sets), np.int64, len(sets)), points_of([point_of(s) for s in sets])
+        chunk, root = np.array(chunks), np.arange(len(sets))
+        both = chunk.min() != chunk.max()
+        for i in range(1, len(sets)):
+            fits = admitted(points[i], int(sizes[i]), points[:i], sizes[:i], percent)
+            if every and both:
+                fits &= chunk[:i] != chunk[i]
+            for j in np.nonzero(fits)[0]:
+                if not every and root[i] == root[j]:
+                    continue
+                overlap = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+                if 100 * overlap >= percent * (sizes[i] + sizes[j] - overlap):
+                    root[root == root[i]] = root[j]
+                    yield min(ids[i], ids[j]), max(ids[i], ids[j]), overlap
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        group, ids, chunks, sets = None, [], [], []
+
+        def given() -> pa.RecordBatch:
+            found = list(links(ids, chunks, sets)) if len(ids) > 1 else []
+            return pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(3)], ["a", "b", "overlap"])
+
+        for batch in batches:
+            for key, doc, chunk, members in zip(*(batch.column(n).to_pylist() for n in ("group", "doc_id", "chunk", "members")), strict=True):
+                if key != group:
+                    yield given()
+                    group, ids, chunks, sets = key, [], [], []
+                ids.append(doc)
+                chunks.append(chunk)
+                sets.append(np.frombuffer(members, np.uint64))
+        yield given()
 
     return run
 
 
-def jaccard_links(docs: DataFrame, k: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame]:
+def verified(docs: DataFrame, families: DataFrame, k: int, percent: int, every: bool) -> DataFrame:
+    """a, b, overlap of links within families (doc_id, n_shingles, family)."""
+    sizes = families.groupBy("family").agg(F.ceil(F.greatest(F.count("*") / F.lit(CHUNK), F.sum("n_shingles") / F.lit(CHUNK_SHINGLES))).cast("int").alias("chunks"))
+    dealt = cut(families.join(sizes, "family").withColumn("chunk", F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int")))
+    members = texts_of(docs, dealt.select("doc_id")).mapInArrow(_members(k), "doc_id long, members binary").join(dealt, "doc_id")
+    # a chunk meets each other one, and itself where it is the only one
+    other = F.explode(F.when(F.col("chunks") == 1, F.array(F.lit(0))).otherwise(F.filter(F.sequence(F.lit(0), F.col("chunks") - 1), lambda c: (c != F.col("chunk")) | F.lit(every))))
+    rows = members.withColumn("other", other).select(F.xxhash64("family", F.least("chunk", "other"), F.greatest("chunk", "other")).alias("group"), "doc_id", "chunk", "members")
+    return rows.repartition("group").sortWithinPartitions("group", "doc_id").mapInArrow(_verified(percent, every), "a long, b long, overlap long")
+
+
+def jaccard_links(docs: DataFrame, k: int = 5, percent: int = 80, every: bool = True) -> tuple[DataFrame, DataFrame]:
     """(classes, links): classes has doc_id, n_shingles and rep, the smallest doc_id of the same set (null for empty
-    sets); links has the pairs a < b of representatives with 100 * overlap >= percent * union, and overlap.
+    sets); links has pairs a < b of representatives with 100 * overlap >= percent * union, and overlap: all, or with
+    every=False as many as connect the same texts.
 
-    Only doc_id and text are read; other columns do not matter. doc_id must be unique.
-    """
+    Only doc_id and text are read; other columns do not matter. doc_id must be unique."""
     spark, docs = docs.sparkSession, docs.select("doc_id", "text")
     common = spark.sparkContext.broadcast(common_shingles(docs, k))
-    sets = cut(docs.mapInArrow(_sets(k, percent, common), "doc_id long, n_shingles long, set_key binary, counts binary, prefix array<long>"))
+    sets = cut(docs.mapInArrow(_sets(k, percent, common), "doc_id long, n_shingles long, set_key binary, point binary, prefix array<long>"))
     reps = sets.where("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"))
     classes = cut(sets.select("doc_id", "n_shingles", "set_key").join(reps, "set_key", "left").select("doc_id", "n_shingles", "rep"))
     alone = sets.join(classes.where("doc_id = rep").select("doc_id"), "doc_id", "left_semi")
-    rows = alone.select("doc_id", "n_shingles", "counts", F.explode("prefix").alias("shingle"))
-    # shingles of one text alone make no pair
-    held = alone.select("doc_id", F.explode("prefix").alias("shingle")).groupBy("shingle").agg(F.count("*").alias("n")).where("n > 1")
-    held = cut(held)
-    shared = held.where(F.col("n") <= BLOCK)
-    large = held.where(F.col("n") > BLOCK)
-    trees = rows.join(shared.select("shingle"), "shingle").select("shingle", F.lit(0).alias("i"), F.lit(0).alias("j"), "doc_id", "n_shingles", "counts", F.lit(True).alias("left"), F.lit(True).alias("right"))
-    blocks = F.ceil(F.col("n") / F.lit(BLOCK)).cast("int")
-    dealt = rows.join(large, "shingle").withColumn("of", blocks).withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("of")).cast("int"))
-    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("of") - 1)))
-    dealt = dealt.select("shingle", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "doc_id", "n_shingles", "counts", (F.col("own") <= F.col("other")).alias("left"), (F.col("own") >= F.col("other")).alias("right"))
-    forest = trees.unionByName(dealt).repartition("shingle", "i", "j").sortWithinPartitions("shingle", "i", "j")
-    pairs = cut(forest.mapInArrow(_candidates(percent), "a long, b long").distinct())
-    wanted = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    members = cut(docs.join(wanted, "doc_id", "left_semi").select("doc_id", "text").mapInArrow(_members(k), "doc_id long, members array<long>"))
-    left, right = (members.select(F.col("doc_id").alias(x), F.col("members").alias(f"of_{x}")) for x in "ab")
-    links = pairs.join(left, "a").join(right, "b").withColumn("overlap", F.size(F.array_intersect("of_a", "of_b")).cast("long"))
-    union = F.size("of_a") + F.size("of_b") - F.col("overlap")
-    return classes, cut(links.where(100 * F.col("overlap") >= percent * union).select("a", "b", "overlap"))
+    # one sort finds the shingles that two texts share; points join those rows alone
+    dealt = alone.select(F.explode("prefix").alias("shingle"), "doc_id").repartition("shingle").sortWithinPartitions("shingle")
+    shared = cut(dealt.mapInArrow(_shared, "shingle long, doc_id long"))
+    large = cut(shared.groupBy("shingle").agg(F.count("*").alias("n")).where(F.col("n") > BLOCK))
+    of = F.coalesce(F.ceil(F.col("n") / F.lit(BLOCK)), F.lit(1)).cast("int")
+    rows = shared.join(small(large), "shingle", "left").withColumn("of", of).withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("of")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("of") - 1)))
+    rows = rows.select("shingle", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "doc_id", (F.col("own") <= F.col("other")).alias("left"), (F.col("own") >= F.col("other")).alias("right"))
+    texts = alone.select("doc_id", "n_shingles", "point")
+
+    def pairs(texts: DataFrame, find) -> DataFrame:
+        forest = rows.join(texts, "doc_id").repartition(*KEYS).sortWithinPartitions(*KEYS)
+        met = forest.mapInArrow(_trees(find), "a long, b long, n long").groupBy("a", "b").agg(F.sum("n").alias("n"))
+        for x in "ab":
+            met = met.join(classes.select(F.col("doc_id").alias(x), F.expr("1 + n_shingles div 20").alias(f"least_{x}")), x)
+        return met.where(F.col("n") >= F.least("least_a", "least_b")).select("a", "b")
+
+    roots = components(pairs(texts.withColumn("family", F.col("doc_id")), _stars(percent)))
+    texts = texts.join(roots.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").withColumn("family", F.coalesce("root", "doc_id")).drop("root")
+    strange = cut(pairs(texts, _strangers(percent)))
+    # families that a pair joins become one
+    families = components(strange.unionByName(roots.select(F.col("node").alias("a"), F.col("root").alias("b"))))
+    families = families.select(F.col("node").alias("doc_id"), F.col("root").alias("family")).join(classes.select("doc_id", "n_shingles"), "doc_id")
+    return classes, cut(verified(docs, families, k, percent, every))
 
 
 def near_duplicate_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id: the smallest doc_id that links reach."""
-    classes, links = jaccard_links(docs, k, percent)
+    classes, links = jaccard_links(docs, k, percent, every=False)
     roots = components(links)
     found = classes.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left")
     return found.select("doc_id", "n_shingles", F.coalesce("root", "rep", "doc_id").alias("component_id"))
