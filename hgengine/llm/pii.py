@@ -143,10 +143,8 @@ def joined(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def sanitised(docs: DataFrame) -> DataFrame:
-    """docs with each span of the text replaced by its kind in brackets; overlapping spans by the first one's."""
-    found = cut(personal_spans(docs).where(F.size("spans") > 0)).select(F.col("doc_id").alias("_doc"), F.array_sort(F.transform("spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))).alias("_spans"))
-    rows = docs.join(found, F.col("doc_id") == F.col("_doc"), "left")
+def masked(spans: str) -> Column:
+    """text with each span (start, end, kind, by start) replaced by its kind; overlapping spans by the first one's."""
     text = F.col("text")
 
     def step(acc: Column, s: Column) -> Column:
@@ -154,5 +152,20 @@ def sanitised(docs: DataFrame) -> DataFrame:
         fresh = F.struct(s["end"].alias("at"), F.concat(acc["out"], between, F.lit("["), F.upper(s["kind"]), F.lit("]")).alias("out"))
         return F.when(s["start"] >= acc["at"], fresh).otherwise(F.struct(F.greatest(acc["at"], s["end"]).alias("at"), acc["out"].alias("out")))
 
-    new = F.aggregate("_spans", F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substring(text, (acc["at"] + 1).cast("int"), F.char_length(text))))
-    return rows.withColumn("text", F.when(F.col("_spans").isNull(), text).otherwise(new)).select(docs.columns)
+    ordered = F.array_sort(F.transform(spans, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
+    return F.aggregate(ordered, F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substring(text, (acc["at"] + 1).cast("int"), F.char_length(text))))
+
+
+#: Passes over a changed text: what stands free once its neighbour is gone can match anew.
+PASSES = 3
+
+
+def sanitised(docs: DataFrame) -> DataFrame:
+    """docs with each span of the text replaced by its kind in brackets."""
+    found = cut(personal_spans(docs).where(F.size("spans") > 0))
+    new = docs.select("doc_id", "text").join(found, "doc_id").select("doc_id", masked("spans").alias("text"))
+    for _ in range(PASSES - 1):
+        new = base_spans(new).select("doc_id", masked("spans").alias("text"))
+    new = cut(new).select(F.col("doc_id").alias("_doc"), F.col("text").alias("_text"))
+    rows = docs.join(new, F.col("doc_id") == F.col("_doc"), "left")
+    return rows.withColumn("text", F.coalesce("_text", "text")).select(docs.columns)
