@@ -27,7 +27,7 @@ def programs(alpha: float) -> tuple[Program, Program]:
     return vertex, hyperedge
 
 
-def run(hf: HyperFrame, alpha: float = 0.15, max_rounds: int = 30, tol: float | None = None, init: str = "exact", weight: str | None = "weight", restart: Column | None = None, only_hyperedges: bool = False, cut_every: int = 4) -> RunResult:
+def run(hf: HyperFrame, alpha: float = 0.15, max_rounds: int = 30, tol: float | None = None, init: str = "exact", weight: str | None = "weight", restart: Column | None = None, only_hyperedges: bool = False, cut_every: int = 5) -> RunResult:
     vertex, hyperedge = programs(alpha)
     return iterate(prepared(hf, weight, init, restart), vertex, hyperedge, max_rounds, tol=("rank", tol) if tol else None, drop_last=only_hyperedges, cut_every=cut_every)
 

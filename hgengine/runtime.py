@@ -8,6 +8,7 @@ shared folder every few rounds, which cuts the lineage and lets the planner see
 
 from __future__ import annotations
 
+import re
 import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
@@ -62,7 +63,12 @@ def advance(nodes: DataFrame, messages: DataFrame, program: Program, key: str, r
     return joined.select(*keep, *(c.alias(n) for n, c in new.items()))
 
 
-def iterate(hf: HyperFrame, vertex: Program, hyperedge: Program, max_rounds: int, frontier: bool = False, active: Column | None = None, tol: tuple[str, float] | None = None, stop: Callable[[DataFrame], bool] | None = None, cut_every: int = 4, drop_last: bool = False) -> RunResult:
+def forgets(program: Program) -> bool:
+    """Whether new attributes follow from messages and from attributes that never change."""
+    return not any(re.search(rf"\b{re.escape(name)}\b", str(c)) for name in program.state for c in program.state.values())
+
+
+def iterate(hf: HyperFrame, vertex: Program, hyperedge: Program, max_rounds: int, frontier: bool = False, active: Column | None = None, tol: tuple[str, float] | None = None, stop: Callable[[DataFrame], bool] | None = None, cut_every: int = 5, drop_last: bool = False) -> RunResult:
     """Run rounds until max_rounds; with a frontier, until no vertex sends; with tol=(attribute, bound), until no vertex's
     attribute changes by more; with stop, until it says so of the vertices.
 
@@ -72,16 +78,19 @@ def iterate(hf: HyperFrame, vertex: Program, hyperedge: Program, max_rounds: int
     vs, hs, inc = hf.vertices, hf.hyperedges, hf.incidence.persist()
     if frontier:
         vs = vs.withColumn("_send", F.lit(True) if active is None else F.coalesce(active, F.lit(False)))
+    # a side that forgets starts each step from its first table, and the plan stays a chain; else the last state is read
+    # twice, by its own step and by its messages, and is written each time
+    fresh = {"vid": vs if forgets(vertex) and not frontier else None, "hid": hs if forgets(hyperedge) and not frontier else None}
     result = RunResult(hf)
     for r in range(1, max_rounds + 1):
         began = time.perf_counter()
-        hs = advance(hs.drop("_send"), half_round(vs, inc, vertex, "vid", "hid", r), hyperedge, "hid", r, frontier)
-        if counted or r % cut_every == 0:
+        hs = advance((hs if fresh["hid"] is None else fresh["hid"]).drop("_send"), half_round(vs, inc, vertex, "vid", "hid", r), hyperedge, "hid", r, frontier)
+        if counted or fresh["hid"] is None or r % cut_every == 0:
             hs = cut(hs)
         if drop_last and r == max_rounds and not counted:
             break
         before = vs
-        vs = advance(vs.drop("_send"), half_round(hs, inc, hyperedge, "hid", "vid", r), vertex, "vid", r, frontier)
+        vs = advance((vs if fresh["vid"] is None else fresh["vid"]).drop("_send"), half_round(hs, inc, hyperedge, "hid", "vid", r), vertex, "vid", r, frontier)
         row = {"round": r}
         if counted:
             vs = cut(vs)
@@ -89,7 +98,7 @@ def iterate(hf: HyperFrame, vertex: Program, hyperedge: Program, max_rounds: int
                 row["active"] = vs.where("_send").count()
             if tol:
                 row["change"] = before.select("vid", F.col(tol[0]).alias("_was")).join(vs, "vid").agg(F.max(F.abs(F.col(tol[0]) - F.col("_was")))).first()[0] or 0.0
-        elif r % cut_every == 0 and r < max_rounds:
+        elif fresh["vid"] is None or r % cut_every == 0 and r < max_rounds:
             vs = cut(vs)
         result.history.append(row | {"seconds": time.perf_counter() - began})
         if row.get("active") == 0 or tol and row["change"] <= tol[1] or stop and stop(vs):
