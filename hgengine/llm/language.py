@@ -3,7 +3,8 @@
 Each language has a tree of byte contexts of length 0 to 3 with the counts of what followed; a byte that a context has
 not seen costs that context's escape and is coded by the next shorter one, down to a uniform code. The statistics are
 frozen after learning, so the exact code length of a byte depends on the context alone and is tabulated once; a text is
-scored by gathers and sums. The language of the shortest code wins.
+scored by gathers and sums over blocks of 64 bytes. Each block is shared out by the lengths of its codes, and the
+language with the largest mean share wins.
 
 Texts that are null or have no letter are `und` with score 0. Without learnable rows every text is `und`. Learning
 reads a bounded, hash-drawn sample of each language; scoring reads whole texts. Repeated rows score alike.
@@ -22,6 +23,8 @@ from hgengine.llm.common import encoded
 
 #: Texts of a language that are learned from, the bytes of each, and byte classes told apart (the rest share one).
 MOST_TEXTS, MOST_BYTES, CLASSES = 200, 4_000, 64
+#: Bytes of a text that are judged together.
+BLOCK = 64
 #: Most contexts of full length with a symbol that are kept, the most frequent first.
 MOST_LEAVES = 65_000
 SHIFT = CLASSES.bit_length() - 1
@@ -91,13 +94,12 @@ class Trees:
             self._index[self.leaves] = np.arange(1, len(self.leaves) + 1)
         return self._index
 
-    def lengths(self, texts: list[bytes]) -> np.ndarray:
-        """Bits of each text in each language, given its first 3 bytes."""
-        out = np.zeros((len(texts), len(self.names)))
+    def _blocks(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Texts of more than 3 bytes, the first block of each, and the bits of each block in each language."""
         sizes = np.fromiter(map(len, texts), np.int64, len(texts))
         full = np.nonzero(sizes > 3)[0]
         if not len(full) or not self.names:
-            return out
+            return full[:0], full[:0], np.zeros((0, len(self.names)))
         x = self.classes[np.frombuffer(b"".join(texts[i] for i in full), np.uint8)].astype(np.int32)
         starts = np.concatenate([[0], np.cumsum(sizes[full])[:-1]])
         code = self.grams(x, 4)
@@ -108,7 +110,30 @@ class Trees:
         # windows over the border of two texts belong to neither
         for i in (1, 2, 3):
             cost[starts[1:] - i] = 0
-        out[full] = np.add.reduceat(cost, starts, axis=0, dtype=np.float64)
+        blocks = -(-(sizes[full] - 3) // BLOCK)
+        first = np.concatenate([[0], np.cumsum(blocks)[:-1]])
+        inner = np.arange(blocks.sum()) - np.repeat(first, blocks)
+        return full, first, np.add.reduceat(cost, np.repeat(starts, blocks) + inner * BLOCK, axis=0, dtype=np.float64)
+
+    def lengths(self, texts: list[bytes]) -> np.ndarray:
+        """Bits of each text in each language, given its first 3 bytes."""
+        out = np.zeros((len(texts), len(self.names)))
+        full, first, bits = self._blocks(texts)
+        if len(full):
+            out[full] = np.add.reduceat(bits, first, axis=0)
+        return out
+
+    def shares(self, texts: list[bytes]) -> np.ndarray:
+        """Mean over the blocks of each text of the share of each language, when a block's code lengths are likelihoods.
+
+        A foreign passage costs far more in the language around it than the rest costs in the passage's own, so the
+        lengths of a whole text would let it decide; by blocks, it counts with its size."""
+        out = np.full((len(texts), len(self.names)), 1 / max(1, len(self.names)))
+        full, first, bits = self._blocks(texts)
+        if len(full):
+            likely = np.exp2(np.clip(bits.min(1, keepdims=True) - bits, -1000, 0))
+            likely /= likely.sum(1, keepdims=True)
+            out[full] = np.add.reduceat(likely, first, axis=0) / np.diff(np.append(first, len(bits)))[:, None]
         return out
 
 
@@ -134,22 +159,22 @@ def _identify(trees):
         model = trees.value
         for batch in batches:
             texts = [x.as_py() for x in batch.column(1)]
-            bits = np.concatenate([model.lengths([folded(t) for t in texts[i : i + 64]]) for i in range(0, len(texts), 64)]) if texts else np.zeros((0, len(model.names)))
+            shares = np.concatenate([model.shares([folded(t) for t in texts[i : i + 64]]) for i in range(0, len(texts), 64)]) if texts else np.zeros((0, len(model.names)))
             langs, scores = [], []
-            for text, b in zip(texts, bits, strict=True):
+            for text, share in zip(texts, shares, strict=True):
                 if not model.names or not text or not any(map(str.isalpha, text)):
                     langs.append("und")
                     scores.append(0.0)
                     continue
-                best = int(np.argmin(b))
+                best = int(np.argmax(share))
                 langs.append(model.names[best])
-                scores.append(round(float(1 / np.exp2(np.clip(b[best] - b, -1000, 0)).sum()), 9))
+                scores.append(round(float(share[best]), 9))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
 
     return run
 
 
 def identify(docs: DataFrame, trees: Trees) -> DataFrame:
-    """doc_id, lang_pred, score: the share of the best language when each code length is a likelihood."""
+    """doc_id, lang_pred, score: the mean share of the best language over the blocks of the text."""
     shared = docs.sparkSession.sparkContext.broadcast(trees)
     return docs.select("doc_id", "text").mapInArrow(_identify(shared), "doc_id long, lang_pred string, score double")
