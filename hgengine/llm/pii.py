@@ -103,12 +103,12 @@ def revealing_terms(docs: DataFrame, entities: DataFrame) -> DataFrame:
         often = often.join(diverse.select("entity"), "entity", "left_semi")
     pairs = contexts.select("entity", F.explode("terms").alias("term")).groupBy("entity", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= SUPPORT)
     pairs = cut(pairs.join(often, "entity").where(F.col("n_both") >= CONFIDENCE * F.col("n_entity")))
-    wanted = small(cut(pairs.select("term").distinct()))
+    # counted before they are joined: the rows of frequent candidates never pass the join one by one
     seen = docs.select(F.explode(F.array_distinct(_terms(F.coalesce(F.col("text"), F.lit(""))))).alias("term"))
-    df = seen.join(wanted, "term", "left_semi").groupBy("term").agg(F.count("*").alias("n_term"))
+    df = seen.groupBy("term").agg(F.count("*").alias("n_term"))
     mutual = F.log2(F.col("n_both") / F.col("n_entity") * F.lit(float(max(1, n))) / F.col("n_term"))
     own = F.log2(F.lit(float(max(2, n))) / F.least(F.col("n_entity"), F.lit(max(1, n // 2))))
-    return pairs.join(df, "term").withColumn("disclosure", mutual / own).where(F.col("disclosure") >= DISCLOSED).select("entity", "term", "disclosure")
+    return df.join(small(pairs), "term").withColumn("disclosure", mutual / own).where(F.col("disclosure") >= DISCLOSED).select("entity", "term", "disclosure")
 
 
 def personal_spans(docs: DataFrame) -> DataFrame:
