@@ -1,8 +1,8 @@
 """The corpus pipeline: toxicity, near duplicates, benchmark decontamination, personal data, mixing of sources.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame, which run() writes as Parquet in the shared folder and
-reads again as the docs of the next one. Stages keep every row that they do not reject; the last has a row of each
-document that reaches it, with the words that the mix takes of it (`taken`, repeats counted).
+reads again as the docs of the next one. Stages keep every row that they do not reject; the last returns the mixed
+corpus: a row of each document and epoch that the mix takes, with its words, cut where the budget of its source ends.
 """
 
 from __future__ import annotations
@@ -34,8 +34,8 @@ def hide_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    docs = docs.select(*COLUMNS)
-    return docs.join(mixing.mix(docs), "doc_id")
+    found = mixing.mixed(docs.select(*COLUMNS))
+    return found.withColumn("n_chars", F.char_length("text").cast("long"))
 
 
 STAGES = [("toxicity", drop_toxic), ("near_duplicates", drop_near_duplicates), ("decontamination", drop_contaminated), ("personal_data", hide_personal_data), ("mixing", mix_sources)]

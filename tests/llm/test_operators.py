@@ -166,6 +166,30 @@ def test_mixing(docs, none):
     assert mixing.mix(none).count() == 0
 
 
+def test_mixed_corpus(spark, docs, none):
+    import corpus_pipeline
+
+    words = lambda t: re.findall(r"[^\x20\x09-\x0D]+", t or "")
+    found = {r.doc_id: r for r in mixing.mix(docs).collect()}
+    rows = mixing.mixed(docs).collect()
+    copies: dict = {}
+    for r in sorted(rows, key=lambda r: (r.doc_id, r.epoch)):
+        assert len(words(r.text)) == r.words > 0 and TEXTS[r.doc_id].startswith(r.text)
+        copies.setdefault(r.doc_id, []).append(r)
+    assert set(copies) == {i for i, r in found.items() if r.taken} != set(found)
+    for i, c in copies.items():
+        assert [r.epoch for r in c] == list(range(1, len(c) + 1))
+        assert all(r.text == TEXTS[i] for r in c[:-1]) and sum(r.words for r in c) == found[i].taken
+    assert max(map(len, copies.values())) > 1
+    assert any(len(words(c[-1].text)) < found[i]["size"] for i, c in copies.items())
+    for source in ("s1", "s2", None):
+        target = next(r.target for i, r in found.items() if ["s1", None, "s2", "s1"][i % 4] == source)
+        assert sum(r.words for r in rows if r.source == source) == int(target)
+    last = corpus_pipeline.mix_sources(spark, docs, "").collect()
+    assert sorted((r.doc_id, r.epoch, r.text, r.words) for r in last) == sorted((r.doc_id, r.epoch, r.text, r.words) for r in rows)
+    assert mixing.mixed(none).count() == 0
+
+
 def test_targets_stop_at_the_limit(spark):
     sizes = spark.createDataFrame([("a", 1000, 1, 1), ("b", 10, 2, 2), ("c", 100, 3, 3)], "name string, source_size long, rank long, weight long")
     found = {r.name: r.target for r in mixing.targets(sizes).collect()}
