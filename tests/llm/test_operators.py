@@ -283,6 +283,32 @@ def test_chain_score_by_brute_force():
             assert all(a[i] < a[j] and b[i] < b[j] for i, j in zip(chain, chain[1:], strict=False))
 
 
+def test_chains_within_reach_by_brute_force():
+    draw = np.random.default_rng(6)
+    for n in (1, 12, 60, 200):
+        pts = sorted(set(zip(draw.integers(0, 300, n).tolist(), draw.integers(0, 300, n).tolist(), strict=True)))
+        pts += [(x + 400, x + 400) for x in range(0, 200, 5)] + [(x + 700, x + 700) for x in range(0, 60, 5)]
+        a, b = (np.array(x) for x in zip(*pts, strict=True))
+        most = chaining.FAR + chaining.WORDS
+        best = []
+        for i, (x, y) in enumerate(pts):
+            gains = [best[j] + 2 * chaining.GAP * chaining.WORDS - chaining.GAP * (x - u + y - v) for j, (u, v) in enumerate(pts[:i]) if 0 < x - u <= most and 0 < y - v <= most]
+            best.append(chaining.WORDS + max([0.0, *gains]))
+        score, back = chaining.best_chains(a, b)
+        assert score == pytest.approx(best)
+        assert all(j < 0 or (0 < a[i] - a[j] <= most and 0 < b[i] - b[j] <= most) for i, j in enumerate(back))
+
+
+def test_second_passage_behind_a_long_one(spark):
+    from hgengine.llm.copies import with_first
+
+    long, short = prose(800, 200), prose(801, 60)
+    rows = [(i, " ".join([prose(810 + i, 30), long, prose(820 + i, 150), short, prose(830 + i, 30)])) for i in (0, 1)]
+    texts = spark.createDataFrame(rows, "doc_id long, text string")
+    found = sorted((r.start, r.end) for r in chaining.passages(texts, with_first(texts)).collect())
+    assert len(found) == 2 and found[0][0] <= 30 and found[0][1] >= 230 and found[1][0] <= 380 and found[1][1] >= 440
+
+
 def test_toxicity(spark):
     draw = np.random.default_rng(1)
     rows = [(i, prose(1000 + i, 40) + (" vile insult idiot" if draw.random() < 0.3 else "")) for i in range(400)]
