@@ -7,7 +7,7 @@ scored by gathers and sums over blocks of 64 bytes. Each block is shared out by
 language with the largest mean share wins.
 
 Texts that are null or have no letter are `und` with score 0. Without learnable rows every text is `und`. Learning
-reads a bounded, hash-drawn sample of each language; scoring reads whole texts. Repeated rows score alike.
+reads whole texts of a bounded, hash-drawn sample of each language; scoring reads whole texts. Repeated rows score alike.
 """
 
 from __future__ import annotations
@@ -19,104 +19,97 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from hgengine.llm.common import encoded
+from hgengine.llm.common import cut, encoded, small
 
-#: Texts of a language that are learned from, the bytes of each, and byte classes told apart (the rest share one).
-MOST_TEXTS, MOST_BYTES, CLASSES = 200, 4_000, 64
+#: Texts of a language that are learned from.
+MOST_TEXTS = 200
 #: Bytes of a text that are judged together.
 BLOCK = 64
-#: Most contexts of full length with a symbol that are kept, the most frequent first.
-MOST_LEAVES = 65_000
-SHIFT = CLASSES.bit_length() - 1
+BYTES = 256
 
 
 class Trees:
-    """Tables of code lengths in bits: by 3 symbols for orders to 2, the escape of 3 symbols, and leaves of 4."""
+    """Tables of code lengths in bits: dense ones of a byte alone and of two bytes, and sorted ones of all runs of three
+    and four bytes that were seen in any language. A run that was not seen costs the escape of its context and the code
+    of the run without its first byte."""
 
     def __init__(self, samples: dict[str, list[bytes]]) -> None:
         self.names = sorted(samples)
-        seen = np.zeros(256, np.int64)
-        for texts in samples.values():
-            for t in texts:
-                seen += np.bincount(np.frombuffer(t, np.uint8), minlength=256)
-        top = [b for b in np.argsort(-seen, kind="stable")[: CLASSES - 1] if seen[b]]
-        self.classes = np.full(256, CLASSES - 1, np.uint8)
-        self.classes[top] = np.arange(len(top))
-        counts = {name: [np.bincount(self._grams(texts, k), minlength=CLASSES**k).reshape(-1, CLASSES) for k in (1, 2, 3)] for name, texts in samples.items()}
-        fours = {name: np.unique(self._grams(texts, 4), return_counts=True) for name, texts in samples.items()}
-        every, where = np.unique(np.concatenate([f[0] for f in fours.values()] or [np.zeros(0, np.int64)]), return_inverse=True)
-        total = np.bincount(where, np.concatenate([f[1] for f in fours.values()]) if fours else None, len(every))
-        self.leaves = np.sort(every[np.argsort(-total, kind="stable")[:MOST_LEAVES]])
-        self.short = np.zeros((CLASSES**3, len(self.names)), np.float32)
-        self.escape = np.zeros((CLASSES**3, len(self.names)), np.float32)
-        self.long = np.zeros((len(self.leaves) + 1, len(self.names)), np.float32)
-        for i, name in enumerate(self.names):
-            cost = np.full((1, CLASSES), np.log2(CLASSES))
-            for table in counts[name]:
-                cost, _ = self._order(table, np.tile(cost, (len(table) // len(cost), 1)))
-            self.short[:, i] = cost.ravel()
-            codes, n = fours[name]
-            context = codes >> SHIFT
-            sums = np.bincount(context, n, CLASSES**3)
-            kinds = np.bincount(context, minlength=CLASSES**3)
-            self.escape[:, i] = np.where(kinds > 0, np.log2(np.maximum(sums + kinds, 1) / np.maximum(kinds, 1)), 0)
-            own = self.escape[self.leaves >> SHIFT, i] + self.short[self.leaves & (CLASSES**3 - 1), i]
-            at = np.searchsorted(self.leaves, codes).clip(max=max(0, len(self.leaves) - 1))
-            kept = self.leaves[at] == codes if len(self.leaves) else np.zeros(len(codes), bool)
-            own[at[kept]] = np.log2((sums + kinds)[context[kept]] / n[kept])
-            self.long[1:, i] = own
-        self._index = None
-
-    @staticmethod
-    def _order(table: np.ndarray, shorter: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Code lengths with one more symbol of context: seen n of sums + kinds, else kinds of it and the shorter code."""
-        sums, kinds = table.sum(1, keepdims=True), (table > 0).sum(1, keepdims=True)
-        escape = np.where(kinds > 0, np.log2(np.maximum(sums + kinds, 1) / np.maximum(kinds, 1)), 0)
-        return np.where(table > 0, np.log2(np.maximum(sums + kinds, 1) / np.maximum(table, 1)), escape + shorter), escape
-
-    def _grams(self, texts: list[bytes], k: int) -> np.ndarray:
-        return np.concatenate([self.grams(self.classes[np.frombuffer(t, np.uint8)].astype(np.int64), k) for t in texts] or [np.zeros(0, np.int64)])
+        counts = [{name: self._counted(samples[name], k) for name in self.names} for k in (1, 2, 3, 4)]
+        every = [np.arange(BYTES**k, dtype=np.uint32) for k in (1, 2)]
+        every += [np.unique(np.concatenate([np.zeros(0, np.uint32), *(codes for codes, _ in c.values())])) for c in counts[2:]]
+        self.runs = every[2:]
+        self.costs: list[np.ndarray] = []
+        #: Of each context of one, two or three bytes; the last row is of contexts that were not seen.
+        self.escapes: list[np.ndarray] = []
+        for k, found in enumerate(counts, 1):
+            contexts = np.zeros(1, np.uint32) if k == 1 else every[k - 2]
+            cost, escape = np.zeros((len(every[k - 1]), len(self.names)), np.float32), np.zeros((len(contexts) + 1, len(self.names)), np.float32)
+            shorter = np.full((BYTES, len(self.names)), 8.0) if k == 1 else self._cost(every[k - 1] & np.uint32(BYTES ** (k - 1) - 1), k - 1)
+            own = np.searchsorted(contexts, every[k - 1] >> np.uint32(8)) if k > 1 else np.zeros(BYTES, np.int64)
+            for i, (codes, n) in enumerate(found[name] for name in self.names):
+                at = np.searchsorted(every[k - 1], codes)
+                sums, kinds = np.bincount(own[at], n, len(contexts)), np.bincount(own[at], minlength=len(contexts))
+                escape[:-1, i] = np.where(kinds > 0, np.log2(np.maximum(sums + kinds, 1) / np.maximum(kinds, 1)), 0)
+                cost[:, i] = escape[own, i] + shorter[:, i]
+                cost[at, i] = np.log2((sums + kinds)[own[at]] / n)
+            self.costs.append(cost)
+            self.escapes.append(escape)
+
+    def _counted(self, texts: list[bytes], k: int) -> tuple[np.ndarray, np.ndarray]:
+        return np.unique(np.concatenate([np.zeros(0, np.uint32), *(self.grams(np.frombuffer(t, np.uint8), k) for t in texts)]), return_counts=True)
 
     @staticmethod
     def grams(x: np.ndarray, k: int) -> np.ndarray:
-        out = np.zeros(max(0, len(x) - k + 1), x.dtype)
+        out = np.zeros(max(0, len(x) - k + 1), np.uint32)
         for i in range(k):
-            out = (out << SHIFT) | x[i : i + len(out)]
+            out = (out << np.uint32(8)) | x[i : i + len(out)]
         return out
 
-    def __getstate__(self) -> dict:
-        return self.__dict__ | {"_index": None}
-
-    @property
-    def index(self) -> np.ndarray:
-        if self._index is None:
-            self._index = np.zeros(CLASSES**4, np.uint16)
-            self._index[self.leaves] = np.arange(1, len(self.leaves) + 1)
-        return self._index
+    @staticmethod
+    def _place(runs: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Where codes are in runs; their number where they are not."""
+        at = np.searchsorted(runs, codes)
+        at[at == len(runs)] = 0
+        return np.where(runs[at] == codes, at, len(runs)) if len(runs) else at
+
+    def _cost(self, codes: np.ndarray, k: int) -> np.ndarray:
+        """Bits of the last byte of runs of k bytes, in each language."""
+        if k < 3:
+            return self.costs[k - 1][codes]
+        at = self._place(self.runs[k - 3], codes)
+        other = np.nonzero(at == len(self.runs[k - 3]))[0]
+        at[other] = 0
+        out = self.costs[k - 1][at] if len(self.runs[k - 3]) else np.zeros((len(codes), len(self.names)), np.float32)
+        if len(other):
+            context, rest = codes[other] >> np.uint32(8), codes[other] & np.uint32(BYTES ** (k - 1) - 1)
+            out[other] = self.escapes[k - 1][context if k == 3 else self._place(self.runs[0], context)] + self._cost(rest, k - 1)
+        return out
 
     def _blocks(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Texts of more than 3 bytes, the first block of each, and the bits of each block in each language."""
+        """Texts with bytes, the first block of each, and the bits of each block in each language."""
         sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-        full = np.nonzero(sizes > 3)[0]
+        full = np.nonzero(sizes > 0)[0]
         if not len(full) or not self.names:
             return full[:0], full[:0], np.zeros((0, len(self.names)))
-        x = self.classes[np.frombuffer(b"".join(texts[i] for i in full), np.uint8)].astype(np.int32)
+        x = np.frombuffer(b"".join(texts[i] for i in full), np.uint8)
         starts = np.concatenate([[0], np.cumsum(sizes[full])[:-1]])
-        code = self.grams(x, 4)
-        slot = self.index[code]
-        cost = self.long[slot]
-        other = np.nonzero(slot == 0)[0]
-        cost[other] = self.escape[code[other] >> SHIFT] + self.short[code[other] & (CLASSES**3 - 1)]
-        # windows over the border of two texts belong to neither
-        for i in (1, 2, 3):
-            cost[starts[1:] - i] = 0
-        blocks = -(-(sizes[full] - 3) // BLOCK)
+        cost = np.zeros((len(x), len(self.names)), np.float32)
+        cost[3:] = self._cost(self.grams(x, 4), 4)
+        # the first three bytes of a text have only the bytes before them as context
+        for k in (1, 2, 3):
+            at = starts[sizes[full] >= k] + k - 1
+            code = np.zeros(len(at), np.uint32)
+            for i in range(k):
+                code = (code << np.uint32(8)) | x[at - (k - 1 - i)]
+            cost[at] = self._cost(code, k)
+        blocks = -(-sizes[full] // BLOCK)
         first = np.concatenate([[0], np.cumsum(blocks)[:-1]])
         inner = np.arange(blocks.sum()) - np.repeat(first, blocks)
         return full, first, np.add.reduceat(cost, np.repeat(starts, blocks) + inner * BLOCK, axis=0, dtype=np.float64)
 
     def lengths(self, texts: list[bytes]) -> np.ndarray:
-        """Bits of each text in each language, given its first 3 bytes."""
+        """Bits of each text in each language."""
         out = np.zeros((len(texts), len(self.names)))
         full, first, bits = self._blocks(texts)
         if len(full):
@@ -141,13 +134,14 @@ def folded(text: str | None) -> bytes:
     return encoded(text.lower() if text else text)
 
 
-def learn(docs: DataFrame, condition, texts: int = MOST_TEXTS, size: int = MOST_BYTES) -> Trees:
+def learn(docs: DataFrame, condition, texts: int = MOST_TEXTS) -> Trees:
     """Trees of each non-null lang among the rows that the condition admits."""
-    rows = docs.where(condition & F.col("lang").isNotNull() & (F.length("text") > 0)).select("doc_id", "lang", F.substring("text", 1, size).alias("text"))
-    # a hash draws the texts: first a few of each range, then the first of those
+    rows = docs.where(condition & F.col("lang").isNotNull() & (F.length("text") > 0))
+    # a hash draws the texts: first a few of each range, then the first of those; only the drawn ones are read whole
     order = Window.partitionBy("lang", F.pmod(F.xxhash64("doc_id"), F.lit(64))).orderBy(F.xxhash64("doc_id", F.lit("fit")), "doc_id")
-    few = rows.withColumn("at", F.row_number().over(order)).where(F.col("at") <= -(-texts // 64) * 2)
+    few = rows.select("doc_id", "lang").withColumn("at", F.row_number().over(order)).where(F.col("at") <= -(-texts // 64) * 2)
     drawn = few.withColumn("at", F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit("fit")), "doc_id"))).where(F.col("at") <= texts)
+    drawn = rows.join(small(cut(drawn.select("doc_id", "lang").distinct())), ["doc_id", "lang"]).groupBy("doc_id", "lang").agg(F.min("text").alias("text"))
     samples: dict[str, list[bytes]] = {}
     for row in sorted(drawn.select("lang", "doc_id", "text").collect(), key=lambda r: (r.lang, r.doc_id)):
         samples.setdefault(row.lang, []).append(folded(row.text))

@@ -356,6 +356,36 @@ def test_code_lengths_are_codes():
         assert (total <= 1 + 1e-5).all()
 
 
+def test_code_lengths_by_brute_force():
+    draw = np.random.default_rng(3)
+    samples = {"xx": [draw.integers(0, 256, n, dtype=np.uint8).tobytes() for n in (1, 3, 90_000)], "yy": [draw.integers(90, 100, 500, dtype=np.uint8).tobytes(), bytes(range(256))]}
+    trees = language.Trees(samples)
+    for i, name in enumerate(("xx", "yy")):
+        follow: dict = {}
+        for t in samples[name]:
+            for k in range(4):
+                for j in range(k, len(t)):
+                    follow.setdefault(t[j - k : j], Counter())[t[j]] += 1
+
+        def bits(context: bytes, byte: int) -> float:
+            c = follow.get(context)
+            if c and byte in c:
+                return float(np.log2((sum(c.values()) + len(c)) / c[byte]))
+            less = bits(context[1:], byte) if context else 8.0
+            return less + (float(np.log2((sum(c.values()) + len(c)) / len(c))) if c else 0.0)
+
+        texts = [b"", b"a", b"\xff\x00", b"abc", samples["xx"][2][:700], samples["yy"][0][:200], draw.integers(0, 256, 300, dtype=np.uint8).tobytes()]
+        exact = [sum(bits(t[max(0, j - 3) : j], t[j]) for j in range(len(t))) for t in texts]
+        assert trees.lengths(texts)[:, i] == pytest.approx(exact, rel=1e-4)
+
+
+def test_whole_texts_are_learned_from(spark):
+    rows = [(i, "same words " * 400 + ("quux " if i % 2 else "blorb ") * 50, ("xx", "yy")[i % 2]) for i in range(20)]
+    many = spark.createDataFrame([*rows, (900, "quux quux", None), (901, "q", None)], "doc_id long, text string, lang string")
+    found = by_id(language.identify(many, language.learn(many, F.col("doc_id") < 100)), "lang_pred")
+    assert found[900] == found[901] == "yy"
+
+
 def test_warc(spark):
     body = "<p>" + "x" * 200 + "</p>"
     rows = [(3, "http://www.B.example/z?q=1#f", body), (1, "https://a.example/", "short"), (2, "http://b.example/a", body), (5, None, None), (4, "http://b.example/a", "short"), (6, "http://é.example/", "WARC/1.1\r\n\r\nfake\r\n\r\n" * 20)]
