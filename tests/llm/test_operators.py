@@ -87,11 +87,59 @@ def test_tree_finds_what_the_bound_admits():
 
 def test_large_trees_as_blocks(spark, monkeypatch):
     monkeypatch.setattr(ngram_join, "BLOCK", 3)
+    monkeypatch.setattr(ngram_join, "CHUNK", 4)
     rows = [(i, BASE.replace(" ", f" v{i} ", 1)) for i in range(9)]
     found = by_id(ngram_join.near_duplicate_components(spark.createDataFrame(rows, "doc_id long, text string")), "component_id")
     assert set(found.values()) == {0}
 
 
+def linked(texts, percent=80):
+    """Links of texts by brute force, as pairs with overlap."""
+    sets = [{tuple(w[j : j + 5]) for j in range(len(w) - 4)} or {tuple(w)} for w in (t.split() for t in texts)]
+    return {(a, b, n) for a in range(len(sets)) for b in range(a + 1, len(sets)) for n in [len(sets[a] & sets[b])] if 100 * n >= percent * len(sets[a] | sets[b])}
+
+
+def chained(seed, n, step):
+    """Texts that drift: each changes some words of one before it, so that families form chains and meet at the edge."""
+    draw = np.random.default_rng(seed)
+    texts = [prose(seed + 7, 150).split()]
+    for _ in range(n - 1):
+        t = list(texts[draw.integers(max(0, len(texts) - 4), len(texts))])
+        for at in draw.integers(0, len(t), step):
+            t[at] = f"new{draw.integers(1 << 30)}"
+        texts.append(t)
+    return [" ".join(t) for t in texts]
+
+
+@pytest.mark.parametrize("block", [3, 2000])
+def test_links_by_brute_force(spark, monkeypatch, block):
+    monkeypatch.setattr(ngram_join, "BLOCK", block)
+    texts = chained(31, 40, 1) + chained(32, 40, 2) + chained(33, 30, 3) + [prose(900 + i, 60) + " " + BASE for i in range(20)]
+    order = np.random.default_rng(8).permutation(len(texts))
+    texts = [texts[i] for i in order]
+    many = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    expected = linked(texts)
+    assert len(expected) > 100
+    assert {tuple(r) for r in ngram_join.jaccard_links(many, every=True)[1].collect()} == expected
+    root = list(range(len(texts)))
+    for _ in texts:
+        for a, b, _n in expected:
+            root[a] = root[b] = min(root[a], root[b])
+    assert by_id(ngram_join.near_duplicate_components(many), "component_id") == dict(enumerate(root))
+
+
+def test_a_large_family_costs_its_members(spark, monkeypatch):
+    """The sets that travel for verification grow with the family, not with its square."""
+    travelled = []
+    verified = ngram_join.verified
+    monkeypatch.setattr(ngram_join, "verified", lambda docs, pairs, k, percent: (travelled.append(pairs.count()), verified(docs, pairs, k, percent))[1])
+    words = prose(41, 100).split()
+    rows = [(i, " ".join([*words[: i % 100], f"v{i}", *words[i % 100 + 1 :]])) for i in range(5000)]
+    found = by_id(ngram_join.near_duplicate_components(spark.createDataFrame(rows, "doc_id long, text string")), "component_id")
+    assert set(found.values()) == {0}
+    assert sum(travelled) < 8 * 5000
+
+
 def removed(texts):
     seen, out = set(), {}
     for i, t in enumerate(texts):
