@@ -212,7 +212,7 @@ def _meetings(percent: int):
         return a[apart], b[apart]
 
     def found(rows: pa.Table) -> pa.RecordBatch:
-        ids, sizes, family, minor, build, probe = (rows.column(n).to_numpy(zero_copy_only=False) for n in ("doc_id", "n", "family", "minor", "build", "probe"))
+        ids, sizes, times, family, minor, build, probe = (rows.column(n).to_numpy(zero_copy_only=False) for n in ("doc_id", "n", "times", "family", "minor", "build", "probe"))
         points = points_of(rows.column("point").to_pylist())
         tree = np.stack([rows.column(n).to_numpy() for n in keys])
         heads = np.append(0, np.nonzero(np.any(tree[:, 1:] != tree[:, :-1], axis=0))[0] + 1)
@@ -229,8 +229,9 @@ def _meetings(percent: int):
             met.append((lo + x, lo + y))
         a, b = (np.concatenate([m[i] for m in met]) for i in (0, 1))
         a, b = np.where(ids[a] < ids[b], a, b), np.where(ids[a] < ids[b], b, a)
-        both, at, n = np.unique(np.stack([ids[a], ids[b]]), axis=1, return_index=True, return_counts=True)
-        return pa.RecordBatch.from_arrays([pa.array(x) for x in (both[0], both[1], sizes[a[at]], sizes[b[at]], n.astype(np.int64))], ["a", "b", "n_a", "n_b", "n"])
+        both, at, of = np.unique(np.stack([ids[a], ids[b]]), axis=1, return_index=True, return_inverse=True)
+        n = np.bincount(of.ravel(), times[a], len(at)).astype(np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in (both[0], both[1], sizes[a[at]], sizes[b[at]], n)], ["a", "b", "n_a", "n_b", "n"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.Table] = []  # the last tree, which may go on in the next batch
@@ -345,18 +346,23 @@ def jaccard_links(docs: DataFrame, k: int = 5, percent: int = 80, every: bool =
             stars = stars.join(points.select(F.col("doc_id").alias(x), F.col("point").alias(f"point_{x}")), x)
         links = cut(verified(docs, cut(stars.select("a", "b", "n_a", "n_b", "point_a", "point_b").mapInArrow(_bounded(percent), "a long, b long")), k, percent))
         roots = components(links).select(F.col("node").alias("doc_id"), F.col("root").alias("family"))
-        members = cut(members.join(roots, "doc_id", "left").withColumn("family", F.coalesce("family", "doc_id")))
-    # trees of several families, and the texts that are in enough of them to have a link
-    counts = members.groupBy("shingle", "family").agg(F.count("*").alias("n_family"))
-    trees = counts.groupBy("shingle").agg(F.max_by("family", F.struct("n_family", "family")).alias("major"), F.sum("n_family").alias("n_all"), F.max("n_family").alias("n_major"), F.count("*").alias("families")).where("families > 1").drop("families")
+        members = members.join(roots, "doc_id", "left").withColumn("family", F.coalesce("family", "doc_id"))
+    # trees of several families; trees of the same texts are one, which counts as often (texts by 128 bits of hash). One
+    # exchange serves both sides
+    members = members.repartition("shingle")
+    marks = [F.bit_xor(F.xxhash64("doc_id", F.lit(m))).alias(f"mark_{m}") for m in "xy"]
+    counts = members.groupBy("shingle", "family").agg(F.count("*").alias("n_family"), *marks)
+    trees = counts.groupBy("shingle").agg(F.max_by("family", F.struct("n_family", "family")).alias("major"), F.sum("n_family").alias("n_all"), F.max("n_family").alias("n_major"), F.count("*").alias("families"), *(F.bit_xor(f"mark_{m}").alias(f"mark_{m}") for m in "xy"))
+    trees = trees.where("families > 1").groupBy("mark_x", "mark_y", "n_all").agg(F.min("shingle").alias("shingle"), F.count("*").alias("times"), F.first("major").alias("major"), F.first("n_major").alias("n_major")).drop("mark_x", "mark_y")
     rows = cut(members.join(trees, "shingle"))
-    enough = cut(rows.groupBy("doc_id").agg(F.count("*").alias("meets"), F.first("n").alias("n")).where(F.expr(f"meets >= 1 + (({percent} * n + 99) div 100) div {STEP}")).select("doc_id"))
+    # the texts that meet often enough to have a link
+    enough = cut(rows.groupBy("doc_id").agg(F.sum("times").alias("meets"), F.first("n").alias("n")).where(F.expr(f"meets >= 1 + (({percent} * n + 99) div 100) div {STEP}")).select("doc_id"))
     blocks = lambda n: F.greatest(F.lit(1), F.ceil(n / F.lit(BLOCK))).cast("int")
     rows = rows.join(small(enough), "doc_id", "left_semi").withColumns({"minor": F.col("family") != F.col("major"), "of_i": blocks(F.col("n_all")), "of_j": blocks(F.col("n_all") - F.col("n_major"))})
     rows = rows.withColumns({"own_i": F.pmod(F.xxhash64("doc_id"), "of_i").cast("int"), "own_j": F.pmod(F.xxhash64("doc_id", F.lit("probe")), "of_j").cast("int")})
     builds = F.transform(F.sequence(F.lit(0), F.col("of_j") - 1), lambda j: F.struct(F.col("own_i").alias("i"), j.alias("j"), F.lit(True).alias("build"), (F.col("minor") & (j == F.col("own_j"))).alias("probe")))
     probes = F.transform(F.filter(F.sequence(F.lit(0), F.col("of_i") - 1), lambda i: F.col("minor") & (i != F.col("own_i"))), lambda i: F.struct(i.alias("i"), F.col("own_j").alias("j"), F.lit(False).alias("build"), F.lit(True).alias("probe")))
-    rows = rows.join(points, "doc_id").select("shingle", "doc_id", "n", "family", "minor", "point", F.inline(F.concat(builds, probes)))
+    rows = rows.join(points, "doc_id").select("shingle", "times", "doc_id", "n", "family", "minor", "point", F.inline(F.concat(builds, probes)))
     met = rows.repartition("shingle", "i", "j").sortWithinPartitions("shingle", "i", "j").mapInArrow(_meetings(percent), "a long, b long, n_a long, n_b long, n long")
     strange = met.groupBy("a", "b").agg(F.sum("n").alias("n"), F.first("n_a").alias("n_a"), F.first("n_b").alias("n_b")).where(_near("n", "n_a", "n_b", percent)).select("a", "b")
     more = verified(docs, cut(strange), k, percent)
