@@ -321,7 +321,7 @@ def test_chaining(spark, docs, none):
     assert len(p) == 1 and p[0].matched == 78 and (p[0].start, p[0].of_start, p[0].of_end) == (100, 0, 80)
 
 
-def test_chain_score_by_brute_force():
+def test_chains_are_collinear():
     draw = np.random.default_rng(5)
     for _ in range(20):
         a, b = draw.integers(0, 60, 12), draw.integers(0, 60, 12)
@@ -331,6 +331,88 @@ def test_chain_score_by_brute_force():
             assert all(a[i] < a[j] and b[i] < b[j] for i, j in zip(chain, chain[1:], strict=False))
 
 
+def test_matched_words_by_brute_force():
+    """What is counted as matching is the longest common subsequence, in the alignments that are forced."""
+    draw = np.random.default_rng(9)
+    for n in (12, 38, 60, 90):
+        for _ in range(20):
+            core = draw.integers(0, 1 << 40, n)
+            other = core.copy()
+            for at in draw.integers(0, n, n // 20):
+                other[at] = draw.integers(1 << 41, 1 << 42)
+            x = np.concatenate([draw.integers(0, 1 << 40, 30), core, draw.integers(0, 1 << 40, 30)])
+            y = np.concatenate([draw.integers(0, 1 << 40, 17), other, draw.integers(0, 1 << 40, 5)])
+            in_x = [30 + i for i in range(n - 5) if (core[i : i + 6] == other[i : i + 6]).all()]
+            if not in_x:
+                continue
+            keep = sorted({in_x[0], in_x[-1], *draw.choice(in_x, min(len(in_x), 5)).tolist()})
+            a, end_x, b, end_y, matched = chaining.align(x, y, keep, [i - 13 for i in keep])
+            assert matched == chaining.common_length(x[a:end_x], y[b:end_y]) <= min(end_x - a, end_y - b)
+
+
+def every_pair(texts):
+    """Passages (of, doc) of all pairs of texts, from all places of all their common seeds."""
+    words = [hashed_words(t) for t in texts]
+    places = [{} for _ in texts]
+    for i, w in enumerate(words):
+        for h, at in zip(*(x.tolist() for x in chaining.seeds(w)), strict=True):
+            places[i].setdefault(h, []).append(at)
+    out = set()
+    for b in range(len(texts)):
+        for a in range(b):
+            pts = sorted({(x, y) for h in places[a].keys() & places[b].keys() for x in places[a][h] for y in places[b][h]})
+            if len(pts) > 1:
+                at_a, at_b = (np.array(c) for c in zip(*pts, strict=True))
+                for chain in chaining.chains(at_a, at_b):
+                    s, e, t, f, matched = chaining.align(words[a], words[b], at_a[chain].tolist(), at_b[chain].tolist())
+                    if matched >= chaining.LEAST and matched >= chaining.SHARE * max(e - s, f - t):
+                        out.add((a, b))
+    return out
+
+
+@pytest.mark.parametrize("gap", [20, 70, 100, 200, 400])
+def test_recall_against_all_pairs(spark, gap):
+    """Two passages at a gap, whole or in part, exact or with changes, in many texts."""
+    draw = np.random.default_rng(gap)
+    one, two = prose(gap + 1, 100).split(), prose(gap + 2, 100).split()
+    texts = []
+    for i in range(40):
+        parts = [prose(2000 + gap + i, 40).split()]
+        for j, passage in enumerate((one, two)):
+            lo = int(draw.integers(0, 50)) if draw.random() < 0.4 else 0
+            hi = int(draw.integers(55, 100)) if draw.random() < 0.4 else 100
+            p = list(passage[lo:hi]) if draw.random() < 0.7 else []
+            if p and draw.random() < 0.4:
+                for at in draw.integers(0, len(p), 3):
+                    p[at] = f"changed{draw.integers(1 << 30)}"
+            parts += [p, prose(3000 + 2 * (gap + i) + j, gap).split()]
+        texts.append(" ".join(w for p in parts for w in p))
+    rows = {r.doc_id: r for r in chaining.passage_report(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    pairs = every_pair(texts)
+    later = {b for _, b in pairs}
+    assert len(later) > 20
+    assert sum(rows[b].n_passages > 0 for b in later) >= 0.95 * len(later)
+    assert all(rows[i].n_passages == 0 for i in range(40) if i not in later)
+    assert sum(rows[a].class_id == rows[b].class_id for a, b in pairs) >= 0.95 * len(pairs)
+
+
+def test_a_whole_passage_among_parts(spark):
+    """Two texts have a passage whole; those before each have too little of it for a passage of their own."""
+    p = prose(4100, 55).split()
+    bodies = [p[20:], p[:35], p, p[:35], p[20:], p]
+    rows = [(i, " ".join([prose(4200 + i, 60), *body, prose(4300 + i, 60)])) for i, body in enumerate(bodies)]
+    found = {r.doc_id: r for r in chaining.passage_report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert found[5].n_passages == 1 and found[5].partners == [2] and found[5].class_id == 2
+    assert [found[i].n_passages for i in range(5)] == [0] * 5
+
+
+def test_repeating_text_has_few_seeds():
+    h, at = chaining.seeds(hashed_words("nd " * 4000))
+    assert len(h) <= 402
+    h, at = chaining.seeds(hashed_words("a b " * 2000))
+    assert len(h) <= 402
+
+
 def test_chains_within_reach_by_brute_force():
     draw = np.random.default_rng(6)
     for n in (1, 12, 60, 200):
