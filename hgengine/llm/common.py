@@ -37,6 +37,14 @@ def filtered(docs: DataFrame, keeps) -> DataFrame:
     return docs.mapInArrow(run, docs.schema)
 
 
+def free(docs: DataFrame, name: str) -> str:
+    """name, or a longer one that is not a column of docs."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 

@@ -286,7 +286,7 @@ def base(text):
 
 
 def test_pii(docs, none):
-    found = {r.doc_id: [tuple(s) for s in r.spans] for r in pii.personal_spans(docs).collect()}
+    found = {r.doc_id: [(s.kind, s.start, s.end) for s in r.spans] for r in pii.personal_spans(docs).collect()}
     assert found == {i: base(t or "") for i, t in enumerate(TEXTS)}
     clean = by_id(pii.sanitised(docs), "text")
     assert not any(base(t or "") for t in clean.values())
@@ -294,14 +294,51 @@ def test_pii(docs, none):
     assert pii.personal_spans(none).count() == 0
 
 
+def test_sanitised_rows_and_columns(spark):
+    """Repeated rows, null ids, clashing columns and matches that only appear once their neighbour is gone."""
+    rows = [(1, "a@b.c", "x"), (1, "a@b.c", "x"), (1, "other 1.2.3.4", "y"), (None, "mail q@r.st", "z"), (2, None, "n"), (3, "4111 1111 1111 1111a@b.c.1.2.3.4", "w"), (4, "", "e")]
+    many = spark.createDataFrame(rows, "doc_id long, text string, _doc string").withColumns({"text_key": F.lit(1), "new_text": F.lit(2), "DOC_KEY": F.lit(3), "a.b": F.lit(4)})
+    out = pii.sanitised(many)
+    assert out.columns == many.columns
+    found = out.collect()
+    assert len(found) == len(rows)
+    assert sorted(r._doc for r in found) == sorted(r[2] for r in rows)
+    assert not any(base(r.text or "") for r in found)
+    assert {r.text for r in found if r.doc_id == 1} == {"[EMAIL]", "other [IP]"}
+    assert [r.text for r in found if r.doc_id == 2] == [None]
+
+
 def test_revealing_terms(spark):
-    rows = [(i, f"{prose(200 + i, 12)} professor Quirrelmann {prose(300 + i, 2)} q@uni.example.org {prose(400 + i, 12)}") for i in range(8)]
+    # the name stands far from the address in whole texts of many words
+    rows = [(i, f"Quirrelmann {prose(200 + i, 60)} the desk of q@uni.example.org {prose(400 + i, 60)} professor") for i in range(8)]
     rows += [(i, prose(500 + i, 30)) for i in range(8, 200)]
     rows += [(i, "copied words around z@uni.example.org again") for i in range(200, 220)]
-    found = pii.personal_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    long = prose(77, 80).split()
+    rows += [(i, " ".join([*long[: i - 220], "changed", *long[i - 219 :], "w@uni.example.org Zweigrat"])) for i in range(220, 260)]
+    rows += [(260, "Quirrelmann without the address")]
+    many = spark.createDataFrame(rows, "doc_id long, text string")
+    found = pii.personal_spans(many).collect()
     terms = {r.doc_id: {rows[r.doc_id][1][s.start : s.end] for s in r.spans if s.kind == "term"} for r in found}
-    assert all({"professor", "Quirrelmann"} <= terms[i] for i in range(8))
-    assert not any(terms[i] for i in range(8, 220))
+    assert all({"professor", "Quirrelmann", "the", "desk"} == terms[i] for i in range(8))
+    assert not any(terms[i] for i in range(8, 261))
+
+
+def test_disclosure_by_brute_force(spark):
+    """Counts over whole documents, copies weighing 1 together, and the general form where it does not disclose."""
+    rows = [(i, f"quirrelmann quirrelbach {prose(200 + i, 10)} q@uni.example.org") for i in range(6)] + [(5 + i, f"quirrelmann quirrelbach {prose(205, 10)} q@uni.example.org") for i in range(1, 4)]
+    rows += [(i, f"quirrelstein {prose(600 + i, 12)}") for i in range(10, 60)] + [(i, prose(700 + i, 12)) for i in range(60, 200)]
+    many = spark.createDataFrame(rows, "doc_id long, text string")
+    found = {r.term: r for r in pii.revealing_terms(pii.cut(pii.described(many))).collect()}
+    weights = Counter(t for _, t in rows)
+    def count(*having):
+        return sum(1 / weights[t] for _, t in rows if all(h in t for h in having))
+    n, q = count(), "q@uni.example.org"
+    for term in ("quirrelmann", "quirrelbach", "uni", "org", "example"):
+        score = np.log2(count(q, term) / count(q) * n / count(term)) / np.log2(n / count(q))
+        assert (term in found) == (score >= pii.DISCLOSED)
+        assert term not in found or found[term].disclosure == pytest.approx(score, rel=1e-4)
+    assert found["quirrelmann"].general == found["quirrelbach"].general == "quir*"
+    assert "[EMAIL]" in (t := by_id(pii.sanitised(many), "text"))[0] and t[0].startswith("quir* quir* ") and t[10] == rows[[r[0] for r in rows].index(10)][1]
 
 
 def test_chaining(spark, docs, none):
