@@ -200,6 +200,50 @@ def test_decontaminate(spark, docs, none):
     assert decontaminate.decontaminated(none, bench).columns == docs.columns
 
 
+def naive_hits(texts, items, window=13):
+    windows: dict = {}
+    for item, t in items:
+        w = decontaminate.plain_words(t)
+        for at in range(max(1, len(w) - window + 1) if w else 0):
+            windows.setdefault(tuple(w[at : at + window]), set()).add(str(item))
+    out = {}
+    for i, t in texts:
+        w = decontaminate.plain_words(t)
+        hit, ids = [False] * len(w), set()
+        for size in {len(k) for k in windows}:
+            for at in range(len(w) - size + 1):
+                if (found := windows.get(tuple(w[at : at + size]))):
+                    hit[at : at + size] = [True] * size
+                    ids |= found
+        out[i] = (len(w), sum(hit), sorted(ids))
+    return out
+
+
+@pytest.mark.parametrize("words", [40, 1_000_000])
+def test_hits_by_brute_force(spark, monkeypatch, words):
+    """Few different words, so that windows overlap and repeat; items of every length; one automaton or several."""
+    monkeypatch.setattr(decontaminate, "PIECE_WORDS", words)
+    draw = np.random.default_rng(12)
+    some = lambda n, of: " ".join(f"w{i}" for i in draw.integers(0, of, n))
+    items = [(i, some(int(n), of)) for i, (n, of) in enumerate([(n, of) for n in (1, 3, 12, 13, 14, 20, 27, 40) for of in (2, 30)])] + [(90, ""), (91, None)]
+    texts = [(i, some(60, 2)) for i in range(4)]
+    for i in range(4, 40):
+        _, t = items[int(draw.integers(0, 16))]
+        w = t.split()
+        lo = int(draw.integers(0, max(1, len(w) - 10)))
+        texts.append((i, f"{some(9, 40)} {' '.join(w[lo : lo + int(draw.integers(8, 30))])} {some(9, 40)}"))
+    texts += [(100, None), (101, "")]
+    docs = spark.createDataFrame(texts, "doc_id long, text string").withColumns({"n_hit": F.lit("clash"), "runs": F.lit(1)})
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    expected = naive_hits(texts, items)
+    found = {r.doc_id: (r.n_words, r.n_hit, r["items"]) for r in decontaminate.benchmark_hits(docs, bench).collect()}
+    assert found == expected
+    kept = decontaminate.decontaminated(docs, bench)
+    assert kept.columns == docs.columns
+    assert {r.doc_id for r in kept.collect()} == {i for i, (n, h, _) in expected.items() if not (h and 20 * h >= n)}
+    assert decontaminate.benchmark_hits(docs.where("false"), bench).count() == 0
+
+
 def test_mixing(docs, none):
     found = mixing.mix(docs).collect()
     assert {r.doc_id: r["size"] for r in found} == {i: len(re.findall(r"[^\x20\x09-\x0D]+", t or "")) for i, t in enumerate(TEXTS)}
