@@ -4,27 +4,37 @@ A record is a text line whose separator is the blank lines that end a record, so
 Of equal payloads of at least 100 bytes the one of the smallest page_id is stored as a response and the others as
 revisits that refer to it. Readers parse an archive by its content lengths.
 
-The index: each archive yields a capture run sorted by URL key and time; captures are dealt out by ranges of that
-order, and within a range the runs are merged by a tree of losers into the global order.
-
-Null html is an empty payload; a null url has an empty key. Equal URLs and times keep the order of page_id. An empty table makes no
-archive and no rows. page_id must be unique.
+The index is an external merge: each archive yields a capture run sorted by URL key and time, which is written to the
+shared folder. Runs that a task reads are merged by a tree of losers into one, which is cut at the bounds of the ranges
+into blocks; the blocks of a range, sorted each, meet in one task and are merged by a tree of losers again. Nothing is
+sorted twice. The bounds come from a hash-drawn sample of the captures and decide the sizes of ranges alone.
+
+Null html is an empty payload; a null url has an empty key. Equal URLs and times keep the order of page_id; repeated rows
+stay. An empty table makes no archive and no rows. page_id must be unique for revisits to name one record. Extra columns do
+not matter. Archives are bounded by records and by bytes, so that the longest page may be as long as a string can be.
 """
 
 from __future__ import annotations
 
+import bisect
+import hashlib
 import re
 from collections.abc import Callable, Iterator
+from datetime import datetime
 
 import pyarrow as pa
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.utils import AnalysisException
 
 from hgengine.llm.common import cut, encoded
 
 LEAST_BYTES = 100
 RECORDS_PER_FILE = 2_000
+#: Bytes of an archive, unless one record alone has more; and of a record's headers without its URL.
+ARCHIVE_BYTES, HEAD_BYTES = 32_000_000, 1_000
+#: Captures that a task merges at once, of a range on average, and of the sample for the bounds of each range.
+RUN_ROWS, RANGE_ROWS, SAMPLED = 200_000, 200_000, 200
 END = "\r\n\r\n"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -64,8 +74,15 @@ def record_text(rows: DataFrame) -> DataFrame:
     return rows.select(F.concat(head, block).alias("value"))
 
 
+def records_per_file(pages: DataFrame) -> int:
+    """As many records as fit ARCHIVE_BYTES whatever their sizes."""
+    longest = pages.agg(F.max(F.coalesce(F.octet_length("html"), F.lit(0)) + F.coalesce(F.octet_length("url"), F.lit(0)))).first()[0] or 0
+    return max(1, min(RECORDS_PER_FILE, ARCHIVE_BYTES // (longest + HEAD_BYTES)))
+
+
 def write_archives(rows: DataFrame, path: str, compression: str = "none") -> None:
-    record_text(rows).write.option("lineSep", END).option("compression", compression).option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+    """rows: as records gives them."""
+    record_text(rows).write.option("lineSep", END).option("compression", compression).option("maxRecordsPerFile", records_per_file(rows)).text(path)
 
 
 def parse(content: bytes) -> Iterator[tuple[dict[str, str], bytes, bytes]]:
@@ -96,9 +113,6 @@ CAPTURE = "url_key string, ts long, page_id long, run string, payload_bytes long
 
 
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    import hashlib
-    from datetime import datetime
-
     for batch in batches:
         for path, content in zip(batch.column(0), batch.column(1), strict=True):
             run, rows = path.as_py(), []
@@ -113,10 +127,12 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def read_archives(spark: SparkSession, path: str) -> DataFrame:
-    """Captures of the archives in path; each file gives a sorted run. An archive is at most RECORDS_PER_FILE records."""
+    """Captures of the archives in path; each file gives a sorted run."""
     try:
         files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path)
-    except AnalysisException:  # no file
+    except AnalysisException as e:
+        if e.getCondition() != "PATH_NOT_FOUND":
+            raise
         return spark.createDataFrame([], CAPTURE)
     return files.select("path", "content").mapInArrow(_runs, CAPTURE)
 
@@ -159,25 +175,74 @@ class LoserTree:
             self.winner = at
 
 
+def _keys(rows: pa.Table) -> list[tuple]:
+    return list(zip(map(encoded, rows.column("url_key").to_pylist()), rows.column("ts").to_pylist(), rows.column("page_id").to_pylist(), strict=True))
+
+
+def _merged(runs: list[pa.Table]) -> tuple[pa.Table, list[tuple]]:
+    """Sorted tables as one, and its keys."""
+    whole, keys = pa.concat_tables(runs), [k for r in runs for k in _keys(r)]
+    if len(runs) == 1:
+        return whole, keys
+    ends = [0]
+    for r in runs:
+        ends.append(ends[-1] + r.num_rows)
+    order = list(LoserTree([iter(range(a, b)) for a, b in zip(ends, ends[1:], strict=False)], keys.__getitem__))
+    return whole.combine_chunks().take(pa.array(order, pa.int64())), [keys[i] for i in order]
+
+
+def _blocks(bounds: list[tuple]):
+    """Of captures in runs: blocks (range, rows), each sorted and within one range."""
+
+    def given(batches: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        whole = pa.Table.from_batches(batches)
+        names = whole.column("run").to_pylist()
+        cuts = [0, *(i for i in range(1, len(names)) if names[i] != names[i - 1]), len(names)]
+        rows, keys = _merged([whole.slice(a, b - a) for a, b in zip(cuts, cuts[1:], strict=False)])
+        rows, at = rows.combine_chunks(), 0
+        while at < len(keys):
+            part = bisect.bisect_right(bounds, keys[at])
+            end = bisect.bisect_left(keys, bounds[part], at) if part < len(bounds) else len(keys)
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, rows.schema) as out:
+                out.write_table(rows.slice(at, end - at))
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["part", "block"])
+            at = end
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
+        for batch in batches:
+            if batch.num_rows:
+                held.append(batch)
+                n += batch.num_rows
+            if n >= RUN_ROWS:
+                yield from given(held)
+                held, n = [], 0
+        if held:
+            yield from given(held)
+
+    return run
+
+
 def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    tables = [pa.Table.from_batches([b]) for b in batches if b.num_rows]
-    if not tables:
-        return
-    whole = pa.concat_tables(tables).combine_chunks()
-    runs = whole.column("run").to_pylist()
-    keys = list(zip(map(encoded, whole.column("url_key").to_pylist()), whole.column("ts").to_pylist(), whole.column("page_id").to_pylist(), strict=True))
-    cuts = [0, *(i for i in range(1, len(runs)) if runs[i] != runs[i - 1]), len(runs)]
-    order = list(LoserTree([iter(range(a, b)) for a, b in zip(cuts, cuts[1:], strict=False)], keys.__getitem__))
-    for at in range(0, len(order), 10_000):
-        yield from whole.take(pa.array(order[at : at + 10_000])).to_batches()
+    """The blocks of one range as rows in order."""
+    runs = [pa.ipc.open_stream(block.as_buffer()).read_all() for batch in batches for block in batch.column(1)]
+    if runs:
+        yield from _merged(runs)[0].to_batches(max_chunksize=10_000)
 
 
 def merged_index(captures: DataFrame, ranges: int | None = None) -> DataFrame:
     """captures in the global order of URL key, time and page_id: ranges in the order of partitions, runs merged in each."""
     spark = captures.sparkSession
-    ranges = ranges or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    dealt = captures.repartitionByRange(ranges, "url_key", "ts", "page_id").sortWithinPartitions("run", "url_key", "ts", "page_id")
-    return dealt.mapInArrow(_merge, CAPTURE)
+    runs = cut(captures)
+    n = runs.count()
+    ranges = ranges or max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-n // RANGE_ROWS))
+    share = min(1.0, SAMPLED * ranges / max(1, n))
+    drawn = runs.where(F.pmod(F.xxhash64("page_id", F.lit("bounds")), F.lit(1_000_000)) < round(share * 1_000_000))
+    sample = sorted((encoded(r.url_key), r.ts, r.page_id) for r in drawn.select("url_key", "ts", "page_id").toLocalIterator())
+    bounds = sorted({sample[len(sample) * i // ranges] for i in range(1, ranges)}) if sample else []
+    blocks = runs.mapInArrow(_blocks(bounds), "part int, block binary").repartitionById(len(bounds) + 1, F.col("part"))
+    return blocks.mapInArrow(_merge, CAPTURE)
 
 
 def archive(pages: DataFrame, path: str) -> DataFrame:

@@ -611,6 +611,27 @@ def test_warc(spark):
     assert warc.archive(pages.where("false"), scratch(spark, "warc")).count() == 0
 
 
+def test_archives_are_bounded_by_bytes(spark, monkeypatch):
+    """Pages that together exceed the bound of an archive many times, and ranges that cut runs."""
+    monkeypatch.setattr(warc, "ARCHIVE_BYTES", 60_000)
+    monkeypatch.setattr(warc, "RUN_ROWS", 40)
+    rows = [(i, f"http://h{i % 7}.example/{i % 3}", chr(97 + i % 26) * (100 + 37 * i)) for i in range(400)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    path = scratch(spark, "warc")
+    found = warc.archive(pages, path).collect()
+    keys = [(r.url_key, r.ts, r.page_id) for r in found]
+    assert len(found) == 400 and keys == sorted(keys)
+    sizes = [f.length for f in spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select("length").collect()]
+    assert len(sizes) > 20 and max(sizes) <= 60_000
+    assert all(r.payload_digest == hashlib.sha256(rows[r.page_id][2].encode()).hexdigest() for r in found)
+    order = [r.page_id for r in warc.merged_index(warc.read_archives(spark, path), 9).collect()]
+    assert order == [r.page_id for r in found]
+
+
+def test_missing_archives(spark, tmp_path):
+    assert warc.read_archives(spark, str(tmp_path / "nothing")).count() == 0
+
+
 def test_loser_tree():
     draw = np.random.default_rng(4)
     for k in range(9):
