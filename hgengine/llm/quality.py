@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from hgengine.llm.common import NOT_SPACE, SPACE, cut, small
+from hgengine.llm.common import NOT_SPACE, SPACE, cut, free, small
 
 #: A line may be in so many documents of a host, and in such a part of them.
 MOST_DOCS, MOST_SHARE = 10, 0.002
@@ -80,7 +80,10 @@ def without_frequent_lines(docs: DataFrame, host: str | Column = "host", **limit
     rows = cut(docs.select("doc_id", host.alias("host"), hashes.alias("lines")))
     line = rows.select("doc_id", F.col("host").alias("_host"), F.inline("lines").alias("_hash", "words"))
     frequent = small(frequent_lines(rows, **limits))
-    gone = line.join(frequent, F.col("host").eqNullSafe(F.col("_host")) & (F.col("hash") == F.col("_hash"))).groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_set("hash").alias("_gone"))
-    found = docs.join(gone, F.col("doc_id") == F.col("_doc"), "left")
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x: line_hash(x).isNull() | ~F.array_contains("_gone", F.coalesce(line_hash(x), F.lit(0).cast("long")))), "\n")
-    return found.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(kept)).select(docs.columns)
+    gone = line.join(frequent, F.col("host").eqNullSafe(F.col("_host")) & (F.col("hash") == F.col("_hash")))
+    doc, hashes = free(docs, "doc_key"), free(docs, "gone")
+    gone = gone.groupBy(F.col("doc_id").alias(doc)).agg(F.collect_set("hash").alias(hashes))
+    found = docs.join(gone, F.col("doc_id").eqNullSafe(F.col(doc)), "left")
+    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x: line_hash(x).isNull() | ~F.array_contains(hashes, F.coalesce(line_hash(x), F.lit(0).cast("long")))), "\n")
+    text = F.when(F.col(hashes).isNull(), F.col("text")).otherwise(kept)
+    return found.select(*(text.alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns))

@@ -2,7 +2,8 @@
 
 A text is the set of its hashed terms: its words, and their first 5 and 7 bytes, which inflected forms share. The machine adds a weight of each term and the inner products of the terms'
 vectors, so pairs such as an insult and a group's mention count beyond their sum. Terms are selected by the likelihood
-ratio of their document frequencies in the classes, and the machine is fitted by AdaGrad, on a bounded, hash-drawn sample
+ratio of their document frequencies in the classes, over all rows or over those with one of the strongest terms, so that
+a term that counts only beside another is seen. The machine is fitted by AdaGrad, on a bounded, hash-drawn sample
 of labelled rows; scoring reads every whole text once, without a shuffle.
 
 Null and empty texts score by the bias alone. Without labels of both classes the score is the share of toxic rows (0
@@ -27,6 +28,8 @@ BITS, TERMS, RANK, EPOCHS = 20, 4096, 6, 12
 LEAST = 4
 #: Least likelihood-ratio statistic between term and class.
 GAIN = 15.0
+#: Terms whose rows are searched for others that count beside them, and the least statistic there, as many are tried.
+ANCHORS, BESIDE = 256, 30.0
 #: Labelled rows that the machine is fitted on, at most about so many: a hash of doc_id draws them.
 MOST_ROWS = 24_000
 THRESHOLD = 0.7
@@ -111,6 +114,37 @@ def _terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([*rows, np.zeros(0, np.int32)]))), batch.column(1)], ["terms", "toxic"])
 
 
+def selected(rows: list[np.ndarray], y: np.ndarray, most: int = TERMS) -> np.ndarray:
+    """At most so many terms, by the likelihood ratio between term and class: over all rows, or over those of an anchor,
+    one of the terms of the highest ratios; the anchors of such terms are selected too."""
+    names, flat = np.unique(np.concatenate(rows), return_inverse=True)
+    row = np.repeat(np.arange(len(rows)), list(map(len, rows)))
+
+    def gains(rows_in: np.ndarray) -> np.ndarray:
+        inside = rows_in[row]
+        t, n_yes, n = flat[inside], float(y[rows_in].sum()), float(rows_in.sum())
+        yes = np.bincount(t, y[row[inside]], len(names))
+        every = np.bincount(t, minlength=len(names)).astype(float)
+
+        def part(k: np.ndarray, of: np.ndarray, share: float) -> np.ndarray:
+            return k * np.log(np.maximum(k, 1e-9) / np.maximum(of * share, 1e-9)) if share else np.zeros(len(k))
+
+        found = sum(part(k, of, share) for k, of, share in ((yes, every, n_yes / n), (every - yes, every, 1 - n_yes / n), (n_yes - yes, n - every, n_yes / n), (n - every - n_yes + yes, n - every, 1 - n_yes / n)))
+        return np.where(every >= LEAST, 2 * found, 0)
+
+    alone = gains(np.ones(len(rows), bool))
+    best = np.where(alone >= GAIN, alone, 0)
+    for anchor in np.argsort(-alone, kind="stable")[:ANCHORS]:
+        inside = np.zeros(len(rows), bool)
+        inside[row[flat == anchor]] = True
+        if LEAST <= y[inside].sum() <= inside.sum() - LEAST:
+            beside = gains(inside)
+            beside[anchor] = beside.max() if beside.max() >= BESIDE else 0
+            best = np.maximum(best, np.where(beside >= BESIDE, beside, 0))
+    order = np.argsort(-best, kind="stable")
+    return names[order[: min(most, int((best > 0).sum()))]]
+
+
 def train(docs: DataFrame, labels: DataFrame, learn, most: int = MOST_ROWS, terms: int = TERMS) -> FactorizationMachine:
     """learn: a condition on doc_id that says which labels may be learned from."""
     labels = labels.select("doc_id", "toxic").where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & learn)
@@ -124,12 +158,7 @@ def train(docs: DataFrame, labels: DataFrame, learn, most: int = MOST_ROWS, term
     share = (y.sum() + 0.5) / (len(y) + 1) if len(y) else 0.0
     if not 0 < y.sum() < len(y):
         return FactorizationMachine(np.zeros(0, np.int64), np.log(max(share, 1e-9) / max(1 - share, 1e-9)) if len(y) else -30.0)
-    yes, no = (np.bincount(np.concatenate([r for r, t in zip(rows, y, strict=True) if t == k]), minlength=1 << BITS) for k in (1, 0))
-    def part(n: np.ndarray, rows: float) -> np.ndarray:
-        return n * np.log(np.maximum(n, 1) * len(y) / (np.maximum(yes + no, 1) * rows))
-
-    gain = 2 * (part(yes, y.sum()) + part(no, (1 - y).sum())) * (yes + no >= LEAST)
-    best = np.argsort(-gain, kind="stable")[: min(terms, int((gain >= GAIN).sum()))]
+    best = selected(rows, y, terms)
     machine = FactorizationMachine(np.sort(best), 0.0)
     machine.fit([(s := machine.slots[r])[s >= 0] for r in rows], y)
     return machine

@@ -544,6 +544,41 @@ def test_pairs_beyond_sums():
     assert (((1 / (1 + np.exp(-m.raw(rows)))) > 0.5) == y).mean() > 0.98
 
 
+def test_terms_that_count_beside_another():
+    """Half of the rows of the insult are toxic, those that also mention a group; mentions alone are as often harmless as
+    not, so that nothing but the pair tells."""
+    draw = np.random.default_rng(4)
+    rows, y = [], []
+    for _ in range(4000):
+        insult, group = draw.random() < 0.3, draw.random() < 0.5
+        rows.append(np.array(sorted({*draw.integers(10, 60, 8).tolist(), *([1] if insult else []), *([2] if group else [])}), np.int32))
+        y.append(float((insult and group) or (not insult and not group and draw.random() < 0.45)))
+    y = np.array(y)
+    assert {1, 2} <= set(toxicity.selected(rows, y, 10).tolist())
+    only = [r[np.isin(r, [1, 2])] for r in rows]
+    machine = toxicity.FactorizationMachine(np.arange(3), 0.0)
+    machine.fit(only, y, epochs=40)
+    p = 1 / (1 + np.exp(-machine.raw([np.array(r, np.int32) for r in ([], [1], [2], [1, 2])])))
+    assert p[3] > 0.8 > 0.5 > p[1] and p[3] > p[2] + 0.3
+
+
+def test_scores_by_brute_force(spark):
+    """The machine's sum over all pairs of terms, one by one."""
+    rows = [(i, prose(1100 + i, 30) + (" vile idiot" if i % 3 == 0 else "")) for i in range(150)] + [(150, None), (151, ""), (152, "vile " * 5000)]
+    many = spark.createDataFrame(rows, "doc_id long, text string").withColumns({"toxic": F.lit("clash"), "score": F.lit(1)})
+    labels = spark.createDataFrame([(i, int("idiot" in t)) for i, t in rows[:150]], "doc_id long, toxic int")
+    machine = toxicity.train(many, labels, ~toxicity.held_out(1, 3))
+    found = by_id(toxicity.scores(many, machine), "score")
+    for i, t in rows:
+        slots = [k for k in (int(machine.slots[b]) for b in toxicity.Buckets().of(t)) if k >= 0]
+        odds = machine.bias + sum(machine.weights[k] for k in slots)
+        odds += sum(float(machine.vectors[k] @ machine.vectors[m]) for j, k in enumerate(slots) for m in slots[:j])
+        assert found[i] == pytest.approx(1 / (1 + np.exp(-odds)), abs=1e-6)
+    assert toxicity.scores(many.where("false"), machine).count() == 0
+    kept = toxicity.without_toxic(many, labels)
+    assert kept.columns == many.columns and {r.doc_id for r in kept.collect()} == {i for i, s in found.items() if s < toxicity.THRESHOLD}
+
+
 def test_language(spark):
     from random import Random
 
@@ -640,10 +675,58 @@ def test_loser_tree():
 
 
 def test_pipeline_stages(spark):
+    """Each stage against brute force on its own input."""
     import corpus_pipeline
 
     d = "/root/testdata/sf0.001"
-    out = corpus_pipeline.run(spark, d)
+    docs, texts = corpus_pipeline.table(spark, d, "documents"), []
+    columns = docs.columns
+    for _, stage in corpus_pipeline.STAGES:
+        docs = corpus_pipeline.cut(stage(spark, docs, d))
+        texts.append({r.doc_id: r.text for r in docs.collect()})
+        assert stage is corpus_pipeline.STAGES[-1][1] or docs.columns == columns
     assert [n for n, _ in corpus_pipeline.STAGES] == ["toxicity", "near_duplicates", "decontamination", "personal_data", "mixing"]
-    assert 0 < out.count() <= 200
-    assert not any(base(r.text or "") for r in out.collect())
+    clean, alone, free, hidden, _ = texts
+    kept, root = list(clean), {}
+    folded = ["".join(c.lower() if c.isascii() else c for c in clean[i] or "") for i in kept]
+    words = [re.findall(r"[^\x20\x09-\x0D]+", t) for t in folded]
+    for a, b, _n in linked([" ".join(w) for w in words]):
+        if words[a] and words[b]:
+            root.setdefault(kept[a], set()).add(kept[b])
+            root.setdefault(kept[b], set()).add(kept[a])
+    expected, seen = set(), set()
+    for i in sorted(clean):
+        if i not in seen:
+            expected.add(i)
+            stack = [i]
+            while stack:
+                seen.add(j := stack.pop())
+                stack += root.get(j, set()) - seen
+    assert set(alone) == expected
+    items = [(r.item_id, r.text) for r in corpus_pipeline.table(spark, d, "benchmark").collect()]
+    hits = naive_hits(alone.items(), items)
+    assert set(free) == {i for i, (n, h, _ids) in hits.items() if not (h and 20 * h >= n)}
+    assert set(hidden) == set(free) and not any(base(t or "") for t in hidden.values())
+    rows = docs.collect()
+    size = {i: len(re.findall(r"[^\x20\x09-\x0D]+", t or "")) for i, t in hidden.items()}
+    assert {r.doc_id for r in rows} <= set(hidden) and all(1 <= r.epoch <= 4 and r.words <= size[r.doc_id] for r in rows)
+    assert sum(r.words for r in rows) == pytest.approx(sum(size.values()), abs=100)
+    out = corpus_pipeline.run(spark, d)
+    assert sorted((r.doc_id, r.epoch, r.words) for r in out.collect()) == sorted((r.doc_id, r.epoch, r.words) for r in rows)
+
+
+def test_pipeline_on_hard_rows(spark):
+    """Nulls, empty and repeated rows, null ids and an empty table pass every stage."""
+    import corpus_pipeline
+
+    d = "/root/testdata/sf0.001"
+    rows = [(1, None, None, None, None), (2, "", "en", "s", 0), (3, BASE, "en", "s", 5), (4, BASE, "en", "t", 5), (5, prose(6, 80) + " a@b.cd", None, "t", 1), (None, prose(7, 80), None, None, 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").withColumn("gone", F.lit(1))
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, d)
+        assert stage(spark, docs.where("false"), d).count() == 0
+        ids = [r.doc_id for r in out.collect()]
+        assert sorted(i or 0 for i in ids) == ([0, 1, 2, 3, 5] if name == "near_duplicates" else [0, 1, 2, 3, 4, 5])
+    mixed = corpus_pipeline.mix_sources(spark, docs, d)
+    assert {r.doc_id for r in mixed.collect()} <= {3, 4, 5, None}
+    assert corpus_pipeline.mix_sources(spark, docs.where("false"), d).count() == 0
