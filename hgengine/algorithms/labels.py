@@ -6,19 +6,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hgengine.model import HyperFrame
+from hgengine.plans.layout import TwoCopy
 from hgengine.programs import Combiner, Program, msg, state
 from hgengine.runtime import RunResult, iterate
 from hgengine.session import cut
 
 
-def run(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max") -> RunResult:
+def run(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max", **layout) -> RunResult:
     """Labels start as vertex ids; a node without a message keeps its label. Until stable, only changed nodes send."""
     pick, better = (F.greatest, lambda a, b: a > b) if rule == "max" else (F.least, lambda a, b: a < b)
     new = pick(state("label"), msg("label"))  # nulls are passed over
     changed = better(msg("label"), F.coalesce(state("label"), F.lit(-(2**63)).cast("long") if rule == "max" else F.lit(2**63 - 1).cast("long")))
     program = Program(emit={"label": state("label")}, state={"label": new}, when=changed, combine={"label": Combiner.MAX if rule == "max" else Combiner.MIN})
     start = HyperFrame(hf.vertices.select("vid", F.col("vid").alias("label")), hf.hyperedges.select("hid", F.lit(None).cast("long").alias("label")), hf.incidence)
-    return iterate(start, program, program, max_rounds, frontier=until_stable)
+    return iterate(start, program, program, max_rounds, frontier=until_stable, **layout)
 
 
 def _majority(rows: DataFrame, to: str) -> DataFrame:
@@ -29,18 +30,20 @@ def _majority(rows: DataFrame, to: str) -> DataFrame:
 
 def majority(hf: HyperFrame, rounds: int) -> HyperFrame:
     """Synchronous rounds of most frequent labels; they may swing, so their number is fixed."""
-    inc = hf.incidence.select("vid", "hid").persist()
+    layout = TwoCopy(hf.incidence.select("vid", "hid"))
     vs = hf.vertices.select("vid", F.col("vid").alias("label"))
     hs = None
     for _ in range(rounds):
-        hs = _majority(inc.join(vs, "vid"), "hid")
-        told = _majority(inc.join(hs, "hid"), "vid").withColumnRenamed("label", "_new")
+        hs = cut(_majority(layout.copies["vid"].join(vs, "vid"), "hid"))
+        told = _majority(layout.copies["hid"].join(hs, "hid"), "vid").withColumnRenamed("label", "_new")
         vs = cut(vs.join(told, "vid", "left").select("vid", F.coalesce("_new", "label").alias("label")))
+    layout.release()
     return HyperFrame(vs, hf.hyperedges.select("hid").join(hs, "hid", "left"), hf.incidence)
 
 
-def label_propagation(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max") -> HyperFrame:
-    return majority(hf, max_rounds) if rule == "majority" else run(hf, max_rounds, until_stable, rule).frame
+def label_propagation(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max", **layout) -> HyperFrame:
+    """layout: placement and parts, or a layout, as iterate takes them."""
+    return majority(hf, max_rounds) if rule == "majority" else run(hf, max_rounds, until_stable, rule, **layout).frame
 
 
 def components(hf: HyperFrame, method: str = "label", max_rounds: int = 1_000_000) -> DataFrame:
@@ -48,16 +51,17 @@ def components(hf: HyperFrame, method: str = "label", max_rounds: int = 1_000_00
     with pointer jumping, where rounds grow with the logarithm of the diameter."""
     if method == "label":
         return label_propagation(hf, max_rounds).vertices.select("vid", F.col("label").alias("component"))
-    inc = hf.incidence.select("vid", "hid").persist()
+    layout = TwoCopy(hf.incidence.select("vid", "hid"))
     vs = cut(hf.vertices.select("vid", F.col("vid").alias("component")))
     while True:
-        tops = inc.join(vs, "vid").groupBy("hid").agg(F.max("component").alias("_top"))
-        heard = inc.join(tops, "hid").groupBy("vid").agg(F.max("_top").alias("_top"))
+        tops = layout.copies["vid"].join(vs, "vid").groupBy("hid").agg(F.max("component").alias("_top"))
+        heard = layout.copies["hid"].join(tops, "hid").groupBy("vid").agg(F.max("_top").alias("_top"))
         hooked = vs.join(heard, "vid", "left").select("vid", F.col("component").alias("_was"), F.greatest("component", "_top").alias("component"))
         told = hooked.groupBy(F.col("_was").alias("vid")).agg(F.max("component").alias("_via"))
         hooked = cut(hooked.join(told, "vid", "left").select("vid", "_was", F.greatest("component", "_via").alias("component")))
         jump = hooked.select(F.col("vid").alias("component"), F.col("component").alias("_up"))
         new = cut(hooked.join(jump, "component", "left").select("vid", "_was", F.greatest("component", "_up").alias("component")))
         if not new.where("component <> _was").limit(1).count():
+            layout.release()
             return new.select("vid", "component")
         vs = new.select("vid", "component")

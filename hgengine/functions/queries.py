@@ -17,18 +17,18 @@ from hgengine.sources import standins
 from hgengine.sources.tables import load
 
 S = SparkSession
-_PAIR = "select b.hid, round(len(list_intersect(a.v, b.v)) / len(list_distinct(list_concat(a.v, b.v))), 6) as jaccard from m a join m b on b.rn = a.rn + 1"
-_M = "m as (select hid, list(vid order by vid) as v, row_number() over (order by hid) as rn from inc group by hid)"
+_PAIR = "select hid, round(len(list_intersect(u, v)) / len(list_distinct(list_concat(u, v))), 6) as jaccard from m where u is not null"
+_M = "m as (select hid, v, lag(v) over (partition by hid // 64 order by hid) as u from (select hid, list(vid order by vid) as v from inc group by hid))"
 
 
 def _consecutive(spark: S, d: str) -> DataFrame:
     from pyspark.sql import Window
 
-    m = standins.sparse(spark, d).incidence.groupBy("hid").agg(F.sort_array(F.collect_list("vid")).alias("v"))
-    return m.withColumn("u", F.lag("v").over(Window.orderBy("hid"))).where("u is not null")
+    m = standins.plain_basket(spark, d).incidence.groupBy("hid").agg(F.sort_array(F.collect_list("vid")).alias("v"))
+    return m.withColumn("u", F.lag("v").over(Window.partitionBy(F.expr("hid div 64")).orderBy("hid"))).where("u is not null")
 
 
-@query("u_udf", sql.query([sql.inc("sparse"), _M], _PAIR))
+@query("u_udf", sql.query([sql.inc("basket"), _M], _PAIR))
 def u_udf(spark: S, d: str) -> DataFrame:
     jaccard = F.udf(lambda u, v: len(set(u) & set(v)) / len(set(u) | set(v)), "double")
     return _consecutive(spark, d).select("hid", F.round(jaccard("u", "v"), 6).alias("jaccard"))
@@ -52,7 +52,7 @@ def u_udaf(spark: S, d: str) -> DataFrame:
     return load(spark, d, "lineitem").groupBy(F.col("l_returnflag").alias("flag")).agg(F.round(weighted("l_discount", "l_quantity"), 6).alias("mean"))
 
 
-_ENTROPY = "select l_orderkey as hid, round(abs(-sum(p * log2(p))), 6) as entropy from (select l_orderkey, l_quantity / sum(l_quantity) over (partition by l_orderkey) as p from lineitem where l_orderkey % 7 = 0) group by 1"
+_ENTROPY = "select l_orderkey as hid, round(abs(-sum(p * log2(p))), 6) as entropy from (select l_orderkey, l_quantity / sum(l_quantity) over (partition by l_orderkey) as p from lineitem) group by 1"
 
 
 def _bits(x: pd.Series) -> float:
@@ -62,7 +62,7 @@ def _bits(x: pd.Series) -> float:
 
 @query("u_apply_in_pandas", _ENTROPY)
 def u_apply_in_pandas(spark: S, d: str) -> DataFrame:
-    rows = load(spark, d, "lineitem", ["l_orderkey", "l_quantity"], "l_orderkey % 7 = 0")
+    rows = load(spark, d, "lineitem", ["l_orderkey", "l_quantity"])
     return rows.groupBy("l_orderkey").applyInPandas(lambda g: pd.DataFrame({"hid": [g["l_orderkey"].iloc[0]], "entropy": [_bits(g["l_quantity"])]}), "hid long, entropy double")
 
 
@@ -71,7 +71,7 @@ def u_apply_in_arrow(spark: S, d: str) -> DataFrame:
     def run(g: pa.Table) -> pa.Table:
         return pa.table({"hid": [g["l_orderkey"][0].as_py()], "entropy": [_bits(g["l_quantity"].to_pandas())]})
 
-    return load(spark, d, "lineitem", ["l_orderkey", "l_quantity"], "l_orderkey % 7 = 0").groupBy("l_orderkey").applyInArrow(run, "hid long, entropy double")
+    return load(spark, d, "lineitem", ["l_orderkey", "l_quantity"]).groupBy("l_orderkey").applyInArrow(run, "hid long, entropy double")
 
 
 @query("u_cogroup", "select coalesce(a.u, b.u) as user_id, coalesce(b.n, 0) - coalesce(a.n, 0) as change from (select user_id as u, count(*) as n from events where ts < timestamp '2024-01-16' group by 1) a full join (select user_id as u, count(*) as n from events where ts >= timestamp '2024-01-16' group by 1) b on a.u = b.u")
@@ -85,7 +85,7 @@ def u_cogroup(spark: S, d: str) -> DataFrame:
     return first.groupBy("user_id").cogroup(second.groupBy("user_id")).applyInPandas(change, "user_id long, change long")
 
 
-@query("u_udtf", sql.query([sql.inc("sparse")], "select distinct a.vid, b.vid as neighbour from inc a join inc b on a.hid = b.hid and a.vid <> b.vid where a.vid = (select min(vid) from inc)"))
+@query("u_udtf", sql.query([sql.inc("basket")], "select distinct a.vid, b.vid as neighbour from inc a join inc b on a.hid = b.hid and a.vid <> b.vid where a.vid = (select min(vid) from inc)"))
 def u_udtf(spark: S, d: str) -> DataFrame:
     """neighbours(members, vid): a table function over the hyperedges of one vertex."""
 
@@ -96,7 +96,7 @@ def u_udtf(spark: S, d: str) -> DataFrame:
                 if m != vid:
                     yield vid, m
 
-    inc = standins.sparse(spark, d).incidence
+    inc = standins.plain_basket(spark, d).incidence
     least = inc.agg(F.min("vid")).first()[0]
     near = inc.join(inc.where(F.col("vid") == least).select("hid"), "hid", "left_semi").groupBy("hid").agg(F.collect_list("vid").alias("members"))
     near.createOrReplaceTempView("near_hyperedges")
@@ -122,10 +122,10 @@ def u_data_source(spark: S, d: str) -> DataFrame:
     return rows.groupBy("vid").agg(F.count("*").alias("degree"))
 
 
-@query("u_pandas_program", sql.query(sql.paths("sparse", 12, "select min(vid) from inc"), "select vid, hops from v12"))
+@query("u_pandas_program", sql.query(sql.paths("basket", 12, "select min(vid) from inc"), "select vid, hops from v12"))
 def u_pandas_program(spark: S, d: str) -> DataFrame:
     """Shortest paths by procedures over batches of nodes."""
-    hf = standins.sparse(spark, d)
+    hf = standins.plain_basket(spark, d)
     source = hf.incidence.agg(F.min("vid")).first()[0]
 
     def nearer(cost: float):

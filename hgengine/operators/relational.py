@@ -230,8 +230,8 @@ sql_query("o_cte", "with big as (select l_orderkey as k, sum(l_quantity) as q fr
 sql_query("o_cte_recursive", "with recursive t(n, f) as (select 1, cast(1 as bigint) union all select n + 1, f * (n + 1) from t where n < 15) select n, f from t")
 
 
-@query("o_compact", sql.query([sql.inc("sparse")], "select members, count(*) as n from (select string_agg(vid::varchar, ',' order by vid) as members from inc group by hid) group by members"))
+@query("o_compact", sql.query([sql.inc("basket")], "select members, count(*) as n from (select string_agg(vid::varchar, ',' order by vid) as members from inc group by hid) group by members"))
 def o_compact(spark: S, d: str) -> DataFrame:
     """Hyperedges with the same members become one."""
-    members = standins.sparse(spark, d).incidence.groupBy("hid").agg(F.array_join(F.sort_array(F.collect_list("vid")).cast("array<string>"), ",").alias("members"))
+    members = standins.plain_basket(spark, d).incidence.groupBy("hid").agg(F.array_join(F.sort_array(F.collect_list("vid")).cast("array<string>"), ",").alias("members"))
     return members.groupBy("members").agg(F.count("*").alias("n"))

@@ -1,7 +1,9 @@
-"""The placed plan: one copy of the memberships, dealt to tasks by part, with states shipped to replicas.
+"""How memberships lie on the cluster while rounds go over them: twice, by either id, or once, by a placement.
 
-In each half round, states go to the parts that have a replica, join and combine there without a shuffle, and partial
-messages go back to their node. What travels is one row for each replica, which is what placements lessen.
+A layout is made once for a run and kept; no exchange is ever above it. With two copies, states go to the copy that is
+dealt by their id, join and combine there, and partial messages go to their receivers. With a placement, states go to the
+parts that have a replica, join and combine there, and partial messages go back: what travels is one row for each
+replica, which is what placements lessen.
 """
 
 from __future__ import annotations
@@ -10,36 +12,74 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hgengine.model import HyperFrame
-from hgengine.session import cut
+from hgengine.programs import Combiner, Custom, Program
+
+Combiners = dict[str, Combiner | Custom]
+
+
+def messages(rows: DataFrame, incidence: DataFrame, program: Program, on: list[str], other: str, keep: tuple[str, ...] = ()) -> DataFrame:
+    """other, keep, _msg_*: what senders (rows) say along memberships, before messages are combined."""
+    fields = [c.alias(f"_msg_{n}") for n, c in program.emit.items()]
+    if not program.by_receiver:
+        return rows.select(*on, *fields).join(incidence.select(*dict.fromkeys((*on, other, *keep))), on).select(other, *keep, *(f"_msg_{n}" for n in program.emit))
+    known = {*on, other, *keep}
+    marked = incidence.select(*on, F.col(other).alias("_dst"), *(F.col(c).alias(f"_edge_{c}") for c in incidence.columns if c not in known))
+    told = rows.join(marked, on)
+    told = told if program.to is None else told.where(program.to)
+    return told.select(F.col("_dst").alias(other), *keep, *fields)
+
+
+class TwoCopy:
+    """Memberships dealt and sorted by vertex, and again by hyperedge."""
+
+    def __init__(self, incidence: DataFrame, partitions: int | None = None) -> None:
+        n = partitions or int(incidence.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        self.copies = {side: incidence.repartition(n, side).sortWithinPartitions(side).persist() for side in ("vid", "hid")}
+
+    def half_round(self, rows: DataFrame, program: Program, key: str, other: str, combine: Combiners) -> DataFrame:
+        sent = messages(rows, self.copies[key], program, [key], other)
+        return sent.groupBy(other).agg(*(combine[n].of(F.col(f"_msg_{n}")).alias(f"_msg_{n}") for n in program.emit))
+
+    def release(self) -> None:
+        for copy in self.copies.values():
+            copy.unpersist()
 
 
 class Placed:
-    """Memberships with part, dealt by it and kept; routing tables of both sides."""
+    """Memberships with part, dealt by it; routing tables of both sides, dealt by the id that states have."""
 
     def __init__(self, placed: DataFrame, parts: int) -> None:
-        self.incidence = placed.select("vid", "hid", F.col("part").cast("int").alias("part")).repartitionById(parts, F.col("part")).persist()
+        n = int(placed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        part = F.col("part").cast("int")
         self.parts = parts
-        self.routes = {side: self.incidence.select(side, "part").distinct().persist() for side in ("vid", "hid")}
-
-    def half_round(self, states: DataFrame, key: str, other: str, column: str, combine=F.max) -> DataFrame:
-        """other, _msg: states (key, column) combined over the memberships, part by part and then over parts."""
-        shipped = states.select(key, column).join(self.routes[key], key).repartitionById(self.parts, F.col("part"))
-        partial = self.incidence.join(shipped, ["part", key]).groupBy("part", other).agg(combine(column).alias("_part"))
-        return partial.groupBy(other).agg(combine("_part").alias("_msg"))
-
-
-def placed_labels(hf: HyperFrame, placed: DataFrame, parts: int, max_rounds: int = 30) -> DataFrame:
-    """vid, label: label propagation on the placed plan."""
-    plan = Placed(placed, parts)
-    vs = hf.vertices.select("vid", F.col("vid").alias("label"))
-    for _ in range(max_rounds):
-        hs = plan.half_round(vs, "vid", "hid", "label").withColumnRenamed("_msg", "label")
-        heard = plan.half_round(hs, "hid", "vid", "label")
-        both = cut(vs.join(heard, "vid", "left").select("vid", F.col("label").alias("_was"), F.greatest("label", "_msg").alias("label")))
-        vs = both.select("vid", "label")
-        if not both.where("label <> _was").limit(1).count():
-            break
-    return vs
+        self.incidence = placed.withColumn("part", part).repartitionById(parts, F.col("part")).persist()
+        self.routes = {side: self.incidence.select(side, "part").distinct().repartition(n, side).persist() for side in ("vid", "hid")}
+
+    def half_round(self, rows: DataFrame, program: Program, key: str, other: str, combine: Combiners) -> DataFrame:
+        if not program.by_receiver:  # only messages travel
+            rows = rows.select(key, *(c.alias(f"_sent_{n}") for n, c in program.emit.items()))
+            program = Program(emit={n: F.col(f"_sent_{n}") for n in program.emit})
+        shipped = rows.join(self.routes[key], key).repartitionById(self.parts, F.col("part"))
+        sent = messages(shipped, self.incidence, program, ["part", key], other, ("part",))
+        partial = sent.groupBy("part", other).agg(*(combine[n].of(F.col(f"_msg_{n}")).alias(f"_msg_{n}") for n in program.emit))
+        return partial.groupBy(other).agg(*(combine[n].again.of(F.col(f"_msg_{n}")).alias(f"_msg_{n}") for n in program.emit))
+
+    def release(self) -> None:
+        for kept in (self.incidence, *self.routes.values()):
+            kept.unpersist()
+
+
+Layout = TwoCopy | Placed
+
+
+def layout_of(hf: HyperFrame, placement=None, parts: int = 8) -> Layout:
+    """Two copies, or the placement by a rule (or by a DataFrame of vid, hid, part) with the memberships' attributes."""
+    if placement is None:
+        return TwoCopy(hf.incidence)
+    placed = placement if isinstance(placement, DataFrame) else placement.assign(hf, parts)
+    if {*hf.incidence.columns} - {"vid", "hid", "multiplicity"}:
+        placed = hf.incidence.join(placed.select("vid", "hid", "part"), ["vid", "hid"])
+    return Placed(placed, parts)
 
 
 def choose_layout(memberships: int, vertex_replicas: int, hyperedge_replicas: int, few: int = 1_000_000) -> str:

@@ -51,6 +51,11 @@ class Combiner(Enum):
     SET_UNION = "set_union"
     MAP_SUM = "map_sum"
 
+    @property
+    def again(self) -> Combiner:
+        """What combines combined messages."""
+        return Combiner.SUM if self is Combiner.COUNT else self
+
     def of(self, column: Column) -> Column:
         if self is Combiner.CONCAT:
             return F.flatten(F.collect_list(column))
@@ -65,9 +70,14 @@ class Combiner(Enum):
 
 @dataclass(frozen=True)
 class Custom:
-    """A combiner given as an aggregate function of a column."""
+    """A combiner given as an aggregate function of a column, and one that combines its results (itself if left out)."""
 
     aggregate: Callable[[Column], Column]
+    merge: Callable[[Column], Column] | None = None
+
+    @property
+    def again(self) -> Custom:
+        return Custom(self.merge or self.aggregate)
 
     def of(self, column: Column) -> Column:
         return self.aggregate(column)

@@ -121,9 +121,9 @@ _LP = 12
 _TRACE = " union all ".join(f"select {r} as round, count(*) filter (a.label <> b.label) as changed from v{r} a join v{r - 1} b using (vid)" for r in range(1, _LP + 1))
 
 
-@query("m_superstep_trace", sql.query(sql.labels("sparse", _LP), f"select round::int as round, changed::bigint as changed from ({_TRACE}) t where round <= (select min(round) from ({_TRACE}) u where changed = 0)"))
+@query("m_superstep_trace", sql.query(sql.labels("basket", _LP), f"select round::int as round, changed::bigint as changed from ({_TRACE}) t where round <= (select min(round) from ({_TRACE}) u where changed = 0)"))
 def m_superstep_trace(spark: S, d: str) -> DataFrame:
-    history = labels.run(standins.sparse(spark, d)).history
+    history = labels.run(standins.plain_basket(spark, d)).history
     return spark.createDataFrame([(h["round"], h["active"]) for h in history], "round int, changed long")
 
 
@@ -184,16 +184,16 @@ def a_summary_members(spark: S, d: str) -> DataFrame:
 
 # --- labels, paths, components, centrality ----------------------------------------------------------------------------
 
-query("a_labels_vertices", sql.query(sql.labels("sparse", _LP), f"select vid, label from v{_LP}"))(lambda spark, d: labels.label_propagation(standins.sparse(spark, d)).vertices)
-query("a_labels_hyperedges", sql.query(sql.labels("sparse", _LP), f"select hid, label from e{_LP}"))(lambda spark, d: labels.label_propagation(standins.sparse(spark, d)).hyperedges)
+query("a_labels_vertices", sql.query(sql.labels("basket", _LP), f"select vid, label from v{_LP}"))(lambda spark, d: labels.label_propagation(standins.plain_basket(spark, d)).vertices)
+query("a_labels_hyperedges", sql.query(sql.labels("basket", _LP), f"select hid, label from e{_LP}"))(lambda spark, d: labels.label_propagation(standins.plain_basket(spark, d)).hyperedges)
 for _r in (1, 3):
-    query(f"a_labels_round{_r}", sql.query(sql.labels("sparse", _r), f"select vid, label from v{_r}"))(lambda spark, d, r=_r: labels.label_propagation(standins.sparse(spark, d), r, until_stable=False).vertices)
+    query(f"a_labels_round{_r}", sql.query(sql.labels("basket", _r), f"select vid, label from v{_r}"))(lambda spark, d, r=_r: labels.label_propagation(standins.plain_basket(spark, d), r, until_stable=False).vertices)
 query("a_labels_hour30", sql.query(sql.labels("hour", 6), "select vid, label from v6"))(lambda spark, d: labels.label_propagation(standins.hour(spark, d), 30, until_stable=False).vertices)
-query("a_labels_min", sql.query(sql.labels("sparse", _LP, "min"), f"select vid, label from v{_LP}"))(lambda spark, d: labels.label_propagation(standins.sparse(spark, d), rule="min").vertices)
+query("a_labels_min", sql.query(sql.labels("basket", _LP, "min"), f"select vid, label from v{_LP}"))(lambda spark, d: labels.label_propagation(standins.plain_basket(spark, d), rule="min").vertices)
 
 
 def _majority_sql(rounds: int) -> str:
-    ctes = [sql.inc("sparse"), "v0 as materialized (select distinct vid, vid as label from inc)"]
+    ctes = [sql.inc("basket"), "v0 as materialized (select distinct vid, vid as label from inc)"]
     for r in range(1, rounds + 1):
         for to, mine, last in (("hid", "e", f"v{r - 1}"), ("vid", "v", f"e{r}")):
             key = "vid" if to == "hid" else "hid"
@@ -201,7 +201,7 @@ def _majority_sql(rounds: int) -> str:
     return sql.query(ctes, f"select vid, label from v{rounds}")
 
 
-query("a_labels_majority", _majority_sql(3))(lambda spark, d: labels.majority(standins.sparse(spark, d), 3).vertices)
+query("a_labels_majority", _majority_sql(3))(lambda spark, d: labels.majority(standins.plain_basket(spark, d), 3).vertices)
 
 _FIRST = "select min(vid) from inc"
 _SP = 12
@@ -212,30 +212,30 @@ def _least(hf: HyperFrame, side: str = "vid") -> int:
 
 
 def _hops(spark: S, d: str, weight: str | None = None) -> HyperFrame:
-    hf = standins.sparse(spark, d)
+    hf = standins.plain_basket(spark, d)
     if weight:
         hf = hf.with_hyperedge_columns(cost=F.expr(weight))
     return paths.shortest_paths(hf, _least(hf), weight="cost" if weight else None)
 
 
-query("a_sp_vertices", sql.query(sql.paths("sparse", _SP, _FIRST), f"select vid, hops from v{_SP}"))(lambda spark, d: _hops(spark, d).vertices)
-query("a_sp_hyperedges", sql.query(sql.paths("sparse", _SP, _FIRST), f"select hid, hops from e{_SP}"))(lambda spark, d: _hops(spark, d).hyperedges)
-query("a_sp_weighted", sql.query(sql.paths("sparse", 20, _FIRST, "1 + hid % 3"), "select vid, hops from v20"))(lambda spark, d: _hops(spark, d, "1 + hid % 3").vertices)
-query("a_sp_unreached", sql.query(sql.paths("sparse", _SP, _FIRST), f"select vid from v{_SP} where hops is null"))(lambda spark, d: _hops(spark, d).vertices.where("hops is null").select("vid"))
-query("a_sp_histogram", sql.query(sql.paths("sparse", _SP, _FIRST), f"select hops, count(*) as n from v{_SP} group by hops"))(lambda spark, d: _hops(spark, d).vertices.groupBy("hops").agg(F.count("*").alias("n")))
+query("a_sp_vertices", sql.query(sql.paths("basket", _SP, _FIRST), f"select vid, hops from v{_SP}"))(lambda spark, d: _hops(spark, d).vertices)
+query("a_sp_hyperedges", sql.query(sql.paths("basket", _SP, _FIRST), f"select hid, hops from e{_SP}"))(lambda spark, d: _hops(spark, d).hyperedges)
+query("a_sp_weighted", sql.query(sql.paths("basket", 20, _FIRST, "1 + hid % 3"), "select vid, hops from v20"))(lambda spark, d: _hops(spark, d, "1 + hid % 3").vertices)
+query("a_sp_unreached", sql.query(sql.paths("basket", _SP, _FIRST), f"select vid from v{_SP} where hops is null"))(lambda spark, d: _hops(spark, d).vertices.where("hops is null").select("vid"))
+query("a_sp_histogram", sql.query(sql.paths("basket", _SP, _FIRST), f"select hops, count(*) as n from v{_SP} group by hops"))(lambda spark, d: _hops(spark, d).vertices.groupBy("hops").agg(F.count("*").alias("n")))
 
 
-@query("a_sp_dual", sql.query(["swapped as (select * from (" + sql.INC["sparse"] + "))", *[c.replace(sql.INC["sparse"], "select hid as vid, vid as hid from swapped") for c in sql.paths("sparse", _SP, _FIRST)]], f"select vid as hid, hops from v{_SP}"))
+@query("a_sp_dual", sql.query(["swapped as (select * from (" + sql.INC["basket"] + "))", *[c.replace(sql.INC["basket"], "select hid as vid, vid as hid from swapped") for c in sql.paths("basket", _SP, _FIRST)]], f"select vid as hid, hops from v{_SP}"))
 def a_sp_dual(spark: S, d: str) -> DataFrame:
-    hf = standins.sparse(spark, d).dual()
+    hf = standins.plain_basket(spark, d).dual()
     return paths.shortest_paths(hf, _least(hf)).vertices.withColumnRenamed("vid", "hid")
 
 
 def _multi_sql(n: int, select: str) -> str:
-    parts, ctes = [], [sql.inc("sparse")]
+    parts, ctes = [], [sql.inc("basket")]
     for i in range(n):
         source = f"select vid from inc group by vid order by vid limit 1 offset {i}"
-        ctes += [re.sub(r"\b([ve])(\d+)\b", rf"\1\2_{i}", c) for c in sql.paths("sparse", _SP, source)[1:]]
+        ctes += [re.sub(r"\b([ve])(\d+)\b", rf"\1\2_{i}", c) for c in sql.paths("basket", _SP, source)[1:]]
         parts.append(f"select ({source}) as source, vid, hops from v{_SP}_{i}")
     return sql.query([*ctes, "multi as (" + " union all ".join(parts) + ")"], select)
 
@@ -246,47 +246,56 @@ def _landmarks(hf: HyperFrame, n: int) -> list[int]:
 
 @query("a_sp_multi", _multi_sql(3, "select source, vid, hops from multi"))
 def a_sp_multi(spark: S, d: str) -> DataFrame:
-    hf = standins.sparse(spark, d).persist()
+    hf = standins.plain_basket(spark, d).persist()
     return paths.multi_source(hf, _landmarks(hf, 3))
 
 
 @query("a_centrality_harmonic", _multi_sql(5, "select vid, round(coalesce(sum(case when hops > 0 then 1 / hops end), 0), 6) as value from multi group by vid"))
 def a_centrality_harmonic(spark: S, d: str) -> DataFrame:
-    hf = standins.sparse(spark, d).persist()
+    hf = standins.plain_basket(spark, d).persist()
     return paths.harmonic_centrality(hf, _landmarks(hf, 5)).select("vid", *r6("value"))
 
 
+def _eigen_sql(rounds: int) -> str:
+    ctes = [sql.inc("basket"), "v0 as materialized (select distinct vid, 1.0::double as value from inc)"]
+    for r in range(1, rounds + 1):
+        ctes.append(f"e{r} as materialized (select hid, sum(value) as value from inc join v{r - 1} using (vid) group by hid)")
+        ctes.append(f"v{r} as materialized (select vid, x / max(x) over () as value from (select vid, sum(value) as x from inc join e{r} using (hid) group by vid))")
+    return sql.query(ctes, f"select vid, round(value, 6) as value from v{rounds}")
+
+
+query("a_centrality_eigen", _eigen_sql(6))(lambda spark, d: paths.eigenvector_centrality(standins.plain_basket(spark, d), 6).select("vid", *r6("value")))
 query("a_centrality_degree", sql.query([sql.inc("basket")], "select vid, round(sum(o_totalprice / 100000), 6) as value from inc join orders on o_orderkey = hid group by vid"))(lambda spark, d: paths.degree_centrality(standins.basket(spark, d, F.col("o_totalprice") / 100000)).select("vid", *r6("value")))
 
 _MAIN = f"select label from v{_LP} group by label order by count(*) desc, label limit 1"
 
 
 _ENDS = f"ends as materialized (select min(vid) as a, max(vid) as b from v{_LP} where label = ({_MAIN}))"
-_FROM_END = [re.sub(r"\b([ve])(\d+)\b", r"s\1\2", c) for c in sql.paths("sparse", _SP, "select a from ends")[1:]]
+_FROM_END = [re.sub(r"\b([ve])(\d+)\b", r"s\1\2", c) for c in sql.paths("basket", _SP, "select a from ends")[1:]]
 
 
-@query("a_separation", sql.query([*sql.labels("sparse", _LP), _ENDS, *_FROM_END], f"select a as src, b as dst, hops from ends join sv{_SP} on vid = b"))
+@query("a_separation", sql.query([*sql.labels("basket", _LP), _ENDS, *_FROM_END], f"select a as src, b as dst, hops from ends join sv{_SP} on vid = b"))
 def a_separation(spark: S, d: str) -> DataFrame:
-    hf = standins.sparse(spark, d).persist()
+    hf = standins.plain_basket(spark, d).persist()
     found = labels.label_propagation(hf).vertices
     main = found.groupBy("label").agg(F.count("*").alias("n"), F.min("vid").alias("a"), F.max("vid").alias("b")).orderBy(F.desc("n"), "label").first()
     return spark.createDataFrame([(main.a, main.b, paths.separation(hf, main.a, main.b))], "src long, dst long, hops double")
 
 
-@query("a_sp_sql_recursive", sql.query(sql.paths("sparse", 3, _FIRST), "select vid, hops from v3 where hops is not null"))
+@query("a_sp_sql_recursive", sql.query(sql.paths("basket", 2, _FIRST), "select vid, hops from v2 where hops is not null"))
 def a_sp_sql_recursive(spark: S, d: str) -> DataFrame:
-    """The naive alternative: hops in recursive SQL, bounded to three."""
-    standins.sparse(spark, d).incidence.createOrReplaceTempView("sparse_incidence")
+    """The naive alternative: hops in recursive SQL, which lists every walk, bounded to two."""
+    standins.plain_basket(spark, d).incidence.createOrReplaceTempView("basket_incidence")
     return spark.sql("""
         with recursive reach(vid, hops) as (
-          select min(vid), 0 from sparse_incidence
+          select min(vid), 0 from basket_incidence
           union all
-          select b.vid, r.hops + 1 from reach r join sparse_incidence a on a.vid = r.vid join sparse_incidence b on b.hid = a.hid where r.hops < 3)
+          select b.vid, r.hops + 1 from reach r join basket_incidence a on a.vid = r.vid join basket_incidence b on b.hid = a.hid where r.hops < 2)
         select vid, cast(min(hops) as double) as hops from reach group by vid""")
 
 
-query("a_components", sql.query(sql.labels("sparse", _LP), f"select vid, label as component from v{_LP}"))(lambda spark, d: labels.components(standins.sparse(spark, d)))
-query("a_components_two_phase", sql.query(sql.labels("sparse", _LP), f"select vid, label as component from v{_LP}"))(lambda spark, d: labels.components(standins.sparse(spark, d), "two_phase"))
+query("a_components", sql.query(sql.labels("basket", _LP), f"select vid, label as component from v{_LP}"))(lambda spark, d: labels.components(standins.plain_basket(spark, d)))
+query("a_components_two_phase", sql.query(sql.labels("basket", _LP), f"select vid, label as component from v{_LP}"))(lambda spark, d: labels.components(standins.plain_basket(spark, d), "two_phase"))
 query("a_component_sizes", sql.query(sql.labels("nation", 3), "select label as component, count(*) as n from v3 group by label"))(lambda spark, d: labels.components(standins.nation(spark, d)).groupBy("component").agg(F.count("*").alias("n")))
 
 
@@ -309,7 +318,7 @@ def r_pairs_attrs(spark: S, d: str) -> DataFrame:
     return pairwise.to_pairwise(standins.basket(spark, d), {"lo": F.round(F.min("o_totalprice"), 6), "hi": F.round(F.max("o_totalprice"), 6), "first_day": day})
 
 
-_COSTS = ("basket", "buyers", "dual", "hour", "nation", "sparse", "supply", "vendor", "words")
+_COSTS = ("basket", "buyers", "dual", "hour", "nation", "supply", "vendor", "words")
 query("r_pairs_cost", " union all ".join(f"select '{n}' as name, sum(k)::bigint as incidences, sum(k * (k - 1) // 2)::bigint as pairs_upper, round(sum(k * (k - 1) // 2) / sum(k), 6) as ratio from (select count(*) as k from ({sql.INC[n]}) group by hid)" for n in _COSTS))(lambda spark, d: _costs(spark, d))
 
 
@@ -324,9 +333,9 @@ def _costs(spark: S, d: str) -> DataFrame:
 query("r_pagerank_pairs", sql.query(sql.pagerank("vendor", 10), _V10))(lambda spark, d: pairwise.pagerank_pairwise(standins.vendor(spark, d), max_rounds=10).select("vid", *r6("rank")))
 
 
-@query("r_sp_pairs", sql.query(sql.paths("sparse", _SP, _FIRST), f"select vid, hops from v{_SP}"))
+@query("r_sp_pairs", sql.query(sql.paths("basket", _SP, _FIRST), f"select vid, hops from v{_SP}"))
 def r_sp_pairs(spark: S, d: str) -> DataFrame:
-    hf = standins.sparse(spark, d)
+    hf = standins.plain_basket(spark, d)
     return pairwise.shortest_paths_pairwise(hf, _least(hf))
 
 
@@ -354,7 +363,7 @@ def r_guard(spark: S, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "app string, name string, admitted boolean")
 
 
-query("b_direct_lp", sql.query(sql.labels("sparse", _LP), f"select vid, label from v{_LP}"))(lambda spark, d: direct_labels(standins.sparse(spark, d)))
+query("b_direct_lp", sql.query(sql.labels("basket", _LP), f"select vid, label from v{_LP}"))(lambda spark, d: direct_labels(standins.plain_basket(spark, d)))
 
 
 def _dyadic_sql(rounds: int) -> str:

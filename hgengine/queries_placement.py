@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from hgengine import sql
 from hgengine.placement import report
 from hgengine.placement.strategies import GreedyCut, GreedyHybridCut, HybridCut, IterativeCut, greedy_hyperedge_cut, grid_cut, hybrid_hyperedge_cut, overlap, random_both_cut, random_hyperedge_cut, random_vertex_cut
-from hgengine.plans.layout import placed_labels
+from hgengine.algorithms import labels, pagerank, paths
 from hgengine.registry import query
 from hgengine.sources import standins
 
@@ -129,10 +129,20 @@ def p_part_balance(spark: SparkSession, d: str) -> DataFrame:
     return report.part_balance(random_vertex_cut(M).assign(standins.plain_basket(spark, d), P))
 
 
-@query("p_placed_labels", sql.query(sql.labels("sparse", 12), "select vid, label from v12"))
-def p_placed_labels(spark: SparkSession, d: str) -> DataFrame:
-    hf = standins.sparse(spark, d)
-    return placed_labels(hf, HybridCut(3).assign(hf, P), P)
+#: A placement of each kind for the placed plans.
+_RULES = {"random": random_both_cut(), "hybrid": HybridCut(5), "greedy": GreedyCut(mode="streams")}
+for _n, _rule in _RULES.items():
+    query(f"p_placed_labels_{_n}", sql.query(sql.labels("basket", 8), "select vid, label from v8"))(lambda spark, d, rule=_rule: labels.label_propagation(standins.plain_basket(spark, d), placement=rule, parts=P).vertices)
+    query(f"p_placed_pagerank_{_n}", sql.query(sql.pagerank("basket", 5), "select vid, round(rank, 6) as rank from v5"))(lambda spark, d, rule=_rule: pagerank.pagerank(standins.plain_basket(spark, d), max_rounds=5, placement=rule, parts=P).vertices.select("vid", F.round("rank", 6).alias("rank")))
+_BITS = "(select hid, -sum(case when p > 0 then p * log2(p) else 0 end) as entropy from (select hid, x / sum(x) over (partition by hid) as p from (select hid, rank as x from inc join v4 using (vid))) group by hid)"
+query("p_placed_entropy", sql.query(sql.pagerank("basket", 5), f"select hid, round(abs(entropy), 6) as entropy from {_BITS}"))(lambda spark, d: pagerank.pagerank_entropy(standins.plain_basket(spark, d), max_rounds=5, placement=HybridCut(5), parts=P).hyperedges.select("hid", F.round(F.abs("entropy"), 6).alias("entropy")))
+
+
+@query("p_placed_paths", sql.query(sql.paths("basket", 8, "select min(vid) from inc", "1 + hid % 3"), "select vid, hops from v8"))
+def p_placed_paths(spark: SparkSession, d: str) -> DataFrame:
+    """Weighted paths: the costs lie with the placed memberships."""
+    hf = standins.plain_basket(spark, d).with_hyperedge_columns(cost=F.expr("1 + hid % 3"))
+    return paths.shortest_paths(hf, hf.incidence.agg(F.min("vid")).first()[0], weight="cost", placement=greedy_hyperedge_cut(mode="streams"), parts=P).vertices
 
 
 query("p_greedy_streams")(lambda spark, d: GreedyCut(mode="streams").assign(standins.plain_basket(spark, d), P))

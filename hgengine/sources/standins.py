@@ -65,10 +65,6 @@ def nation(spark: SparkSession, d: str) -> HyperFrame:
     return HyperFrame.from_table(load(spark, d, "customer", ["c_custkey", "c_nationkey"]), "c_custkey", F.col("c_nationkey").cast("long"))
 
 
-def sparse(spark: SparkSession, d: str) -> HyperFrame:
-    return HyperFrame.from_table(load(spark, d, "lineitem", ["l_partkey", "l_orderkey"], "l_orderkey % 7 = 0 and l_partkey % 3 = 0"), "l_partkey", "l_orderkey")
-
-
 def links(spark: SparkSession, d: str) -> HyperFrame:
     return HyperFrame.from_links(load(spark, d, "pages", ["page_id", "html"]), "page_id", "html")
 
@@ -81,4 +77,4 @@ def classes(spark: SparkSession, d: str) -> HyperFrame:
     return HyperFrame.from_table(load(spark, d, "embeddings", ["vec_id", "label"]), F.col("vec_id"), F.col("label").cast("long"))
 
 
-STANDINS = {"basket": plain_basket, "dual": dual, "buyers": buyers, "vendor": vendor, "supply": supply, "hour": hour, "words": words, "nation": nation, "sparse": sparse, "links": links, "turns": turns, "class": classes}
+STANDINS = {"basket": plain_basket, "dual": dual, "buyers": buyers, "vendor": vendor, "supply": supply, "hour": hour, "words": words, "nation": nation, "links": links, "turns": turns, "class": classes}

@@ -11,7 +11,6 @@ INC = {
     "hour": "select user_id as vid, epoch(date_trunc('hour', ts))::bigint as hid, count(*)::int as multiplicity from events group by all",
     "words": "select w as vid, doc_id as hid, count(*)::int as multiplicity from (select doc_id, unnest(string_split(lower(text), ' ')) as w from documents) where w <> '' group by all",
     "nation": "select c_custkey as vid, c_nationkey::bigint as hid, count(*)::int as multiplicity from customer group by all",
-    "sparse": "select l_partkey as vid, l_orderkey as hid, count(*)::int as multiplicity from lineitem where l_orderkey % 7 = 0 and l_partkey % 3 = 0 group by all",
 }
 
 

@@ -9,8 +9,10 @@ from hgengine.baseline.direct_lp import direct_labels
 from hgengine.model import HyperFrame
 from hgengine.placement import report
 from hgengine.placement.strategies import GreedyCut, GreedyHybridCut, IterativeCut, random_both_cut, random_hyperedge_cut, random_vertex_cut, seven
-from hgengine.plans.layout import Placed
-from hgengine.programs import infer_combiners
+from hgengine.plans.layout import layout_of
+from hgengine.programs import Combiner, Program, infer_combiners
+from hgengine.runtime import half_round
+from hgengine.session import cut
 
 
 @pytest.fixture(scope="module", params=[1, 2])
@@ -65,20 +67,85 @@ def test_dual_of_dual(hf):
     assert twice.exceptAll(hf.incidence.select(*twice.columns)).count() == 0
 
 
-def test_local_phase_of_placed_plan_has_no_exchange(hf):
-    plan = Placed(random_both_cut().assign(hf, 4), 4)
-    plan.incidence.count()
-    text = plan.incidence.groupBy("part", "hid").count()._jdf.queryExecution().executedPlan().toString()
-    assert "Exchange hashpartitioning" not in text.split("InMemoryRelation")[0]
+def paths_to_scans(node, path=()):
+    """(name, output) of the nodes from the root to each scan of a kept table."""
+    path = (*path, (node.nodeName(), node.output().mkString(",")))
+    if "InMemoryTableScan" in node.nodeName():
+        yield path
+    children = node.children()
+    for i in range(children.size()):
+        yield from paths_to_scans(children.apply(i), path)
+
+
+@pytest.mark.parametrize("rule", [None, random_both_cut()])
+def test_no_exchange_above_the_memberships(spark, hf, rule):
+    """In either half round, with states too large to broadcast, state and message rows are exchanged and the kept
+    memberships are not."""
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    layout = layout_of(hf, rule, 4)
+    try:
+        program = Program(emit={"x": F.col("x")}, combine={"x": Combiner.MAX})
+        for key, other, nodes in (("vid", "hid", hf.vertices), ("hid", "vid", hf.hyperedges)):
+            kept = layout.copies[key] if rule is None else layout.incidence
+            kept.count()
+            states = cut(nodes.select(key, F.col(key).alias("x")))
+            found = half_round(states, layout, program, key, other)
+            found.count()
+            joined = 0
+            for path in paths_to_scans(found._jdf.queryExecution().executedPlan().initialPlan()):
+                if all(f"{c}#" in path[-1][1] for c in ("vid", "hid")):
+                    at = max(i for i, (name, _) in enumerate(path) if "Join" in name)
+                    assert not any("Exchange" in name for name, _ in path[at:])
+                    joined += 1
+            assert joined == 1
+    finally:
+        layout.release()
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_layouts_agree(hf):
+    """All applications, on two copies and on placements, with combiners of every kind."""
+    source = hf.incidence.agg(F.min("vid")).first()[0]
+    costly = hf.with_hyperedge_columns(cost=F.col("weight"))
+    found = []
+    for rule in (None, random_both_cut(), GreedyCut(mode="streams")):
+        ranks = pagerank.pagerank_entropy(hf, max_rounds=6, placement=rule, parts=3)
+        far = paths.shortest_paths(costly, source, weight="cost", keep_parent=True, placement=rule, parts=3)
+        layout = layout_of(hf, rule, 3)
+        emit = {"n": F.lit(1), "ids": F.array("vid"), "least": F.col("vid"), "big": F.col("vid") > 20}
+        kinds = {"n": Combiner.COUNT, "ids": Combiner.CONCAT, "least": Combiner.MIN, "big": Combiner.BOOL_OR}
+        sent = half_round(hf.vertices, layout, Program(emit=emit, combine=kinds), "vid", "hid").select("hid", "_msg_n", F.sort_array("_msg_ids"), "_msg_least", "_msg_big")
+        tables = [ranks.vertices.select("vid", F.round("rank", 9)), ranks.hyperedges.select("hid", F.round("entropy", 9)), labels.label_propagation(hf, placement=rule, parts=3).vertices, far.vertices.select("vid", "hops", "parent"), sent]
+        found.append([sorted(map(tuple, t.collect()), key=repr) for t in tables])
+        layout.release()
+    assert found[0] == found[1] == found[2]
+
+
+def test_nothing_stays_cached(spark, hf):
+    before = spark.sparkContext._jsc.getPersistentRDDs().size()
+    pagerank.pagerank(hf, max_rounds=2)
+    labels.label_propagation(hf, placement=random_both_cut(), parts=3)
+    labels.components(hf, "two_phase")
+    paths.multi_source(hf, [1, 2])
+    assert spark.sparkContext._jsc.getPersistentRDDs().size() == before
+
+
+def test_multi_source_is_each_source(hf):
+    sources = [r.vid for r in hf.incidence.select("vid").distinct().orderBy("vid").limit(3).collect()]
+    costly = hf.with_hyperedge_columns(cost=F.col("weight"))
+    for weight in (None, "cost"):
+        found = {(r.source, r.vid): r.hops for r in paths.multi_source(costly, sources, weight).collect()}
+        assert found == {(s, r.vid): r.hops for s in sources for r in paths.shortest_paths(costly, s, weight=weight).vertices.collect()}
 
 
 def test_filters_reach_the_scan(spark):
-    from hgengine.sources.standins import sparse
+    from hgengine.sources.standins import plain_basket
     from hgengine.sources.tables import load
 
     text = load(spark, "/root/testdata/sf0.001", "part", ["p_partkey"], "p_size > 25")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(p_size), GreaterThan(p_size,25)]" in text
-    text = sparse(spark, "/root/testdata/sf0.001").incidence._jdf.queryExecution().executedPlan().toString()
+    text = plain_basket(spark, "/root/testdata/sf0.001").incidence._jdf.queryExecution().executedPlan().toString()
     assert "ReadSchema: struct<l_orderkey:bigint,l_partkey:bigint>" in text
 
 

@@ -10,7 +10,6 @@ from hgengine.algorithms import labels, pagerank, paths
 from hgengine.model import HyperFrame
 from hgengine.placement import report
 from hgengine.placement.strategies import GreedyCut, HybridCut, greedy_hyperedge_cut, random_vertex_cut
-from hgengine.plans.layout import placed_labels
 
 
 def table(df, key, value):
@@ -156,4 +155,4 @@ def test_hybrid_cutoff_is_strict(spark):
 
 def test_placed_plan_gives_the_same_labels(toy):
     for rule in (random_vertex_cut(), HybridCut(2), GreedyCut()):
-        assert set(table(placed_labels(toy, rule.assign(toy, 3), 3), "vid", "label").values()) == {5}
+        assert set(table(labels.label_propagation(toy, placement=rule.assign(toy, 3), parts=3).vertices, "vid", "label").values()) == {5}
