@@ -12,14 +12,18 @@ from hgengine.runtime import RunResult, iterate
 from hgengine.session import cut
 
 
-def run(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max", **layout) -> RunResult:
-    """Labels start as vertex ids; a node without a message keeps its label. Until stable, only changed nodes send."""
+def program(rule: str = "max") -> Program:
+    """Of either side: the best label heard so far; a node whose label changed sends on."""
     pick, better = (F.greatest, lambda a, b: a > b) if rule == "max" else (F.least, lambda a, b: a < b)
     new = pick(state("label"), msg("label"))  # nulls are passed over
     changed = better(msg("label"), F.coalesce(state("label"), F.lit(-(2**63)).cast("long") if rule == "max" else F.lit(2**63 - 1).cast("long")))
-    program = Program(emit={"label": state("label")}, state={"label": new}, when=changed, combine={"label": Combiner.MAX if rule == "max" else Combiner.MIN})
+    return Program(emit={"label": state("label")}, state={"label": new}, when=changed, combine={"label": Combiner.MAX if rule == "max" else Combiner.MIN})
+
+
+def run(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max", **layout) -> RunResult:
+    """Labels start as vertex ids; a node without a message keeps its label. Until stable, only changed nodes send."""
     start = HyperFrame(hf.vertices.select("vid", F.col("vid").alias("label")), hf.hyperedges.select("hid", F.lit(None).cast("long").alias("label")), hf.incidence)
-    return iterate(start, program, program, max_rounds, frontier=until_stable, **layout)
+    return iterate(start, program(rule), program(rule), max_rounds, frontier=until_stable, **layout)
 
 
 def _majority(rows: DataFrame, to: str) -> DataFrame:

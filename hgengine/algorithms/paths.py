@@ -12,20 +12,24 @@ from hgengine.runtime import RunResult, iterate
 from hgengine.session import cut
 
 
+def programs(cost: Column) -> tuple[Program, Program]:
+    """hops and parent of both sides; a vertex adds the cost of each hyperedge it sends to."""
+    better = msg("best")["hops"] < F.coalesce(state("hops"), F.lit(float("inf")))
+    told = {"hops": F.when(better, msg("best")["hops"]).otherwise(state("hops")), "parent": F.when(better, msg("best")["by"]).otherwise(state("parent"))}
+    sent = lambda hops: {"best": F.struct(hops.alias("hops"), nid().alias("by"))}
+    return Program(emit=sent(state("hops") + cost), state=told, when=better, combine={"best": Combiner.MIN}), Program(emit=sent(state("hops")), state=told, when=better, combine={"best": Combiner.MIN})
+
+
 def run(hf: HyperFrame, source: int | Column, max_rounds: int | None = None, weight: str | None = None, keep_parent: bool = False, stop=None, **layout) -> RunResult:
     """hops of both sides: hyperedges traversed from the source, or the sum of their weights; null if unreached.
 
     source: a vertex id, or a condition on vertices. weight: a column of the hyperedges. keep_parent: the hyperedge (of
     a vertex) or vertex (of a hyperedge) that the best path comes through, the smallest of equals."""
     at_source = F.col("vid") == source if isinstance(source, int) else source
-    better = msg("best")["hops"] < F.coalesce(state("hops"), F.lit(float("inf")))
     inc, cost = hf.incidence.select("vid", "hid"), F.lit(1.0)
     if weight is not None:
         inc, cost = inc.join(hf.hyperedges.select("hid", F.col(weight).cast("double").alias("cost")), "hid"), edge("cost")
-    told = {"hops": F.when(better, msg("best")["hops"]).otherwise(state("hops")), "parent": F.when(better, msg("best")["by"]).otherwise(state("parent"))}
-    sent = lambda hops: {"best": F.struct(hops.alias("hops"), nid().alias("by"))}
-    vertex = Program(emit=sent(state("hops") + cost), state=told, when=better, combine={"best": Combiner.MIN})
-    hyperedge = Program(emit=sent(state("hops")), state=told, when=better, combine={"best": Combiner.MIN})
+    vertex, hyperedge = programs(cost)
     none = F.lit(None).cast("long").alias("parent")
     start = HyperFrame(hf.vertices.select("vid", F.when(at_source, 0.0).alias("hops"), none), hf.hyperedges.select("hid", F.lit(None).cast("double").alias("hops"), none), inc)
     result = iterate(start, vertex, hyperedge, max_rounds or 1_000_000, frontier=True, active=F.col("hops").isNotNull(), stop=stop, **layout)

@@ -111,14 +111,14 @@ def u_sql_function(spark: S, d: str) -> DataFrame:
     return spark.sql("select p_partkey, size_band(p_size) as band from part")
 
 
-@query("u_data_source", None)
+@query("u_data_source", "select vid, count(*) as degree from (select distinct h as hid, (7 * h + 13 * j) % 500 as vid from range(800) a(h), range(6) b(j)) group by vid")
 def u_data_source(spark: S, d: str) -> DataFrame:
     from hgengine.sources.synthetic import SyntheticHypergraph
     from hgengine.session import ship
 
     ship(spark)
     spark.dataSource.register(SyntheticHypergraph)
-    rows = spark.read.format("hypergraph").options(vertices=500, hyperedges=800, skew=1.0).load()
+    rows = spark.read.format("hypergraph").options(vertices=500, hyperedges=800, mean=6, draw="modular").load()
     return rows.groupBy("vid").agg(F.count("*").alias("degree"))
 
 

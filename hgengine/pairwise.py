@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from hgengine.algorithms import pagerank, paths
 from hgengine.model import HyperFrame
+from hgengine.plans.layout import messages
 from hgengine.profile import pairwise_cost
 from hgengine.programs import Program
 from hgengine.session import cut
@@ -29,12 +31,18 @@ def guard(hf: HyperFrame, most: int = MOST_PAIRS) -> int:
     return found
 
 
-def check_pairwise(vertex: Program, hyperedge: Program, reads_hyperedges: bool) -> None:
-    """Only programs whose result has no hyperedge state and whose messages are alike both ways can run on pairs."""
-    if reads_hyperedges:
+def check_pairwise(vertex: Program, hyperedge: Program, states: HyperFrame, wanted: tuple[str, ...] = ("vid",)) -> None:
+    """Only programs whose result has no hyperedge state (wanted: the sides of the result), and whose messages have the same
+    names and types both ways, can run on pairs. The types follow from the programs and the states that they start with."""
+    if "hid" in wanted:
         raise NeedsHyperedges("hyperedge state is part of the result")
-    if set(vertex.emit) != set(hyperedge.emit):
-        raise NeedsHyperedges("messages differ in the two directions")
+    kinds = []
+    for program, nodes, key, other in ((vertex, states.vertices, "vid", "hid"), (hyperedge, states.hyperedges, "hid", "vid")):
+        rows = nodes.withColumns({"_id": F.col(key), "_step": F.lit(0)})
+        sent = messages(rows, states.incidence, program, [key], other)
+        kinds.append({n: sent.schema[f"_msg_{n}"].dataType.simpleString() for n in program.emit})
+    if kinds[0] != kinds[1]:
+        raise NeedsHyperedges(f"messages differ in the two directions: {kinds[0]} and {kinds[1]}")
 
 
 def to_pairwise(hf: HyperFrame, attributes: dict[str, Column] | None = None, most_pairs: int = MOST_PAIRS, directed: bool = False) -> DataFrame:
@@ -57,8 +65,20 @@ def shared_weight(weight: str | None = "weight") -> Column:
     return F.sum((F.lit(1.0) if weight is None else F.col(weight)) / F.col("_size"))
 
 
+def pagerank_states(hf: HyperFrame) -> HyperFrame:
+    """What the programs of PageRank start with, by name and type."""
+    one = F.lit(1.0)
+    return HyperFrame(hf.vertices.select("vid", one.alias("rank"), one.alias("_share")), hf.hyperedges.select("hid", one.alias("rank"), one.alias("_size")), hf.incidence)
+
+
+def path_states(hf: HyperFrame) -> HyperFrame:
+    state = [F.lit(0.0).alias("hops"), F.lit(None).cast("long").alias("parent")]
+    return HyperFrame(hf.vertices.select("vid", *state), hf.hyperedges.select("hid", *state), hf.incidence)
+
+
 def pagerank_pairwise(hf: HyperFrame, alpha: float = 0.15, max_rounds: int = 30, weight: str | None = "weight", most_pairs: int = MOST_PAIRS) -> DataFrame:
     """vid, rank: as the bipartite form, with the hyperedge step folded into constants of pairs and of each vertex."""
+    check_pairwise(*pagerank.programs(alpha), pagerank_states(hf))
     w = F.lit(1.0) if weight is None else F.col(weight).cast("double")
     sized = hf.hyperedges.select("hid", w.alias("_w")).join(hf.incidence.groupBy("hid").agg(F.count("*").alias("_size")), "hid")
     own = hf.incidence.join(sized, "hid").groupBy("vid").agg(F.sum("_w").alias("_total"), F.sum(F.col("_w") / F.col("_size")).alias("_self"))
@@ -71,11 +91,14 @@ def pagerank_pairwise(hf: HyperFrame, alpha: float = 0.15, max_rounds: int = 30,
         vs = vs.join(heard, "vid", "left").select("vid", rank.alias("rank"), "_total", "_self")
         if r % 4 == 0 and r < max_rounds:
             vs = cut(vs)
-    return vs.select("vid", "rank")
+    vs = cut(vs.select("vid", "rank"))
+    pairs.unpersist()
+    return vs
 
 
 def shortest_paths_pairwise(hf: HyperFrame, source: int, weight: str | None = None, most_pairs: int = MOST_PAIRS) -> DataFrame:
     """vid, hops over pairs: 1 for each, or the least weight of the shared hyperedges."""
+    check_pairwise(*paths.programs(F.lit(1.0)), path_states(hf))
     cost = F.lit(1.0) if weight is None else F.min(F.col(weight).cast("double"))
     pairs = to_pairwise(hf, {"cost": F.max(F.lit(1.0)) if weight is None else cost}, most_pairs, directed=True).persist()
     vs = cut(hf.vertices.select("vid", F.when(F.col("vid") == source, 0.0).alias("hops"), (F.col("vid") == source).alias("_send")))
@@ -83,4 +106,5 @@ def shortest_paths_pairwise(hf: HyperFrame, source: int, weight: str | None = No
         heard = vs.where("_send").select(F.col("vid").alias("src"), "hops").join(pairs, "src").groupBy(F.col("dst").alias("vid")).agg(F.min(F.col("hops") + F.col("cost")).alias("_new"))
         better = F.coalesce(F.col("_new") < F.coalesce("hops", F.lit(float("inf"))), F.lit(False))
         vs = cut(vs.join(heard, "vid", "left").select("vid", F.when(better, F.col("_new")).otherwise(F.col("hops")).alias("hops"), better.alias("_send")))
+    pairs.unpersist()
     return vs.select("vid", "hops")

@@ -112,14 +112,15 @@ class GreedyCut:
         rows = gathered.select("hid", F.col("o.part").alias("on"), F.col("o.overlap").alias("n"))
         if self.mode == "exact":
             return rows.repartition(1).sortWithinPartitions("hid").mapInPandas(_choose(parts, self.load_unit, 1, base), "hid long, part int")
-        stream = F.pmod(F.xxhash64("hid"), F.lit(self.streams))
+        of = HASHES[self.hash]
+        stream = of(self.streams, F.col("hid"))
         if self.mode == "streams":
-            dealt = rows.repartitionById(self.streams, stream.cast("int")).sortWithinPartitions("hid")
+            dealt = rows.repartitionById(self.streams, stream).sortWithinPartitions("hid")
             return dealt.mapInPandas(_choose(parts, self.load_unit, self.streams, base), "hid long, part int")
-        rows = cut(rows.withColumn("_epoch", F.pmod(F.xxhash64("hid", F.lit("epoch")), F.lit(self.epochs))))
+        rows = cut(rows.withColumn("_epoch", of(self.epochs, F.col("hid"), F.lit(1))))
         load, out = np.zeros(parts) if base is None else base.astype(float), None
         for e in range(self.epochs):
-            dealt = rows.where(F.col("_epoch") == e).drop("_epoch").repartitionById(self.streams, stream.cast("int")).sortWithinPartitions("hid")
+            dealt = rows.where(F.col("_epoch") == e).drop("_epoch").repartitionById(self.streams, stream).sortWithinPartitions("hid")
             slice_ = cut(dealt.mapInPandas(_choose(parts, self.load_unit, self.streams, load), "hid long, part int"))
             unit = F.count("*") if self.load_unit == "hyperedges" else F.sum(F.size("n")) if self.load_unit == "frozen" else F.sum(F.aggregate("n", F.lit(0).cast("long"), lambda s, x: s + x))
             if self.load_unit != "frozen":

@@ -45,6 +45,21 @@ class TwoCopy:
             copy.unpersist()
 
 
+class AsRead:
+    """Memberships once, kept as they came: the naive plan, which shuffles them in each half round unless the states can
+    be broadcast. A baseline."""
+
+    def __init__(self, incidence: DataFrame) -> None:
+        self.incidence = incidence.persist()
+
+    def half_round(self, rows: DataFrame, program: Program, key: str, other: str, combine: Combiners) -> DataFrame:
+        sent = messages(rows, self.incidence, program, [key], other)
+        return sent.groupBy(other).agg(*(combine[n].of(F.col(f"_msg_{n}")).alias(f"_msg_{n}") for n in program.emit))
+
+    def release(self) -> None:
+        self.incidence.unpersist()
+
+
 class Placed:
     """Memberships with part, dealt by it; routing tables of both sides, dealt by the id that states have."""
 
@@ -69,7 +84,7 @@ class Placed:
             kept.unpersist()
 
 
-Layout = TwoCopy | Placed
+Layout = TwoCopy | Placed | AsRead
 
 
 def layout_of(hf: HyperFrame, placement=None, parts: int = 8) -> Layout:

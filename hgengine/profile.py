@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hgengine.model import HyperFrame
+from hgengine.placement.hashing import modular
 
 
 def degrees(hf: HyperFrame) -> DataFrame:
@@ -44,3 +45,22 @@ def pairwise_cost(hf: HyperFrame) -> DataFrame:
     k = hf.incidence.groupBy("hid").agg(F.count("*").alias("k"))
     found = k.agg(F.sum("k").alias("incidences"), F.sum(F.expr("k * (k - 1) div 2")).cast("long").alias("pairs_upper"))
     return found.withColumn("ratio", F.round(F.col("pairs_upper") / F.col("incidences"), 6))
+
+
+def distinct_pairs_estimate(hf: HyperFrame, one_in: int = 16) -> DataFrame:
+    """One row: pairs_distinct_est. The neighbours of one vertex in so many, drawn by a hash of its id, are counted
+    exactly; no pair of two other vertices is made."""
+    inc = hf.incidence.select("vid", "hid")
+    drawn = inc.where(modular(one_in, F.col("vid")) == 0)
+    near = drawn.join(inc.withColumnRenamed("vid", "other"), "hid").where("vid <> other").select("vid", "other").distinct()
+    return near.agg((F.count("*") * one_in / 2).alias("pairs_distinct_est"))
+
+
+def rank_error(found: DataFrame, exact: DataFrame, key: str = "vid", value: str = "rank", top: int = 100) -> DataFrame:
+    """One row: the sum and the largest of the absolute differences, and the share of the first ones that both have."""
+    both = found.select(key, F.col(value).alias("_a")).join(exact.select(key, F.col(value).alias("_b")), key)
+    gap = F.abs(F.col("_a") - F.col("_b"))
+    sums = both.agg(F.sum(gap).alias("l1"), F.max(gap).alias("largest"))
+    first = [df.orderBy(F.desc(F.round(value, 9)), key).limit(top).select(key) for df in (found, exact)]
+    # one row each
+    return sums.crossJoin(first[0].join(first[1], key).agg((F.count("*") / top).alias("top_share")))

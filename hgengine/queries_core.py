@@ -12,6 +12,7 @@ from hgengine.algorithms import labels, pagerank, paths
 from hgengine.baseline.direct_lp import direct_labels
 from hgengine.baseline.dyadic import dyadic_pagerank
 from hgengine.model import HyperFrame
+from hgengine.plans.layout import AsRead
 from hgengine.programs import Combiner, Program, dst_id, nid, state
 from hgengine.registry import query
 from hgengine.runtime import half_round
@@ -265,7 +266,7 @@ def _eigen_sql(rounds: int) -> str:
 
 
 query("a_centrality_eigen", _eigen_sql(6))(lambda spark, d: paths.eigenvector_centrality(standins.plain_basket(spark, d), 6).select("vid", *r6("value")))
-query("a_centrality_degree", sql.query([sql.inc("basket")], "select vid, round(sum(o_totalprice / 100000), 6) as value from inc join orders on o_orderkey = hid group by vid"))(lambda spark, d: paths.degree_centrality(standins.basket(spark, d, F.col("o_totalprice") / 100000)).select("vid", *r6("value")))
+query("a_centrality_degree", sql.query([sql.inc("basket")], "select vid, round(sum(o_totalprice / 100000), 7) as value from inc join orders on o_orderkey = hid group by vid"))(lambda spark, d: paths.degree_centrality(standins.basket(spark, d, F.col("o_totalprice") / 100000)).select("vid", F.round("value", 7).alias("value")))
 
 _MAIN = f"select label from v{_LP} group by label order by count(*) desc, label limit 1"
 
@@ -346,7 +347,7 @@ _GUARD = " union all ".join(f"select '{a}' as app, '{n}' as name, {'false' if ne
 
 @query("r_guard", _GUARD)
 def r_guard(spark: S, d: str) -> DataFrame:
-    sent = Program(emit={"x": F.lit(1)})
+    """Which applications can run on pairs, by their programs and the sides of their results, and on which hypergraphs."""
     rows = []
     for n in ("basket", "vendor", "supply"):
         hf = standins.STANDINS[n](spark, d)
@@ -354,9 +355,15 @@ def r_guard(spark: S, d: str) -> DataFrame:
             fits = bool(pairwise.guard(hf, _BOUND)) or True
         except pairwise.PairwiseTooLarge:
             fits = False
-        for app, needs in _APPS.items():
+        label = F.lit(0).cast("long").alias("label")
+        apps = {
+            "pagerank": (pagerank.programs(0.15), pairwise.pagerank_states(hf), ("vid",)), "shortest_paths": (paths.programs(F.lit(1.0)), pairwise.path_states(hf), ("vid",)),
+            "labels": ((labels.program(), labels.program()), HyperFrame(hf.vertices.select("vid", label), hf.hyperedges.select("hid", label), hf.incidence), ("vid", "hid")),
+            "pagerank_entropy": (pagerank.programs(0.15), pairwise.pagerank_states(hf), ("vid", "hid")),
+        }
+        for app, (programs, states, wanted) in apps.items():
             try:
-                pairwise.check_pairwise(sent, sent, needs)
+                pairwise.check_pairwise(*programs, states, wanted)
                 rows.append((app, n, fits))
             except pairwise.NeedsHyperedges:
                 rows.append((app, n, False))
@@ -374,3 +381,48 @@ def _dyadic_sql(rounds: int) -> str:
 
 
 query("b_dyadic_pagerank", _dyadic_sql(10))(lambda spark, d: dyadic_pagerank(standins.vendor(spark, d), max_rounds=10).select("vid", *r6("rank")))
+
+
+# --- the applications on other whole hypergraphs, baselines and measures --------------------------------------------------
+
+for _n in ("dual", "buyers", "hour"):
+    query(f"a_labels_{_n}", sql.query(sql.labels(_n, 8), "select vid, label from v8"))(lambda spark, d, n=_n: labels.label_propagation(standins.STANDINS[n](spark, d)).vertices)
+    query(f"a_sp_{_n}_vertices", sql.query(sql.paths(_n, 8, _FIRST), "select vid, hops from v8"))(lambda spark, d, n=_n: paths.shortest_paths(hf := standins.STANDINS[n](spark, d), _least(hf)).vertices)
+    query(f"a_components_{_n}", sql.query(sql.labels(_n, 8), "select vid, label as component from v8"))(lambda spark, d, n=_n: labels.components(standins.STANDINS[n](spark, d), "two_phase"))
+for _n in ("dual", "buyers"):
+    _shape = _entropies("rank").replace("v9", "v4")
+    query(f"a_entropy_{_n}", sql.query(sql.pagerank(_n, 5), f"select hid, round(abs(entropy), 6) as entropy from {_shape}"))(lambda spark, d, n=_n: pagerank.pagerank_entropy(standins.STANDINS[n](spark, d), max_rounds=5).hyperedges.select("hid", F.round(F.abs("entropy"), 6).alias("entropy")))
+query("a_pagerank_vendor", sql.query(sql.pagerank("vendor", 10), _V10))(lambda spark, d: _ranks(standins.vendor(spark, d), max_rounds=10))
+query("r_pagerank_pairs_buyers", sql.query(sql.pagerank("buyers", 5), "select vid, round(rank, 6) as rank from v5"))(lambda spark, d: pairwise.pagerank_pairwise(standins.buyers(spark, d), max_rounds=5).select("vid", *r6("rank")))
+query("b_naive_pagerank", sql.query(sql.pagerank("basket", 5), "select vid, round(rank, 6) as rank from v5"))(lambda spark, d: _ranks(hf := standins.plain_basket(spark, d), max_rounds=5, layout=AsRead(hf.incidence)))
+
+
+def _parents_sql(rounds: int) -> str:
+    """Hops and the smallest node of a best path, as of the round that reached a node first."""
+    ctes = sql.paths("basket", rounds, _FIRST)
+    return sql.query(ctes, f"select v.vid, v.hops, (select min(e.hid) from inc join e{rounds} e using (hid) where inc.vid = v.vid and e.hops = v.hops and v.hops > 0) as parent from v{rounds} v")
+
+
+@query("a_sp_parents", _parents_sql(8))
+def a_sp_parents(spark: S, d: str) -> DataFrame:
+    hf = standins.plain_basket(spark, d)
+    return paths.shortest_paths(hf, _least(hf), keep_parent=True).vertices.select("vid", "hops", "parent")
+
+
+_DRAWN = f"select count(*) * 16 / 2 as pairs_distinct_est from (select distinct a.vid, b.vid as other from inc a join inc b on a.hid = b.hid and a.vid <> b.vid where {sql.modular('a.vid', 16)} = 0)"
+for _n in ("basket", "vendor"):
+    query(f"r_pairs_distinct_{_n}", sql.query([sql.inc(_n)], _DRAWN))(lambda spark, d, n=_n: profile.distinct_pairs_estimate(standins.STANDINS[n](spark, d)))
+
+
+@query("w_rank_error", sql.query(sql.pagerank("basket", 10), "select round(sum(abs(a.rank - b.rank)), 6) as l1, round(max(abs(a.rank - b.rank)), 6) as largest, (select count(*) / 100 from (select vid from v2 order by round(rank, 9) desc, vid limit 100) join (select vid from v10 order by round(rank, 9) desc, vid limit 100) using (vid)) as top_share from v2 a join v10 b using (vid)"))
+def w_rank_error(spark: S, d: str) -> DataFrame:
+    """How far two rounds are from ten."""
+    hf = standins.plain_basket(spark, d)
+    two, ten = (pagerank.pagerank(hf, max_rounds=n).vertices for n in (2, 10))
+    return profile.rank_error(two, ten).select(*r6("l1", "largest"), "top_share")
+
+
+query("m_from_arrays", sql.query([sql.inc("basket")], "select vid, hid from inc"))(lambda spark, d: HyperFrame.from_arrays(load(spark, d, "lineitem", ["l_orderkey", "l_partkey"]).groupBy("l_orderkey").agg(F.collect_list("l_partkey").alias("parts")), "l_orderkey", "parts").incidence.select("vid", "hid"))
+query("m_cardinality_links", """select page_id as hid, count(distinct l) as cardinality from (select page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) as l from pages) group by 1""")(lambda spark, d: profile.cardinalities(standins.links(spark, d)))
+query("m_cardinality_turns", "select conv_id as hid, count(distinct w) as cardinality from (select conv_id, unnest(string_split(lower(text), ' ')) as w from conversations) where w <> '' group by 1")(lambda spark, d: profile.cardinalities(standins.turns(spark, d)))
+query("m_cardinality_class", "select label::bigint as hid, count(distinct vec_id) as cardinality from embeddings group by 1")(lambda spark, d: profile.cardinalities(standins.classes(spark, d)))

@@ -22,20 +22,66 @@ def _hybrid(cutoff: int, whole: str, by_whole: str, by_other: str) -> str:
     return f"select vid, hid, case when n > {cutoff} then {by_other} else {by_whole} end as part from (select *, count(*) over (partition by {whole}) as n from inc)"
 
 
-def _greedy_sql(name: str, whole: str, other: str) -> str:
-    """The sequential choice, one id a step, with the loads as a list."""
+def _choices(name: str, whole: str, other: str, rows: str = "inc", base: str | None = None, streams: int = 1, epoch: str = "true") -> list[str]:
+    """CTEs that end in <name>(stream, seq, id, best, loads): the sequential choice, one id a step of each stream, with the
+    loads as a list. base: SQL of the first loads; epoch: which ids take part."""
     score = ", ".join(f"coalesce(o.n[{p + 1}], 0) - sqrt(loads[{p + 1}])" for p in range(P))
     counts = ", ".join(f"count(*) filter ({sql.modular(other, P)} = {p})" for p in range(P))
-    new = ", ".join(f"loads[{p + 1}] + case when best = {p} then 1 else 0 end" for p in range(P))
-    return f"""with recursive {sql.inc(name)},
-o as materialized (select {whole} as id, row_number() over (order by {whole}) as seq, [{counts}] as n from inc group by {whole}),
-chosen(seq, id, best, loads) as (
-  select 0::bigint, null::bigint, null::int, [{", ".join(["0::double"] * P)}]
+    new = ", ".join(f"loads[{p + 1}] + case when best = {p} then {streams} else 0 end" for p in range(P))
+    stream = sql.modular(whole, streams) if streams > 1 else "0"
+    first = base or f"[{', '.join(['0::double'] * P)}]"
+    return [
+        f"o_{name} as materialized (select {whole} as id, {stream} as stream, row_number() over (partition by {stream} order by {whole}) as seq, [{counts}] as n from {rows} where {epoch} group by {whole})",
+        f"""{name}(stream, seq, id, best, loads) as (
+  select distinct stream, 0::bigint, null::bigint, null::int, {first} from o_{name}
   union all
-  select seq, id, best, [{new}] from (
-    select seq, id, loads, list_position(scores, list_max(scores))::int - 1 as best from (
-      select o.seq, o.id, c.loads, [{score}] as scores from chosen c join o on o.seq = c.seq + 1)))
-select id as {whole}, best::int as part from chosen where seq > 0"""
+  select stream, seq, id, best, [{new}] from (
+    select stream, seq, id, loads, list_position(scores, list_max(scores))::int - 1 as best from (
+      select o.stream, o.seq, o.id, c.loads, [{score}] as scores from {name} c join o_{name} o on o.stream = c.stream and o.seq = c.seq + 1)))""",
+    ]
+
+
+def _with(ctes: list[str], select: str) -> str:
+    return sql.query(ctes, select).replace("with ", "with recursive ", 1)
+
+
+def _greedy_sql(name: str, whole: str, other: str) -> str:
+    return _with([sql.inc(name), *_choices("chosen", whole, other)], f"select id as {whole}, best::int as part from chosen where seq > 0")
+
+
+def _greedy_placed(name: str, whole: str, other: str) -> list[str]:
+    return [sql.inc(name), *_choices("chosen", whole, other), f"placed as (select vid, hid, best as part from inc join chosen on id = {whole})"]
+
+
+def _epochs_sql(name: str, epochs: int, streams: int) -> str:
+    """Slices of ids one after another; the loads of all earlier ones are the first loads of the next."""
+    ctes, done = [sql.inc(name)], []
+    for e in range(epochs):
+        base = None
+        if done:
+            past = " union all ".join(f"select best from c{i} where seq > 0" for i in done)
+            ctes.append(f"b{e} as materialized (select [{', '.join(f'(count(*) filter (best = {p}))::double' for p in range(P))}] as loads from ({past}))")
+            base = f"(select loads from b{e})"
+        ctes += _choices(f"c{e}", "hid", "vid", base=base, streams=streams, epoch=f"{sql.modular2('hid', '1', epochs)} = {e}")
+        done.append(e)
+    chosen = " union all ".join(f"select id, best from c{i} where seq > 0" for i in done)
+    return _with(ctes, f"select vid, hid, best::int as part from inc join ({chosen}) on id = hid")
+
+
+def _greedy_hybrid_sql(name: str, cutoff: int) -> str:
+    heavy = f"select vid, {V} as part, hid from sized where k > {cutoff}"
+    base = f"(select [{', '.join(f'(count(*) filter (part = {p}))::double / any_value(mean)' for p in range(P))}] from heavy, (select avg(k) as mean from (select distinct hid, k from sized where k <= {cutoff})))"
+    ctes = [sql.inc(name), "sized as materialized (select vid, hid, count(*) over (partition by hid) as k from inc)", f"heavy as materialized ({heavy})", *_choices("chosen", "hid", "vid", rows="sized", base=base, epoch=f"k <= {cutoff}")]
+    return _with(ctes, "select vid, hid, best::int as part from inc join chosen on id = hid union all select vid, hid, part::int from heavy")
+
+
+def _iterative_sql(name: str, rounds: int) -> str:
+    ctes = [sql.inc(name), f"h0 as materialized (select distinct hid, {H} as part from inc)", f"share as materialized (select 1.1::double * count(*) / {P} as share from h0)"]
+    for r in range(1, rounds + 1):
+        ctes.append(f"v{r} as materialized (select vid, part from (select vid, part, row_number() over (partition by vid order by count(*) desc, part) as rn from inc join h{r - 1} using (hid) group by vid, part) where rn = 1)")
+        ctes.append(f"s{r} as materialized (select part, count(*) as size from h{r - 1} group by part)")
+        ctes.append(f"h{r} as materialized (select hid, part from (select hid, part, row_number() over (partition by hid order by n * (1 - coalesce(size, 0) / share) desc, part) as rn from (select hid, part, count(*) as n from inc join v{r} using (vid) group by hid, part) left join s{r} using (part), share) where rn = 1)")
+    return sql.query(ctes, f"select vid, hid, part from inc join h{rounds} using (hid)")
 
 
 ASSIGNED = {
@@ -51,9 +97,18 @@ for _n, (_rule, _sql) in ASSIGNED.items():
     query(f"p_{_n}_assign", sql.query([sql.inc("basket")], _sql))(lambda spark, d, rule=_rule: rule.assign(standins.plain_basket(spark, d), P))
 
 
-@query("p_hybrid_words", None)
+_CUTOFFS = (10, 50, 100, 200, 500, 1000)
+_WORDS = sql.INC["words"].replace("select w as vid", "select ('0x' || substr(md5(w), 1, 15))::bigint as vid")
+
+
+@query("p_hybrid_words", sql.query([f"inc as materialized ({_WORDS})"], " union all ".join(f"select {c} as cutoff, part, count(*) as n from (" + _hybrid(c, "hid", H, V) + ") group by part" for c in _CUTOFFS)))
 def p_hybrid_words(spark: SparkSession, d: str) -> DataFrame:
-    return HybridCut(100, "mixed").assign(standins.words(spark, d), P).groupBy("part").agg(F.count("*").alias("n"))
+    """Sensitivity to the cutoff on documents of words, whose sizes are very uneven."""
+    hf, out = standins.words_by_md5(spark, d), None
+    for cutoff in _CUTOFFS:
+        rows = HybridCut(cutoff, M).assign(hf, P).groupBy(F.lit(cutoff).alias("cutoff"), "part").agg(F.count("*").alias("n"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 query("p_hybrid_turnover", sql.query([sql.inc("supply")], "select 100 as cutoff, part, count(*) as n from (" + _hybrid(100, "hid", H, V) + ") group by part union all select 500, part, count(*) from (" + _hybrid(500, "hid", H, V) + ") group by part"))(lambda spark, d: _turnover(spark, d))
@@ -82,16 +137,16 @@ _SEVEN = {
     "random_vertex": (random_vertex_cut(M), f"select vid, hid, {H} as part from inc"),
     "random_hyperedge": (random_hyperedge_cut(M), f"select vid, hid, {V} as part from inc"),
     "random_both": (random_both_cut(M), f"select vid, hid, {B} as part from inc"),
-    "hybrid_vertex": (HybridCut(100, M), _hybrid(100, "hid", H, V)),
-    "hybrid_hyperedge": (hybrid_hyperedge_cut(100, M), _hybrid(100, "vid", V, H)),
+    "hybrid_vertex": (HybridCut(5, M), _hybrid(5, "hid", H, V)),
+    "hybrid_hyperedge": (hybrid_hyperedge_cut(30, M), _hybrid(30, "vid", V, H)),
     "greedy_vertex": (GreedyCut(hash=M), None),
     "greedy_hyperedge": (greedy_hyperedge_cut(hash=M), None),
 }
 for _n, (_rule, _sql) in _SEVEN.items():
-    query(f"p_report_{_n}", sql.query([sql.inc("basket"), f"placed as ({_sql})"], _REPORT) if _sql else None)(lambda spark, d, rule=_rule: report.placement_report(rule.assign(standins.plain_basket(spark, d), P), P))
+    _ctes = [sql.inc("basket"), f"placed as ({_sql})"] if _sql else _greedy_placed("basket", *(("hid", "vid") if _n == "greedy_vertex" else ("vid", "hid")))
+    query(f"p_report_{_n}", _with(_ctes, _REPORT))(lambda spark, d, rule=_rule: report.placement_report(rule.assign(standins.plain_basket(spark, d), P), P))
 
-_GREEDY_CHOICE = _greedy_sql("supply", "hid", "vid")
-query("p_report_greedy_supply", _GREEDY_CHOICE.replace("select id as hid, best::int as part from chosen where seq > 0", "") + ", placed as (select vid, hid, best as part from inc join chosen on id = hid)" + _REPORT)(lambda spark, d: report.placement_report(GreedyCut(hash=M).assign(standins.supply(spark, d), P), P))
+query("p_report_greedy_supply", _with(_greedy_placed("supply", "hid", "vid"), _REPORT))(lambda spark, d: report.placement_report(GreedyCut(hash=M).assign(standins.supply(spark, d), P), P))
 
 _NAMES = ("basket", "dual", "hour", "supply", "vendor")
 _LOCAL = {"random_vertex": H, "random_hyperedge": V, "random_both": B}
@@ -145,16 +200,21 @@ def p_placed_paths(spark: SparkSession, d: str) -> DataFrame:
     return paths.shortest_paths(hf, hf.incidence.agg(F.min("vid")).first()[0], weight="cost", placement=greedy_hyperedge_cut(mode="streams"), parts=P).vertices
 
 
-query("p_greedy_streams")(lambda spark, d: GreedyCut(mode="streams").assign(standins.plain_basket(spark, d), P))
-query("p_greedy_epochs")(lambda spark, d: GreedyCut(mode="epochs").assign(standins.plain_basket(spark, d), P))
-query("p_greedy_hybrid")(lambda spark, d: GreedyHybridCut(5).assign(standins.plain_basket(spark, d), P))
-query("p_iterative")(lambda spark, d: IterativeCut(10).assign(standins.supply(spark, d), P))
+query("p_greedy_streams", _with([sql.inc("basket"), *_choices("chosen", "hid", "vid", streams=8)], "select vid, hid, best::int as part from inc join chosen on id = hid"))(lambda spark, d: GreedyCut(mode="streams", hash=M).assign(standins.plain_basket(spark, d), P))
+query("p_greedy_epochs", _epochs_sql("basket", 4, 8))(lambda spark, d: GreedyCut(mode="epochs", hash=M).assign(standins.plain_basket(spark, d), P))
+query("p_greedy_hybrid", _greedy_hybrid_sql("basket", 5))(lambda spark, d: GreedyHybridCut(5, GreedyCut(hash=M)).assign(standins.plain_basket(spark, d), P))
+query("p_iterative", _iterative_sql("supply", 10))(lambda spark, d: IterativeCut(10, M).assign(standins.supply(spark, d), P))
 
 
-@query("p_advise")
+def _advice(name: str) -> str:
+    """The advisor's rules over counts of replicas and loads."""
+    distinct = lambda side, part: f"(select count(*) from (select distinct {side}, {part} from inc))"
+    return f"""select '{name}' as name, case when n < 50000 then 'two_copy' when ratio >= 2 then (case when nv * {P} <= 1e9 then 'greedy_hyperedge' else 'random_hyperedge' end)
+  when ratio <= 0.5 then (case when 2 * c <= 3.0 * a or loads > 1.2 then 'random_both' else 'random_vertex' end) when a <= b then 'random_vertex' else 'random_hyperedge' end as strategy
+from (with inc as materialized ({sql.INC[name]}) select count(*) as n, count(distinct vid) as nv, count(distinct vid)::double / count(distinct hid) as ratio, {distinct("vid", H)} as a, {distinct("hid", V)} as b,
+  {distinct("vid", B)} + {distinct("hid", B)} as c, (select max(k)::double / avg(k) from (select count(*) as k from inc group by {H})) as loads from inc)"""
+
+
+@query("p_advise", " union all ".join(map(_advice, _NAMES)))
 def p_advise(spark: SparkSession, d: str) -> DataFrame:
-    rows = []
-    for n in _NAMES:
-        strategy, reasons = report.advise(standins.STANDINS[n](spark, d), P, M, few=50_000)
-        rows.append((n, strategy, "; ".join(reasons)))
-    return spark.createDataFrame(rows, "name string, strategy string, reasons string")
+    return spark.createDataFrame([(n, report.advise(standins.STANDINS[n](spark, d), P, M, few=50_000)[0]) for n in _NAMES], "name string, strategy string")

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from hgengine.model import HyperFrame
-from hgengine.plans.layout import Combiners, Layout, Placed, layout_of, messages
+from hgengine.plans.layout import Combiners, Layout, TwoCopy, layout_of, messages
 from hgengine.programs import Program, infer_combiners
 from hgengine.session import cut
 
@@ -41,7 +41,7 @@ def half_round(senders: DataFrame, incidence: DataFrame | Layout, program: Progr
     rows = rows.withColumns({"_id": F.col(key), "_step": F.lit(round_)})
     combine = combine or program.combine or {}
     if missing := [n for n in program.emit if n not in combine]:
-        plain = incidence if isinstance(incidence, DataFrame) else incidence.incidence if isinstance(incidence, Placed) else incidence.copies[key]
+        plain = incidence if isinstance(incidence, DataFrame) else incidence.copies[key] if isinstance(incidence, TwoCopy) else incidence.incidence
         schema = messages(rows, plain, program, [key], other).schema
         combine = combine | infer_combiners(T.StructType([T.StructField(n, schema[f"_msg_{n}"].dataType) for n in missing]))
     if not isinstance(incidence, DataFrame):

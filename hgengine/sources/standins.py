@@ -61,6 +61,13 @@ def words(spark: SparkSession, d: str, ids: bool = True) -> HyperFrame:
     return HyperFrame.from_tokens(load(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text", ids)
 
 
+def words_by_md5(spark: SparkSession, d: str) -> HyperFrame:
+    """words with ids that any SQL can make: the first 60 bits of the digest."""
+    word = F.explode(F.split(F.lower("text"), " "))
+    rows = load(spark, d, "documents", ["doc_id", "text"]).select("doc_id", word.alias("w")).where("w <> ''")
+    return HyperFrame.from_table(rows, F.conv(F.substring(F.md5("w"), 1, 15), 16, 10).cast("long"), "doc_id")
+
+
 def nation(spark: SparkSession, d: str) -> HyperFrame:
     return HyperFrame.from_table(load(spark, d, "customer", ["c_custkey", "c_nationkey"]), "c_custkey", F.col("c_nationkey").cast("long"))
 

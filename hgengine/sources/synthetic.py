@@ -10,7 +10,9 @@ from pyspark.sql.types import StructType
 
 
 class SyntheticHypergraph(DataSource):
-    """Options: vertices, hyperedges, mean (members), skew (exponent of vertex popularity, 0 even), partitions, seed."""
+    """Options: vertices, hyperedges, mean (members), skew (exponent of vertex popularity, 0 even), partitions, seed.
+
+    draw: random, or modular, whose member j of hyperedge h is (7 h + 13 j) mod vertices, for results known beforehand."""
 
     @classmethod
     def name(cls) -> str:
@@ -28,6 +30,7 @@ class _Reader(DataSourceReader):
         self.n, self.m = int(options.get("vertices", 1000)), int(options.get("hyperedges", 1000))
         self.mean, self.skew = float(options.get("mean", 5)), float(options.get("skew", 0))
         self.parts, self.seed = int(options.get("partitions", 4)), int(options.get("seed", 1))
+        self.modular = options.get("draw", "random") == "modular"
 
     def partitions(self) -> list[InputPartition]:
         return [InputPartition(i) for i in range(self.parts)]
@@ -35,6 +38,9 @@ class _Reader(DataSourceReader):
     def read(self, partition: InputPartition) -> Iterator[tuple]:
         draw = np.random.default_rng((self.seed, partition.value))
         for hid in range(partition.value, self.m, self.parts):
+            if self.modular:
+                yield from ((vid, hid) for vid in sorted({(7 * hid + 13 * j) % self.n for j in range(int(self.mean))}))
+                continue
             size = min(self.n, 1 + draw.poisson(self.mean - 1))
             members = np.unique((self.n * draw.random(size) ** (1 + self.skew)).astype(int))
             for vid in members.tolist():

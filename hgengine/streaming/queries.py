@@ -11,6 +11,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from hgengine import sql
 from hgengine.algorithms import pagerank
 from hgengine.model import HyperFrame
 from hgengine.registry import query
@@ -118,26 +119,33 @@ def s_stream_stream(spark: S, d: str) -> DataFrame:
     return drained(v.join(p, F.expr("u = user_id and ts >= at and ts <= at + interval 1 hour")).select("view_id", "purchase_id"))
 
 
-@query("s_foreach_batch_pagerank")
+@query("s_foreach_batch_pagerank", sql.query(sql.pagerank("hour", 40), "select vid, round(rank, 4) as rank from v40"))
 def s_foreach_batch_pagerank(spark: S, d: str) -> DataFrame:
-    """Memberships grow by micro-batches; each batch starts from the last ranks and needs few rounds."""
-    out = scratch(spark, "ranks")
+    """Memberships grow by micro-batches, here of ten days; a batch appends those that are new, and starts from the last
+    ranks, so that it needs few rounds."""
+    source, known, out = (scratch(spark, n) for n in ("days", "memberships", "ranks"))
+    rows = load(spark, d, "events", ["user_id", "ts"])
+    for low, high in (("2024-01-01", "2024-01-11"), ("2024-01-11", "2024-01-21"), ("2024-01-21", "2024-02-01")):
+        rows.where(f"ts >= timestamp_ntz '{low} 00:00:00' and ts < timestamp_ntz '{high} 00:00:00'").coalesce(1).write.mode("append").parquet(source)
     held: dict = {}
 
     def merge(batch: DataFrame, i: int) -> None:
-        new = batch.select("user_id", "ts").withColumns({"vid": F.col("user_id"), "hid": F.unix_timestamp(F.date_trunc("hour", "ts"))}).select("vid", "hid")
-        inc = cut((new if "inc" not in held else held["inc"].unionByName(new)).distinct())
-        hf = HyperFrame(inc.select("vid").distinct(), inc.select("hid").distinct().withColumn("weight", F.lit(1.0)), inc.withColumn("multiplicity", F.lit(1)))
+        new = batch.select(F.col("user_id").alias("vid"), F.unix_timestamp(F.date_trunc("hour", F.col("ts").cast("timestamp"))).alias("hid")).distinct()
+        if held:
+            new = new.join(spark.read.parquet(known), ["vid", "hid"], "left_anti")
+        new.write.mode("append").parquet(known)
+        inc = spark.read.parquet(known)
+        hf = HyperFrame(inc.select("vid").distinct(), inc.select("hid").distinct().withColumn("weight", F.lit(1.0)), inc)
         ready = pagerank.prepared(hf)
-        if "ranks" in held:
+        if held:
             warm = held["ranks"].withColumnRenamed("rank", "_was")
             ready = HyperFrame(ready.vertices.join(warm, "vid", "left").withColumn("rank", F.coalesce("_was", "rank")).drop("_was"), ready.hyperedges, ready.incidence)
-        ranks = pagerank.iterate(ready, *pagerank.programs(0.15), 30, tol=("rank", 1e-6)).frame.vertices.select("vid", "rank")
-        held.update(inc=inc, ranks=cut(ranks))
+        ranks = pagerank.iterate(ready, *pagerank.programs(0.15), 60, tol=("rank", 1e-8)).frame.vertices.select("vid", "rank")
+        held.update(ranks=cut(ranks))
 
-    stream = events(spark, d, None)
+    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(source)
     stream.writeStream.foreachBatch(merge).option("checkpointLocation", scratch(spark, "ranks-state")).trigger(availableNow=True).start().awaitTermination()
-    held["ranks"].select("vid", F.round("rank", 3).alias("rank")).write.parquet(out)
+    held["ranks"].select("vid", F.round("rank", 4).alias("rank")).write.parquet(out)
     return spark.read.parquet(out)
 
 
