@@ -38,9 +38,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or in tests, where it is unset, one made here."""
+    """The folder that driver and executors share: spark.checkpoint.dir. On one machine, where it is unset, one made here;
+    a cluster without it is an error, as each machine would write into a folder of its own."""
     path = spark.conf.get("spark.checkpoint.dir", None)
     if not path:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         path = getattr(shared_dir, "made", None) or tempfile.mkdtemp(prefix="shared-")
         shared_dir.made = path
     if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
