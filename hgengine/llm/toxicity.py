@@ -29,7 +29,7 @@ LEAST = 4
 #: Least likelihood-ratio statistic between term and class.
 GAIN = 15.0
 #: Terms whose rows are searched for others that count beside them, and the least statistic there, as many are tried.
-ANCHORS, BESIDE = 256, 30.0
+ANCHORS, BESIDE = 128, 30.0
 #: Labelled rows that the machine is fitted on, at most about so many: a hash of doc_id draws them.
 MOST_ROWS = 24_000
 THRESHOLD = 0.7
@@ -117,14 +117,20 @@ def _terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def selected(rows: list[np.ndarray], y: np.ndarray, most: int = TERMS) -> np.ndarray:
     """At most so many terms, by the likelihood ratio between term and class: over all rows, or over those of an anchor,
     one of the terms of the highest ratios; the anchors of such terms are selected too."""
-    names, flat = np.unique(np.concatenate(rows), return_inverse=True)
-    row = np.repeat(np.arange(len(rows)), list(map(len, rows)))
-
-    def gains(rows_in: np.ndarray) -> np.ndarray:
-        inside = rows_in[row]
-        t, n_yes, n = flat[inside], float(y[rows_in].sum()), float(rows_in.sum())
-        yes = np.bincount(t, y[row[inside]], len(names))
-        every = np.bincount(t, minlength=len(names)).astype(float)
+    counts = np.zeros((2, 1 << BITS), np.int32)  # of the rows of label 0 and 1
+    for label in (0, 1):
+        own = [r for r, t in zip(rows, y, strict=True) if t == label]
+        for at in range(0, len(own), 1_000):
+            counts[label] += np.bincount(np.concatenate(own[at : at + 1_000]), minlength=1 << BITS).astype(np.int32)
+    names = np.nonzero(counts.sum(0) >= LEAST)[0]
+    place = np.full(1 << BITS, -1, np.int32)
+    place[names] = np.arange(len(names), dtype=np.int32)
+    known = [(p := place[r])[p >= 0] for r in rows]
+    flat, row = np.concatenate(known), np.repeat(np.arange(len(rows), dtype=np.int32), list(map(len, known)))
+    del known
+
+    def gains(yes: np.ndarray, every: np.ndarray, n_yes: float, n: float) -> np.ndarray:
+        """From how many of n rows, n_yes of them toxic, have each term."""
 
         def part(k: np.ndarray, of: np.ndarray, share: float) -> np.ndarray:
             return k * np.log(np.maximum(k, 1e-9) / np.maximum(of * share, 1e-9)) if share else np.zeros(len(k))
@@ -132,13 +138,17 @@ def selected(rows: list[np.ndarray], y: np.ndarray, most: int = TERMS) -> np.nda
         found = sum(part(k, of, share) for k, of, share in ((yes, every, n_yes / n), (every - yes, every, 1 - n_yes / n), (n_yes - yes, n - every, n_yes / n), (n - every - n_yes + yes, n - every, 1 - n_yes / n)))
         return np.where(every >= LEAST, 2 * found, 0)
 
-    alone = gains(np.ones(len(rows), bool))
+    alone = gains(counts[1][names].astype(float), counts.sum(0)[names].astype(float), float(y.sum()), float(len(rows)))
     best = np.where(alone >= GAIN, alone, 0)
+    toxic = y == 1
     for anchor in np.argsort(-alone, kind="stable")[:ANCHORS]:
         inside = np.zeros(len(rows), bool)
         inside[row[flat == anchor]] = True
-        if LEAST <= y[inside].sum() <= inside.sum() - LEAST:
-            beside = gains(inside)
+        n, n_yes = int(inside.sum()), int((inside & toxic).sum())
+        if LEAST <= n_yes <= n - LEAST:
+            yes, every = (np.bincount(flat[which[row]], minlength=len(names)).astype(float) for which in (inside & toxic, inside))
+            beside = gains(yes, every, float(n_yes), float(n))
+            beside[anchor] = 0
             beside[anchor] = beside.max() if beside.max() >= BESIDE else 0
             best = np.maximum(best, np.where(beside >= BESIDE, beside, 0))
     order = np.argsort(-best, kind="stable")
@@ -153,6 +163,7 @@ def train(docs: DataFrame, labels: DataFrame, learn, most: int = MOST_ROWS, term
     found = docs.select("doc_id", "text").join(small(drawn, 2 * most), "doc_id").select("text", "toxic").mapInArrow(_terms, "terms array<int>, toxic int").toArrow()
     y = np.concatenate([c.to_numpy(zero_copy_only=False) for c in found.column("toxic").chunks] or [np.zeros(0)]).astype(float)
     rows = [np.asarray(r.values.to_numpy() if r.values is not None else [], np.int32) for r in found.column("terms")]
+    del found
     order = np.argsort([xxhash.xxh3_64_intdigest(r.tobytes()) for r in rows], kind="stable") if rows else []
     rows, y = [rows[i] for i in order], y[order] if len(rows) else y  # one order, whatever the partitions
     share = (y.sum() + 0.5) / (len(y) + 1) if len(y) else 0.0
