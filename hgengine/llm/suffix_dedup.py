@@ -8,12 +8,15 @@ the string occurs the phrases between these are the same. The order of the corpu
 2. the parse: runs of such phrases in a document, cut into blocks, the strings of 100 bytes whose own triggers begin
    with the same phrase; blocks sorted by phrase, content and position stand together, and all but the first of equal
    ones start repeated strings throughout;
-3. first blocks that share a phrase are opened into their strings, sorted by content and position: the first of each is
-   kept, the others start earlier elsewhere.
+3. first blocks that share a phrase are opened into their strings. A string is the end of a phrase and the parse after
+   it: the suffix array of the task's dictionary ranks the former, that of its parse, as deep as strings reach, the
+   latter, and both combine into the order of the strings. The first of equal ones is kept, the others start earlier
+   elsewhere.
 
-Each step is one sort over the cluster, read as a stream. A phrase with very many different blocks is opened by one
-more sort of its strings over the cluster. Highly repetitive text costs phrases, not bytes. Whole copies are set aside
-first. Blocks are compared by their bytes, strings by 128 bits of hash.
+Each step is one sort over the cluster, read as a stream; arrays are of the phrases that a task holds, so none grows
+with the corpus. A phrase with more than MOST_BLOCKS different blocks is opened by one more sort of its strings over the
+cluster, by 128 bits of hash; all others are compared by their bytes. Highly repetitive text costs phrases, not bytes.
+Whole copies are set aside first.
 
 Null texts are empty. Texts under 100 bytes are kept whole. Repeated texts keep the copy of the smallest doc_id.
 doc_id must be unique. An empty table gives no rows.
@@ -182,16 +185,82 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int64())], ["phrase", "bytes", "doc_id", "start"])
 
 
-def _strings(pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(piece, step, and 128 bits) of each string of the pieces."""
+def _places(pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(piece, step, place among the bytes of all pieces) of each string of the pieces."""
     n = np.fromiter(map(len, pieces), np.int64, len(pieces)) - LENGTH + 1
     row = np.repeat(np.arange(len(pieces)), n)
     step = np.arange(len(row)) - np.repeat(np.concatenate([[0], np.cumsum(n)])[:-1], n)
-    at = np.concatenate([[0], np.cumsum(n + LENGTH - 1)])[:-1][row] + step
+    return row, step, np.concatenate([[0], np.cumsum(n + LENGTH - 1)])[:-1][row] + step
+
+
+def _strings(pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(piece, step, and 128 bits) of each string of the pieces."""
+    row, step, at = _places(pieces)
     g = grams(b"".join(pieces))
     return row, step, *(signed(between(sums(g, i), at, at + GRAMS, i)) if len(at) else np.zeros(0, np.int64) for i in (0, 1))
 
 
+def suffix_ranks(entries: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(ranks, ends): the inverse suffix array of a dictionary, equal suffixes of entries having one rank, and the place
+    of each entry's end, whose rank is that of the empty suffix. Ranks are doubled in depth until they reach all ends."""
+    sizes = np.fromiter(map(len, entries), np.int64, len(entries))
+    ends = np.cumsum(sizes + 1) - 1
+    ranks = np.frombuffer(b"".join(e + b"\0" for e in entries), np.uint8).astype(np.int64) + 1
+    ranks[ends] = 0
+    to_end = np.repeat(ends, sizes + 1) - np.arange(len(ranks))
+    depth = 1
+    while len(sizes) and depth <= sizes.max():
+        inside = np.nonzero(to_end >= depth)[0]
+        beyond = np.zeros(len(ranks), np.int64)
+        beyond[inside] = ranks[inside + depth] + 1
+        ranks = np.unique(ranks * (ranks.max() + 2) + beyond, return_inverse=True)[1]
+        depth *= 2
+    return ranks, ends
+
+
+def suffix_order(suffixes: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(order, shared): the suffixes of a parse in order, and the bytes that each in order has in common with the one before."""
+    order = np.array(sorted(range(len(suffixes)), key=suffixes.__getitem__), np.int64)
+    sizes = np.fromiter((len(suffixes[i]) for i in order), np.int64, len(order))
+    shared = np.zeros(len(order), np.int64)
+    if len(order) > 1:
+        table = np.zeros((len(order), int(sizes.max()) + 1), np.uint8)
+        table[np.arange(table.shape[1]) < sizes[:, None]] = np.frombuffer(b"".join(suffixes[i] for i in order), np.uint8)
+        unlike = table[1:] != table[:-1]
+        unlike[:, -1] = True
+        shared[1:] = np.minimum(unlike.argmax(axis=1), np.minimum(sizes[1:], sizes[:-1]))
+    return order, shared
+
+
+def corpus_order(pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(piece, step, k1, k2) of each string of the pieces: by k1 and k2 strings of equal size before their first trigger
+    stand in order, and strings are equal if both are.
+
+    A string is the end of a phrase, up to its first trigger, and the parse from there on: k1 is the rank of the former in
+    the suffix array of the dictionary, k2 counts, in that of the parse, the neighbours so far that differ within the rest
+    of the string's bytes."""
+    row, step, at = _places(pieces)
+    raw = b"".join(pieces)
+    g = grams(raw)
+    if not len(row):
+        return row, step, row, row
+    keyed = (g >> np.uint64(32)) << np.uint64(32) | np.arange(len(g), dtype=np.uint64)
+    trigger = (_sliding(keyed, SPAN, np.minimum) & np.uint64(0xFFFFFFFF)).astype(np.int64)[at]
+    new = np.concatenate([[True], (row[1:] != row[:-1]) | (trigger[1:] != trigger[:-1])])
+    heads = np.nonzero(new)[0]
+    tails = np.append(heads[1:], len(row)) - 1
+    block = np.cumsum(new) - 1
+    numbers: dict[bytes, int] = {}
+    entry = np.array([numbers.setdefault(raw[a:b], len(numbers)) for a, b in zip(at[heads].tolist(), trigger[heads].tolist(), strict=True)], np.int64)
+    ranks, ends = suffix_ranks(list(numbers))
+    order, shared = suffix_order([raw[a:b] for a, b in zip(trigger[heads].tolist(), (at[tails] + LENGTH).tolist(), strict=True)])
+    place = np.empty(len(order), np.int64)
+    place[order] = np.arange(len(order))
+    before = trigger - at
+    unlike = np.cumsum(shared < LENGTH - np.arange(SPAN)[:, None], axis=1)
+    return row, step, ranks[ends[entry[block]] - before], unlike[before, place[block]]
+
+
 def _starts(k1: np.ndarray, k2: np.ndarray, doc: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(doc_id, start, n): runs of string starts that are not the first of their key."""
     order = np.lexsort((start, doc, k2, k1))
@@ -217,8 +286,8 @@ def _opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         k1, k2 = keys or (pa.nulls(len(doc), pa.int64()),) * 2
         return pa.RecordBatch.from_arrays([k1, k2, pa.array(doc, pa.int64()), pa.array(start, pa.int64()), pa.array(n, pa.int64())], ["k1", "k2", "doc_id", "start", "n"])
 
-    def keyed(rows: list[tuple]) -> tuple:
-        row, step, k1, k2 = _strings([r[1] for r in rows])
+    def keyed(rows: list[tuple], by=corpus_order) -> tuple:
+        row, step, k1, k2 = by([r[1] for r in rows])
         doc, start = (np.array([r[i] for r in rows], np.int64)[row] for i in (2, 3))
         return k1, k2, doc, start + step
 
@@ -229,7 +298,7 @@ def _opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield given(None, *_starts(*keyed(several)))
 
     def spilled(rows: list[tuple]) -> pa.RecordBatch:
-        k1, k2, doc, start = keyed(rows)
+        k1, k2, doc, start = keyed(rows, _strings)
         return given((pa.array(k1), pa.array(k2)), doc, start, np.ones(len(doc), np.int64))
 
     for batch in batches:

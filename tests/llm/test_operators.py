@@ -160,6 +160,44 @@ def test_suffix_dedup(docs, none):
     assert suffix_dedup.deduplicated(none).count() == 0
 
 
+def test_suffix_arrays():
+    draw = np.random.default_rng(5)
+    entries = [bytes(draw.integers(0, 3, draw.integers(0, 46), dtype=np.uint8)) for _ in range(200)] + [b"", b"\0", b"\0\0"]
+    ranks, ends = suffix_dedup.suffix_ranks(entries)
+    suffixes = [e[i:] for e in entries for i in range(len(e) + 1)]
+    place = {x: i for i, x in enumerate(sorted(set(suffixes)))}
+    assert ranks.tolist() == [place[x] for x in suffixes]
+    assert ends.tolist() == [i for i, x in enumerate(suffixes) if not x]
+    assert len(suffix_dedup.suffix_ranks([])[0]) == 0
+
+    parse = [b"ab" * 20 + e for e in entries]
+    order, shared = suffix_dedup.suffix_order(parse)
+    assert [parse[i] for i in order] == sorted(parse)
+    for i, j, n in zip(order, order[1:], shared[1:], strict=False):
+        assert parse[i][:n] == parse[j][:n] and parse[i][n : n + 1] != parse[j][n : n + 1] or parse[i] == parse[j] and n == len(parse[i])
+
+
+@pytest.mark.parametrize("letters", [1, 2, 26, 256])
+def test_corpus_order(letters):
+    draw = np.random.default_rng(letters)
+    core = bytes(draw.integers(0, letters, 160, dtype=np.uint8))
+    pieces = []
+    for _ in range(150):
+        a = int(draw.integers(0, 50))
+        x = bytearray(bytes(draw.integers(0, letters, draw.integers(0, 20), dtype=np.uint8)) + core[a : a + 100 + int(draw.integers(0, 11))])
+        if draw.integers(2):
+            x[int(draw.integers(len(x)))] = int(draw.integers(letters))
+        pieces.append(bytes(x))
+    row, step, k1, k2 = suffix_dedup.corpus_order(pieces)
+    assert len(row) == sum(len(p) - 99 for p in pieces)
+    strings: dict = {}
+    for r, s, key in zip(row, step, zip(k1.tolist(), k2.tolist(), strict=True), strict=True):
+        strings.setdefault(pieces[r][s : s + 100], set()).add(key)
+    assert all(len(keys) == 1 for keys in strings.values())
+    assert len({key for keys in strings.values() for key in keys}) == len(strings)
+    assert len(suffix_dedup.corpus_order([])[0]) == 0
+
+
 def test_opened_blocks_beyond_the_bound(monkeypatch):
     import pyarrow as pa
 
