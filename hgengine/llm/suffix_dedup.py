@@ -16,7 +16,7 @@ the string occurs the phrases between these are the same. The order of the corpu
 Each step is one sort over the cluster, read as a stream; arrays are of the phrases that a task holds, so none grows
 with the corpus. A phrase with more than MOST_BLOCKS different blocks is opened by one more sort of its strings over the
 cluster, by 128 bits of hash; all others are compared by their bytes. Highly repetitive text costs phrases, not bytes.
-Whole copies are set aside first.
+Whole copies are set aside first, and what a text repeats of itself is dealt evenly, apart from the phrase it belongs to.
 
 Null texts are empty. Texts under 100 bytes are kept whole. Repeated texts keep the copy of the smallest doc_id.
 doc_id must be unique. An empty table gives no rows.
@@ -25,7 +25,9 @@ doc_id must be unique. An empty table gives no rows.
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -40,6 +42,8 @@ GRAMS = LENGTH - GRAM + 1
 #: First blocks of a phrase that are opened within one task.
 MOST_BLOCKS = 20_000
 _BASES = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
+#: Mark of the first place of a phrase that a text has several times; places are below it.
+SEVERAL = 1 << 62
 _powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
@@ -101,7 +105,9 @@ def triggers(g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _phrases(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows of phrases: hash, doc_id, and in one number the first start of strings whose own triggers
-    begin with the phrase's (lo), and the steps from there to the two triggers and to the end of the last such string."""
+    begin with the phrase's (lo), and the steps from there to the two triggers and to the end of the last such string.
+    The first of several rows of a phrase in a text has SEVERAL added, the others, which tell nothing new, are
+    complements."""
     for batch in batches:
         hashes, docs, places = [], [], []
         for doc, text in zip(batch.column(0), batch.column(1), strict=True):
@@ -110,16 +116,22 @@ def _phrases(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 continue
             g = grams(raw)
             b, first = triggers(g)
-            hashes.append(signed(between(sums(g), b[:-1], b[1:] + 1)))
+            phrase = signed(between(sums(g), b[:-1], b[1:] + 1))
+            order = np.argsort(phrase, kind="stable")
+            same = phrase[order[1:]] == phrase[order[:-1]]
+            further, before = np.zeros((2, len(phrase)), bool)
+            further[order[1:]] = before[order[:-1]] = same
+            hashes.append(phrase)
             lo, hi = first[:-2], first[2:] + LENGTH - GRAMS + SPAN - 1
-            places.append(lo << 18 | (b[:-1] - lo) << 12 | (b[1:] - b[:-1]) << 6 | (hi - b[1:]))
+            place = lo << 18 | (b[:-1] - lo) << 12 | (b[1:] - b[:-1]) << 6 | (hi - b[1:])
+            places.append(np.where(further, ~place, place | np.where(before, SEVERAL, 0)))
             docs.append(np.full(len(lo), doc.as_py(), np.int64))
         if hashes:
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (hashes, docs, places)], ["phrase", "doc_id", "place"])
 
 
 def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of rows sorted by phrase, those whose phrase another row has."""
+    """Of rows sorted by phrase, those whose phrase another row has, here or by their marks."""
     held = None  # the last row, while it is not known whether it is alone
     for batch in batches:
         if not batch.num_rows:
@@ -128,12 +140,13 @@ def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if held:
             p, d, at = (np.concatenate([[h], x]) for h, x in zip(held[:3], (p, d, at), strict=True))
         same = p[1:] == p[:-1]
-        keep = np.concatenate([[bool(held and held[3])], same]) | np.concatenate([same, [False]])
+        keep = np.concatenate([[bool(held and held[3])], same]) | np.concatenate([same, [False]]) | (at < 0) | (at >= SEVERAL)
         out = keep.copy()
         if held and held[3]:
             out[0] = False  # given before
         held = (p[-1], d[-1], at[-1], bool(keep[-1]))
-        yield pa.RecordBatch.from_arrays([pa.array(x[out]) for x in (p, d, at)], ["phrase", "doc_id", "place"])
+        place = np.where(at < 0, ~at, at & (SEVERAL - 1))
+        yield pa.RecordBatch.from_arrays([pa.array(x[out]) for x in (p, d, place)], ["phrase", "doc_id", "place"])
 
 
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -169,17 +182,27 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Blocks, the strings whose own triggers begin with a phrase's: phrase, the bytes they cover, doc_id, first start."""
+    """Blocks, the strings whose own triggers begin with a phrase's: phrase, the bytes they cover, doc_id, first start.
+    Of a block that its text has before, no bytes and the number of strings for the phrase."""
     for batch in batches:
         out: list[list] = [[], [], [], []]
         for doc, text, runs in zip(batch.column(0), batch.column(1), batch.column(2), strict=True):
             raw, doc = encoded(text.as_py()), doc.as_py()
-            for run in runs.as_py():
+            runs = sorted(runs.as_py(), key=lambda run: run["starts"][0])
+            several = {phrase for phrase, n in Counter(chain.from_iterable(run["phrases"] for run in runs)).items() if n > 1}
+            seen: set[tuple[int, bytes]] = set()
+            for run in runs:
                 stop = run["hi"] - LENGTH + 1
                 starts = [x for x in run["starts"] if x < stop]
                 for phrase, x, y in zip(run["phrases"], starts, [*starts[1:], stop], strict=False):
+                    piece: bytes | None = raw[x : y - 1 + LENGTH]
+                    if phrase in several:
+                        if (phrase, piece) in seen:
+                            phrase, piece = y - x, None
+                        else:
+                            seen.add((phrase, piece))
                     out[0].append(phrase)
-                    out[1].append(raw[x : y - 1 + LENGTH])
+                    out[1].append(piece)
                     out[3].append(x)
                 out[2] += [doc] * len(starts)
         yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.int64())], ["phrase", "bytes", "doc_id", "start"])
@@ -305,6 +328,9 @@ def _opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         again: list[tuple] = []
         fresh: list[tuple] = []
         for phrase, piece, doc, start in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+            if piece is None:
+                again.append((doc, start, phrase))
+                continue
             if (phrase, piece) == last:
                 again.append((doc, start, len(piece) - LENGTH + 1))
                 continue
@@ -370,13 +396,17 @@ def _spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def repeated_spans(docs: DataFrame, firsts: DataFrame) -> DataFrame:
     """doc_id, start, end: maximal runs of bytes covered by strings that start earlier, in the first of each text."""
     texts = distinct_texts(docs, firsts)
-    phrases = texts.mapInArrow(_phrases, "phrase long, doc_id long, place long").repartition("phrase").sortWithinPartitions("phrase")
+    phrases = texts.mapInArrow(_phrases, "phrase long, doc_id long, place long")
+    # what a text repeats needs no meeting, so that one phrase or block in very many places fills no task
+    anywhere = F.xxhash64("doc_id", "place")
+    phrases = phrases.repartition(F.when(F.col("place") < 0, anywhere).otherwise(F.col("phrase"))).sortWithinPartitions("phrase")
     repeated = phrases.mapInArrow(_repeated, "phrase long, doc_id long, place long")
     runs = cut(repeated.repartition("doc_id").sortWithinPartitions("doc_id", "place").mapInArrow(_runs, "doc_id long, hi long, phrases array<long>, starts array<long>"))
     ids = cut(runs.select("doc_id").distinct())
     by_doc = runs.groupBy("doc_id").agg(F.collect_list(F.struct("hi", "phrases", "starts")).alias("runs"))
     blocks = texts_of(docs, ids).join(by_doc, "doc_id").mapInArrow(_blocks, "phrase long, bytes binary, doc_id long, start long")
-    opened = cut(blocks.repartition("phrase").sortWithinPartitions("phrase", "bytes", "doc_id", "start").mapInArrow(_opened, "k1 long, k2 long, doc_id long, start long, n long"))
+    block_key = F.when(F.col("bytes").isNull(), F.xxhash64("doc_id", "start")).otherwise(F.col("phrase"))
+    opened = cut(blocks.repartition(block_key).sortWithinPartitions("phrase", "bytes", "doc_id", "start").mapInArrow(_opened, "k1 long, k2 long, doc_id long, start long, n long"))
     strings = opened.where("k1 is not null").repartition("k1", "k2").sortWithinPartitions("k1", "k2", "doc_id", "start")
     starts = opened.where("k1 is null").select("doc_id", "start", "n").unionByName(strings.mapInArrow(_later, "doc_id long, start long, n long"))
     return starts.repartition("doc_id").sortWithinPartitions("doc_id", "start").mapInArrow(_spans, "doc_id long, start long, end long")

@@ -198,6 +198,19 @@ def test_corpus_order(letters):
     assert len(suffix_dedup.corpus_order([])[0]) == 0
 
 
+def test_repeats_within_a_text(spark):
+    draw = np.random.default_rng(8)
+    turns = ["nd " * 2000, "ab" * 700 + prose(40, 90) + "ab" * 700, prose(40, 90) * 3, "nd " * 300 + prose(41, 50) + "nd " * 300, "é" * 400]
+    texts = [*turns, *("".join(turns[i] for i in draw.integers(0, len(turns), 3)) for _ in range(8)), prose(42, 60) * 2]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    assert by_id(suffix_dedup.deduplicated(rows), "n_bytes", "n_removed", "n_spans", "kept_sha256") == removed(texts)
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_arrays([pa.array([0]), pa.array(["nd " * 20000])], ["doc_id", "text"])
+    places = next(suffix_dedup._phrases(iter([batch]))).column(2).to_numpy()
+    assert len(places) > 1000 and (places >= 0).sum() < 10  # all others are dealt evenly
+
+
 def test_opened_blocks_beyond_the_bound(monkeypatch):
     import pyarrow as pa
 
