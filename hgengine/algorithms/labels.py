@@ -20,10 +20,23 @@ def program(rule: str = "max") -> Program:
     return Program(emit={"label": state("label")}, state={"label": new}, when=changed, combine={"label": Combiner.MAX if rule == "max" else Combiner.MIN})
 
 
+def whole_rounds(rule: str = "max") -> tuple[Program, Program]:
+    """The same labels in rounds where all nodes send. A node's own label is then among those that its hyperedges picked, and
+    theirs only get better, so messages alone tell the next labels: no state is read twice, and rounds stay a chain."""
+    told = program(rule)
+    return Program(emit=told.emit, state={"label": F.coalesce(msg("label"), F.col("vid"))}, combine=told.combine), Program(emit=told.emit, state={"label": msg("label")}, combine=told.combine)
+
+
 def run(hf: HyperFrame, max_rounds: int = 30, until_stable: bool = True, rule: str = "max", **layout) -> RunResult:
     """Labels start as vertex ids; a node without a message keeps its label. Until stable, only changed nodes send."""
     start = HyperFrame(hf.vertices.select("vid", F.col("vid").alias("label")), hf.hyperedges.select("hid", F.lit(None).cast("long").alias("label")), hf.incidence)
-    return iterate(start, program(rule), program(rule), max_rounds, frontier=until_stable, **layout)
+    if until_stable:
+        return iterate(start, program(rule), program(rule), max_rounds, frontier=True, **layout)
+    own = None if layout.get("layout") or layout.get("placement") is not None else TwoCopy.counted(hf.incidence)
+    found = iterate(start, *whole_rounds(rule), max_rounds, **(layout | {"layout": own} if own else layout))
+    if own:
+        own.release()
+    return found
 
 
 def _majority(rows: DataFrame, to: str) -> DataFrame:

@@ -29,6 +29,10 @@ def messages(rows: DataFrame, incidence: DataFrame, program: Program, on: list[s
     return told.select(F.col("_dst").alias(other), *keep, *fields)
 
 
+#: Memberships of a partition below which more partitions cost rounds more than they save.
+FEW_ROWS = 200_000
+
+
 class TwoCopy:
     """Memberships dealt and sorted by vertex, and again by hyperedge."""
 
@@ -36,6 +40,12 @@ class TwoCopy:
         n = partitions or int(incidence.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         self.copies = {side: incidence.repartition(n, side).sortWithinPartitions(side).persist() for side in ("vid", "hid")}
 
+    @classmethod
+    def counted(cls, incidence: DataFrame) -> TwoCopy:
+        """In fewer partitions if memberships, which are counted, are few; for many rounds."""
+        n = int(incidence.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        return cls(incidence, min(n, 1 + incidence.count() // FEW_ROWS))
+
     def half_round(self, rows: DataFrame, program: Program, key: str, other: str, combine: Combiners) -> DataFrame:
         sent = messages(rows, self.copies[key], program, [key], other)
         return sent.groupBy(other).agg(*(combine[n].of(F.col(f"_msg_{n}")).alias(f"_msg_{n}") for n in program.emit))

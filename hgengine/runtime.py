@@ -21,7 +21,7 @@ from pyspark.sql import types as T
 from hgengine.model import HyperFrame
 from hgengine.plans.layout import Combiners, Layout, TwoCopy, layout_of, messages
 from hgengine.programs import Program, infer_combiners
-from hgengine.session import cut
+from hgengine.session import BROADCAST_ROWS, cut
 
 
 @dataclass
@@ -82,16 +82,20 @@ def iterate(hf: HyperFrame, vertex: Program, hyperedge: Program, max_rounds: int
     # a side that forgets starts each step from its first table, and the plan stays a chain; else the last state is read
     # twice, by its own step and by its messages, and is written each time
     fresh = {"vid": vs if forgets(vertex) and not frontier else None, "hid": hs if forgets(hyperedge) and not frontier else None}
+    # rounds that keep all nodes keep their number: counted once, few are sent whole to the memberships, which then need no
+    # exchange on that side
+    few = {side: not counted and isinstance(inc, TwoCopy) and nodes.count() <= BROADCAST_ROWS for side, nodes in (("vid", vs), ("hid", hs))}
+    told = {side: F.broadcast if yes else (lambda df: df) for side, yes in few.items()}
     result = RunResult(hf)
     for r in range(1, max_rounds + 1):
         began = time.perf_counter()
-        hs = advance((hs if fresh["hid"] is None else fresh["hid"]).drop("_send"), half_round(vs, inc, vertex, "vid", "hid", r), hyperedge, "hid", r, frontier)
+        hs = advance((hs if fresh["hid"] is None else fresh["hid"]).drop("_send"), half_round(told["vid"](vs), inc, vertex, "vid", "hid", r), hyperedge, "hid", r, frontier)
         if counted or fresh["hid"] is None or r % cut_every == 0 or r == max_rounds:
             hs = cut(hs)
         if drop_last and r == max_rounds and not counted:
             break
         before = vs
-        vs = advance((vs if fresh["vid"] is None else fresh["vid"]).drop("_send"), half_round(hs, inc, hyperedge, "hid", "vid", r), vertex, "vid", r, frontier)
+        vs = advance((vs if fresh["vid"] is None else fresh["vid"]).drop("_send"), half_round(told["hid"](hs), inc, hyperedge, "hid", "vid", r), vertex, "vid", r, frontier)
         row = {"round": r}
         if counted:
             vs = cut(vs)
