@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from hgengine.algorithms import pagerank, paths
@@ -14,6 +14,8 @@ from hgengine.session import cut
 
 #: Pairs at most that are built without being asked for more.
 MOST_PAIRS = 1_000_000_000
+#: Vertices whose ids and ranks, two numbers each, are broadcast in a round.
+FEW_STATES = 1_000_000
 
 
 class PairwiseTooLarge(ValueError):
@@ -77,23 +79,28 @@ def path_states(hf: HyperFrame) -> HyperFrame:
 
 
 def pagerank_pairwise(hf: HyperFrame, alpha: float = 0.15, max_rounds: int = 30, weight: str | None = "weight", most_pairs: int = MOST_PAIRS) -> DataFrame:
-    """vid, rank: as the bipartite form, with the hyperedge step folded into constants of pairs and of each vertex."""
+    """vid, rank: as the bipartite form, with the hyperedge step folded into constants of pairs and of each vertex. Pairs may
+    outnumber memberships by far: each round makes them all again, from members that lie together by hyperedge, and sums
+    them where they are made, so that no pair is kept or travels."""
     check_pairwise(*pagerank.programs(alpha), pagerank_states(hf))
+    guard(hf, most_pairs)
     w = F.lit(1.0) if weight is None else F.col(weight).cast("double")
-    sized = hf.hyperedges.select("hid", w.alias("_w")).join(hf.incidence.groupBy("hid").agg(F.count("*").alias("_size")), "hid")
-    own = hf.incidence.join(sized, "hid").groupBy("vid").agg(F.sum("_w").alias("_total"), F.sum(F.col("_w") / F.col("_size")).alias("_self"))
-    pairs = to_pairwise(hf, {"gain": shared_weight(weight)}, most_pairs, directed=True).persist()
-    vs = hf.vertices.select("vid", F.lit(1.0).alias("rank")).join(own, "vid", "left")
-    for r in range(1, max_rounds + 1):
-        sent = vs.select(F.col("vid").alias("src"), (F.col("rank") / F.col("_total")).alias("_sent")).join(pairs, "src")
-        heard = sent.groupBy(F.col("dst").alias("vid")).agg(F.sum(F.col("_sent") * F.col("gain")).alias("_heard"))
+    parts = int(hf.incidence.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    members = hf.incidence.select("vid", "hid").join(hf.hyperedges.select("hid", w.alias("_w")), "hid").repartition(parts, "hid")
+    ends = members.select("hid", "vid", "_w", (F.col("_w") / F.count("*").over(Window.partitionBy("hid"))).alias("_gain")).persist()
+    own = ends.groupBy("vid").agg(F.sum("_w").alias("_total"), F.sum("_gain").alias("_self"))
+    vs = cut(hf.vertices.select("vid", F.lit(1.0).alias("rank")).join(own, "vid", "left"))
+    few = vs.count() <= FEW_STATES
+    for _ in range(max_rounds):
+        sent = vs.select(F.col("vid").alias("src"), (F.col("rank") / F.col("_total")).alias("_sent"))
+        told = ends.select("hid", F.col("vid").alias("src")).join(F.broadcast(sent) if few else sent, "src")
+        # the equal key is the hyperedge: no cross join, and the guard bounds the rows
+        pairs = told.join(ends.select("hid", F.col("vid").alias("dst"), "_gain").hint("merge"), "hid").where("src <> dst")
+        heard = pairs.groupBy(F.col("dst").alias("vid")).agg(F.sum(F.col("_sent") * F.col("_gain")).alias("_heard"))
         rank = alpha + (1 - alpha) * (F.coalesce("_heard", F.lit(0.0)) + F.coalesce(F.col("rank") * F.col("_self") / F.col("_total"), F.lit(0.0)))
-        vs = vs.join(heard, "vid", "left").select("vid", rank.alias("rank"), "_total", "_self")
-        if r % 4 == 0 and r < max_rounds:
-            vs = cut(vs)
-    vs = cut(vs.select("vid", "rank"))
-    pairs.unpersist()
-    return vs
+        vs = cut(vs.join(heard, "vid", "left").select("vid", rank.alias("rank"), "_total", "_self"))
+    ends.unpersist()
+    return vs.select("vid", "rank")
 
 
 def shortest_paths_pairwise(hf: HyperFrame, source: int, weight: str | None = None, most_pairs: int = MOST_PAIRS) -> DataFrame:
